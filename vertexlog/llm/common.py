@@ -77,3 +77,8 @@ def words_of(text: Column) -> Column:
     """Array of the words of a text (runs without ASCII white space); empty for null or blank text."""
     trimmed = F.btrim(F.coalesce(text, F.lit("")), F.lit(SPACES))
     return F.when(trimmed == "", F.array().cast("array<string>")).otherwise(F.split(trimmed, SPACE_RUN, -1))
+
+
+def let(value: Column, body) -> Column:
+    """``body`` of a value that is computed once per row, however often the body uses it."""
+    return F.element_at(F.transform(F.array(value), body), 1)
