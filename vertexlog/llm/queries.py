@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from vertexlog.llm import chat_format, decontaminate, line_dedup, quality, sharding, simhash, sql
+from vertexlog.llm import chat_format, decontaminate, language_id, language_model, line_dedup, packing, quality, sharding, simhash, sql
 from vertexlog.llm.common import read_table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -28,10 +28,22 @@ def op4_ring_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard_report(read_table(spark, sf_dir, "documents"))
 
 
+def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language_id.identify(read_table(spark, sf_dir, "documents"))
+
+
 def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.judge(read_table(spark, sf_dir, "documents"))
 
 
+def op7_pattern_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(read_table(spark, sf_dir, "documents"))
+
+
+def op8_maxent_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language_model.score_texts(read_table(spark, sf_dir, "documents"))
+
+
 def op10_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat_format.conversation_report(read_table(spark, sf_dir, "conversations"))
 
