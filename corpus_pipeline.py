@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from vertexlog.llm import decontaminate, line_dedup, quality, simhash
+from vertexlog.llm import decontaminate, line_dedup, packing, quality, simhash
 from vertexlog.llm.common import Scratch, read_table
 
 
@@ -26,11 +26,16 @@ def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     return decontaminate.remove_contaminated(docs, read_table(spark, sf_dir, "benchmark"))
 
 
+def best_fit_packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return packing.pack(docs)
+
+
 STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [
     ("quality rules", quality_rules),
     ("line dedup", line_repeats),
     ("simhash near-dedup", near_dedup),
     ("benchmark decontamination", decontamination),
+    ("best-fit packing", best_fit_packing),
 ]
 
 #: The stages hash shingles, cut by rolling hashes and tokenize: SQL can't express that; see the brute-force test.

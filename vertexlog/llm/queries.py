@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from vertexlog.llm import chat_format, decontaminate, language_id, language_model, line_dedup, packing, quality, sharding, simhash, sql
+from vertexlog.llm import chat_format, decontaminate, html_text, language_id, language_model, line_dedup, packing, quality, sharding, simhash, sql
 from vertexlog.llm.common import read_table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -44,6 +44,10 @@ def op8_maxent_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language_model.score_texts(read_table(spark, sf_dir, "documents"))
 
 
+def op9_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_text.extract(read_table(spark, sf_dir, "pages"))
+
+
 def op10_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat_format.conversation_report(read_table(spark, sf_dir, "conversations"))
 
