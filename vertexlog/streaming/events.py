@@ -52,7 +52,9 @@ def collected(stream: DataFrame, mode: str = "append") -> DataFrame:
 
 
 def _events(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return source(spark, f"{sf_dir}/events.parquet", load(spark, sf_dir, "events"))
+    """The event table as files of a pattern, with times that watermarks accept."""
+    stream = source(spark, f"{sf_dir}/events.parquet*", load(spark, sf_dir, "events"))
+    return stream.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
 def windowed_fold(events: DataFrame, length: str, slide: str | None = None, late: str = "1 hour") -> DataFrame:
@@ -63,7 +65,7 @@ def windowed_fold(events: DataFrame, length: str, slide: str | None = None, late
 
 def tumbling(spark: SparkSession, sf_dir: str) -> DataFrame:
     done = collected(windowed_fold(_events(spark, sf_dir), "1 day"), "complete")
-    return done.select(F.col("w.start").alias("day"), "dst", "n")
+    return done.select(F.col("w.start").cast("timestamp_ntz").alias("day"), "dst", "n")
 
 
 def sliding(spark: SparkSession, sf_dir: str) -> DataFrame:
