@@ -1,19 +1,20 @@
 """Main text of web pages by differencing each page with its nearest neighbour on the same host.
 
 A page becomes a sequence of text lines, one per block element, each with its place in the page.  Pages of a
-host are put in order of URL path, and each is aligned with its neighbour by a longest common subsequence of
-lines.  Lines that both pages share are the site's, not the page's, and are deleted.  Lines of the layout
-(menus, headers, footers, sidebars, notices, adverts, forms, comments) often differ in wording from page to
-page, so they are aligned by their place instead of their words; those that the neighbour lacks are deleted as
-well.  Lines inside an article or main element are the page's own even where another page quotes them.
+host are put in order of URL path, and each is aligned with its nearest, the one before and the one after, by
+a longest common subsequence of lines.  Lines shared with either are the site's, not the page's, and are
+deleted.  Lines of the layout (menus, headers, footers, sidebars, notices, adverts, forms, comments) often
+differ in wording from page to page, so they are aligned by their place instead of their words; those that no
+neighbour has are deleted as well.  Lines inside an article or main element are the page's own even where
+another page quotes them.
 
 Plan: one pass parses pages; lines travel compressed, once, to their host's pages in path order; a task holds
-two pages at a time.  A host with more than ``host_pages`` pages is dealt out by path hash into several runs,
+three pages at a time.  A host with more than ``host_pages`` pages is dealt out by path hash into several runs,
 each with its own neighbours, so no host gathers in one task.
 
 Defined results: null or empty html gives the empty text; a page without a neighbour loses layout lines only;
-null urls form a host; repeated rows are neighbours of each other, which their article lines survive; an
-unclosed element ends with the element around it, an unclosed script with the page.
+null urls form a host; a neighbour with exactly the same lines is a copy and tells nothing; an unclosed
+element ends with the element around it, an unclosed script with the page.
 """
 
 from __future__ import annotations
@@ -184,9 +185,9 @@ def keys_of(lines: list[tuple[int, str, str]]) -> list[int]:
     return [digest(place if how == PLACE else text, how == PLACE) for how, place, text in lines]
 
 
-def page_text(lines: list[tuple[int, str]], keys: list[int], neighbour: list[int] | None) -> str:
+def page_text(lines: list[tuple[int, str]], keys: list[int], neighbours: list[list[int]]) -> str:
     """Text left of a page after differencing; ``lines`` are (how, text)."""
-    shared = common(keys, neighbour) if neighbour is not None else [False] * len(keys)
+    shared = [any(x) for x in zip([False] * len(keys), *(common(keys, n) for n in neighbours), strict=True)]
     has_main = any(how == OWN for how, _ in lines)
     kept = [text for (how, text), same in zip(lines, shared, strict=True) if how == OWN or (how == TEXT and not same and not has_main)]
     return "\n\n".join(kept)
@@ -230,34 +231,29 @@ def extract(pages: DataFrame, *, id_col: str = "page_id", url_col: str = "url",
     def differ(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         unpack = zstandard.ZstdDecompressor()
 
-        def solve(row: tuple, neighbour: tuple | None) -> str:
+        def solve(row: tuple, beside: tuple[tuple | None, ...]) -> str:
             body = unpack.decompress(row[6]).decode("utf-8", "surrogatepass")
             lines = [(int(x[0]), x[1:]) for x in body.split("\x00")] if body else []
-            other = np.frombuffer(neighbour[5], np.uint64).tolist() if neighbour else None
-            return page_text(lines, np.frombuffer(row[5], np.uint64).tolist(), other)
+            keys = lambda r: np.frombuffer(r[5], np.uint64).tolist()
+            others = [keys(r) for r in beside if r and r[2:4] == row[2:4] and r[5] != row[5]]
+            return page_text(lines, keys(row), others)
 
         def made(done: list[tuple[tuple, str]]) -> pa.RecordBatch:
             columns = [[r[0] for r, _ in done], [r[1] for r, _ in done], [t for _, t in done], [len(t) for _, t in done]]
             return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds_out, strict=True)], names=result.names)
 
-        kinds_out, before, waiting, done = None, None, None, []
+        kinds_out, before, current, done = None, None, None, []
         for batch in batches:
             kinds_out = kinds_out or [batch.schema.field(0).type, batch.schema.field(1).type, pa.string(), pa.int64()]
             for row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                if waiting:  # the first page of its run looks ahead
-                    done.append((waiting, solve(waiting, row if row[2:4] == waiting[2:4] else None)))
-                    waiting = None
-                if before and before[2:4] == row[2:4]:
-                    done.append((row, solve(row, before)))
-                else:
-                    waiting = row
-                before = row
+                if current:
+                    done.append((current, solve(current, (before, row))))
+                before, current = current, row
                 if len(done) >= 500:
                     yield made(done)
                     done = []
-        if waiting:
-            done.append((waiting, solve(waiting, None)))
-        if done:
+        if current:
+            done.append((current, solve(current, (before, None))))
             yield made(done)
 
     dealt = rows.mapInArrow(parse, parsed).repartition("__run").sortWithinPartitions("__run", "__host", "__path", id_col)

@@ -63,31 +63,31 @@ def chunks_of(text: Column, long_words: int = 20, modulus: int = 4) -> Column:
 
 
 def repeated_chunks(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", long_words: int = 20, modulus: int = 4) -> DataFrame:
-    """(id, again): for each id the chunks that repeat an earlier one, as array of (no, original body)."""
-    cut = docs.select(F.col(id_col).alias("__id"), F.explode(chunks_of(F.col(text_col), long_words, modulus)).alias("c"))
+    """(id, __vl_again): for each id the chunks that repeat an earlier one, as array of (no, original body)."""
+    cut = docs.select(F.col(id_col).alias("__vl_id"), F.explode(chunks_of(F.col(text_col), long_words, modulus)).alias("c"))
     wanted = cut.where((F.col("c.words") > 0) & ((F.col("c.lines") > 1) | (F.col("c.words") >= long_words)))
-    keys = materialise(wanted.select("__id", F.col("c.no").alias("no"), F.xxhash64("c.body").alias("h")), "chunks")
-    groups = keys.groupBy("h").agg(F.count("*").alias("n"), F.min(F.struct("__id", "no")).alias("first")).where("n > 1")
-    others = keys.join(groups.select("h", "first"), "h").where(~same(F.struct("__id", "no"), F.col("first")))
-    origin = groups.select("h", F.col("first.__id").alias("__id"), F.col("first.no").alias("no"))
-    bodies = wanted.select(F.col("__id").alias("id_"), F.col("c.no").alias("no_"), F.xxhash64("c.body").alias("h_"), F.col("c.body").alias("body"))
-    found = origin.join(bodies, same(F.col("__id"), F.col("id_")) & (F.col("no") == F.col("no_")) & (F.col("h") == F.col("h_")))
+    keys = materialise(wanted.select("__vl_id", F.col("c.no").alias("no"), F.xxhash64("c.body").alias("h")), "chunks")
+    groups = keys.groupBy("h").agg(F.count("*").alias("n"), F.min(F.struct("__vl_id", "no")).alias("first")).where("n > 1")
+    others = keys.join(groups.select("h", "first"), "h").where(~same(F.struct("__vl_id", "no"), F.col("first")))
+    origin = groups.select("h", F.col("first.__vl_id").alias("__vl_id"), F.col("first.no").alias("no"))
+    bodies = wanted.select(F.col("__vl_id").alias("id_"), F.col("c.no").alias("no_"), F.xxhash64("c.body").alias("h_"), F.col("c.body").alias("body"))
+    found = origin.join(bodies, same(F.col("__vl_id"), F.col("id_")) & (F.col("no") == F.col("no_")) & (F.col("h") == F.col("h_")))
     originals = found.groupBy("h").agg(F.min("body").alias("body"))
-    again = others.select("__id", "no", "h").join(originals, "h")
-    return again.groupBy("__id").agg(F.collect_set(F.struct("no", "body")).alias("again"))
+    again = others.select("__vl_id", "no", "h").join(originals, "h")
+    return again.groupBy("__vl_id").agg(F.collect_set(F.struct("no", "body")).alias("__vl_again"))
 
 
 def _decided(docs: DataFrame, id_col: str, text_col: str, long_words: int, modulus: int) -> DataFrame:
-    """docs with ``__cut`` (all chunks) and ``__gone`` (whether the chunk is removed, in chunk order)."""
+    """docs with ``__vl_cut`` (all chunks) and ``__vl_gone`` (whether the chunk is removed, in chunk order)."""
     again = repeated_chunks(docs, id_col, text_col, long_words, modulus)
-    joined = docs.join(again, same(docs[id_col], again["__id"]), "left").drop("__id")
-    cut = joined.withColumn("__cut", chunks_of(F.col(text_col), long_words, modulus))
-    gone = F.transform("__cut", lambda c: F.coalesce(F.array_contains(F.col("again"), F.struct(c["no"].alias("no"), c["body"].alias("body"))), F.lit(False)))
-    return cut.withColumn("__gone", F.when(F.col("again").isNull(), F.transform("__cut", lambda c: F.lit(False))).otherwise(gone))
+    joined = docs.join(again, same(docs[id_col], again["__vl_id"]), "left").drop("__vl_id")
+    cut = joined.withColumn("__vl_cut", chunks_of(F.col(text_col), long_words, modulus))
+    gone = F.transform("__vl_cut", lambda c: F.coalesce(F.array_contains(F.col("__vl_again"), F.struct(c["no"].alias("no"), c["body"].alias("body"))), F.lit(False)))
+    return cut.withColumn("__vl_gone", F.when(F.col("__vl_again").isNull(), F.transform("__vl_cut", lambda c: F.lit(False))).otherwise(gone))
 
 
 def _kept_text() -> Column:
-    kept = F.filter(F.col("__cut"), lambda c, k: ~F.col("__gone")[k])
+    kept = F.filter(F.col("__vl_cut"), lambda c, k: ~F.col("__vl_gone")[k])
     return F.array_join(F.transform(kept, lambda c: c["body"]), "\n")
 
 
@@ -96,15 +96,15 @@ def deduplicate_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str
     decided = _decided(docs.select(id_col, text_col), id_col, text_col, long_words, modulus)
 
     def total(field: str) -> Column:
-        gone = F.filter(F.col("__cut"), lambda c, k: F.col("__gone")[k])
+        gone = F.filter(F.col("__vl_cut"), lambda c, k: F.col("__vl_gone")[k])
         return F.coalesce(F.aggregate(gone, F.lit(0), lambda a, c: a + c[field]), F.lit(0)).cast("bigint")
 
-    text = F.when(F.col("again").isNull(), F.col(text_col)).otherwise(_kept_text())
+    text = F.when(F.col("__vl_again").isNull(), F.col(text_col)).otherwise(_kept_text())
     return decided.select(
         id_col,
-        F.coalesce(F.aggregate("__cut", F.lit(0), lambda a, c: a + c["lines"]), F.lit(0)).cast("bigint").alias("n_lines"),
-        F.coalesce(F.size("__cut"), F.lit(0)).cast("bigint").alias("n_chunks"),
-        F.coalesce(F.size(F.filter("__gone", lambda g: g)), F.lit(0)).cast("bigint").alias("removed_chunks"),
+        F.coalesce(F.aggregate("__vl_cut", F.lit(0), lambda a, c: a + c["lines"]), F.lit(0)).cast("bigint").alias("n_lines"),
+        F.coalesce(F.size("__vl_cut"), F.lit(0)).cast("bigint").alias("n_chunks"),
+        F.coalesce(F.size(F.filter("__vl_gone", lambda g: g)), F.lit(0)).cast("bigint").alias("removed_chunks"),
         total("lines").alias("removed_lines"),
         total("words").alias("removed_words"),
         text.alias("kept_text"),
@@ -117,9 +117,9 @@ def without_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
     Columns as in ``docs``; the character count follows the text where it changed.
     """
     decided = _decided(docs, id_col, text_col, long_words, modulus)
-    changed = F.col("again").isNotNull()
-    new = decided.withColumn("__text", F.when(changed, _kept_text()).otherwise(F.col(text_col))).where(~changed | (F.btrim("__text", F.lit(SPACES)) != ""))
-    out = {text_col: F.col("__text")}
+    changed = F.col("__vl_again").isNotNull()
+    new = decided.withColumn("__vl_text", F.when(changed, _kept_text()).otherwise(F.col(text_col))).where(~changed | (F.btrim("__vl_text", F.lit(SPACES)) != ""))
+    out = {text_col: F.col("__vl_text")}
     if chars_col in docs.columns:
-        out[chars_col] = F.when(changed, F.length("__text").cast(docs.schema[chars_col].dataType)).otherwise(F.col(chars_col))
+        out[chars_col] = F.when(changed, F.length("__vl_text").cast(docs.schema[chars_col].dataType)).otherwise(F.col(chars_col))
     return new.select(*(out.get(c, F.col(c)).alias(c) for c in docs.columns))

@@ -112,10 +112,9 @@ def judge(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", ho
 
 def keep_good(docs: DataFrame, *, text_col: str = "text", host_col: str = "source", prior_weight: float = 20.0, max_rate: float = 0.6, broadcast_hosts: int = 10_000) -> DataFrame:
     """The documents that pass their own rules and whose host passes; columns unchanged."""
-    plain = docs.withColumn("__m", measures(F.col(text_col)))
-    failed = (F.col("__m.n_words") < 50) | (100 * F.col("__m.n_repeat_words") > 50 * F.col("__m.n_words"))
-    flagged = plain.withColumn("base_failed", failed)
-    passed = flagged.where(~failed).select(docs.columns)
-    hosts = _bad_hosts(flagged.select(host_col, "base_failed"), host_col, prior_weight, max_rate, broadcast_hosts)
-    bad = hosts.where("host_rejected").select(F.col("host").alias("__host"))
-    return passed.join(bad, same(passed[host_col], F.col("__host")), "left_anti").select(docs.columns)
+    plain = docs.withColumn("__vl_m", measures(F.col(text_col)))
+    failed = (F.col("__vl_m.n_words") < 50) | (100 * F.col("__vl_m.n_repeat_words") > 50 * F.col("__vl_m.n_words"))
+    passed = plain.where(~failed).select(docs.columns)
+    hosts = _bad_hosts(plain.select(F.col(host_col).alias("__host"), failed.alias("base_failed")), "__host", prior_weight, max_rate, broadcast_hosts)
+    bad = hosts.where("host_rejected").select(F.col("host").alias("__vl_bad"))
+    return passed.join(bad, same(passed[host_col], F.col("__vl_bad")), "left_anti").select(docs.columns)
