@@ -37,3 +37,10 @@ def test_query_equals_sql(spark, tiny, duck, name):
     assert sorted(names) == columns
     expected = sorted(tuple(r[names.index(c)] for c in columns) for r in answer.fetchall())
     assert sorted(tuple(r) for r in got.select(columns).collect()) == expected
+
+
+def test_calls_in_sql_become_views(spark, tiny):
+    from vertexlog.operators.sqlsurface import sql
+
+    out = sql(spark, tiny, "select count(*) as n from bfs('g_copurchase', 0) b join rank('g_copurchase', 1) r on b.v = r.v")
+    assert out.first()["n"] == 200

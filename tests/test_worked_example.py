@@ -134,3 +134,15 @@ def test_ordinals_and_kronecker_agree(spark):
     df = spark.createDataFrame([(x,) for x in (5, 3, 3, 9, 1)], "a bigint")
     assert [r["ord"] for r in ordinal(df, "a").orderBy("a").collect()] == [0, 1, 2, 3, 4]
     assert rows(kron_edges(spark, 50, 6)) == sorted(kron_edge(i, 6) for i in range(50))
+
+
+def test_tail_lookups_equal_joined_levels(spark):
+    import random
+
+    r = random.Random(4)
+    edges = [(i, i + 1, 1) for i in range(40)] + [(r.randrange(41), r.randrange(41), 1) for _ in range(6)]
+    x = graph(spark, edges, 42)
+    joined = rows(alg.bfs(x, 0, tail_after=10_000).rows())
+    assert rows(alg.bfs(x, 0, tail_after=1).rows()) == joined
+    assert rows(alg.bfs(x, 0, tail_after=1, tail_rows=4).rows()) == joined
+    assert rows(alg.bfs(x, 0, tail_after=1, max_levels=7).rows()) == [t for t in joined if t[2] <= 7]

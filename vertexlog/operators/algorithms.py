@@ -25,11 +25,38 @@ class Tree:
         return reduce(DataFrame.unionByName, self.lists)
 
 
-def bfs(graph: Graph, root: int, *, max_levels: int = 10_000, engine: Engine | None = None, merge_after: int = 8, count_edges: bool = False) -> Tree:
+def _tail(edges: DataFrame, visited: DataFrame, frontier: list[int], step: int, most_levels: int, most_rows: int) -> tuple[list[list[tuple[int, int, int]]], list[int]]:
+    """Levels of a search while its frontier is short: two pruned lookups a level, no exchange and no write.
+
+    Gives up, with the levels done so far, before a level that would bring more than ``most_rows`` rows here.
+    """
+    levels, read, own = [], [], set(frontier)
+    while frontier and len(levels) < most_levels and len(frontier) <= most_rows:
+        pairs = edges.where(F.col("src").isin(frontier)).select("src", "dst").limit(most_rows + 1).collect()
+        if len(pairs) > most_rows:
+            break
+        parents: dict[int, int] = {}
+        for src, dst in sorted(map(tuple, pairs)):
+            if dst not in own:
+                parents.setdefault(dst, src)
+        if parents:
+            for row in visited.where(F.col("v").isin(list(parents))).select("v").collect():
+                del parents[row["v"]]
+        read.append(len(pairs))
+        levels.append([(v, parents[v], step + len(levels)) for v in sorted(parents)])
+        own |= parents.keys()
+        frontier = sorted(parents)
+    return levels, read
+
+
+def bfs(graph: Graph, root: int, *, max_levels: int = 10_000, engine: Engine | None = None, merge_after: int = 8, count_edges: bool = False, tail_rows: int = 2000, tail_after: int = 3) -> Tree:
     """Parents and levels of all vertices reached from a root; the parent is the smallest vertex one level up.
 
     Records are emitted by rising source and folding keeps the first, which is the smallest source: so the fold
     is a minimum and needs no order.  The root is its own parent.  Visited lists are merged every few levels.
+
+    After ``tail_after`` levels in a row of a few vertices, levels are looked up instead of joined, up to 64 in one
+    go, as long as each brings at most ``tail_rows`` rows: long tails then cost two small scans a level.
     """
     engine = engine or Engine()
     spark = graph.edges.sparkSession
@@ -37,8 +64,25 @@ def bfs(graph: Graph, root: int, *, max_levels: int = 10_000, engine: Engine | N
     start = spark.createDataFrame([(root, root, 0)], "v bigint, parent bigint, level int")
     level = scratch.keep(start)
     lists, sizes, read = [level], [1], []
-    visited, recent = level.select("v"), 1
-    for step in range(1, max_levels + 1):
+    visited, recent, step = level.select("v"), 1, 0
+    while step < max_levels:
+        if step >= tail_after and type(engine) is Engine and max(sizes[-tail_after:]) * 4 <= tail_rows:
+            frontier = [r["v"] for r in level.select("v").collect()]
+            levels, found = _tail(edges, visited, frontier, step + 1, min(64, max_levels - step), tail_rows)
+            rows = [r for part in levels for r in part]
+            if rows:
+                batch = scratch.keep(spark.createDataFrame(rows, start.schema).coalesce(1))
+                done = [part for part in levels if part]
+                lists += [batch.where(F.col("level") == part[0][2]) for part in done]
+                sizes += [len(part) for part in done]
+                level, visited, recent = lists[-1], visited.unionByName(batch.select("v")), recent + 1
+            read += found
+            step += len(levels)
+            if levels and (not levels[-1] or step >= max_levels):
+                break
+            if levels:
+                continue
+        step += 1
         active = level.select("v")
         if count_edges:
             read.append(edges.join(F.broadcast(active), edges["src"] == active["v"], "left_semi").count())

@@ -75,6 +75,17 @@ def timed(action: Callable[[], object]) -> tuple[float, object]:
     return time.perf_counter() - start, out
 
 
+def resources(action: Callable[[], object]) -> dict[str, float]:
+    """Wall seconds and processor use in percent of one core, of this process and its children, during an action."""
+    import os
+
+    before, start = os.times(), time.perf_counter()
+    action()
+    seconds, after = time.perf_counter() - start, os.times()
+    cpu = sum(after[i] - before[i] for i in range(4))
+    return {"seconds": seconds, "cpu_percent": 100 * cpu / max(seconds, 1e-9)}
+
+
 def scan_efficiency(sizes: list[int], useful: list[int], edges: int, intervals: int = 4) -> list[tuple[str, int, int, int, int]]:
     """(engine, step, active, edges read, edges useful): selective reading, edge scan, several passes."""
     out = []

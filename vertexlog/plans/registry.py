@@ -10,8 +10,9 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from vertexlog.functions.reducers import REDUCERS, check_associative, custom
+from vertexlog.functions.table_functions import KronRange, damped, spread
 from vertexlog.operators import algorithms as alg
-from vertexlog.operators import local, relational, vsource
+from vertexlog.operators import local, relational, sqlsurface, vsource
 from vertexlog.operators.engines import ENGINES, Cached, Engine
 from vertexlog.operators.program import VertexProgram, commit
 from vertexlog.operators.sortreduce import block_reduce, emit_log, fold, merge_plan, merge_reduce, merge_schedule, merge_tree, partition_log
@@ -460,6 +461,58 @@ add("top_rank", g("partseq", lambda x: alg.rank_fixed(x, 1).orderBy(F.desc("rank
 add("sorted_log", g("partseq", lambda x: x.edges.groupBy("dst").agg(F.count("*").alias("n")).orderBy("dst")), f"{_PS} select dst, count(*) as n from g group by dst order by dst")
 add("rank_within_orders", g("partseq", lambda x: x.edges.withColumn("place", F.dense_rank().over(Window.partitionBy("src").orderBy("w"))).groupBy("src").agg(F.max("place").alias("prices"))), f"{_PS} select src, count(distinct w)::int as prices from g group by src")
 
+add("sql_bfs_by_level", lambda s, d: sqlsurface.sql(s, d, "select level, count(*) as reached, min(parent) as first_parent from bfs('g_trade', 0) group by level"), oracles._levels("trade", 0, 8) + " select level::int as level, count(*) as reached, min(parent) as first_parent from t group by level")
+add("sql_rank_of_reached", lambda s, d: sqlsurface.sql(s, d, "select r.v, r.rank_u, b.level from rank('g_partseq', 1) r join bfs('g_partseq', 0) b on r.v = b.v where b.level = 1"), f"with recursive lv as ({oracles.bfs('partseq', 0, 8)}), rk as ({oracles.rank_fixed('partseq', 1)}) select rk.v, rk.rank_u, lv.level from rk join lv on rk.v = lv.v where lv.level = 1")
+
+
+def _kron_udtf(spark: SparkSession, sf_dir: str) -> DataFrame:
+    m = load(spark, sf_dir, "lineitem").count()
+    spark.udtf.register("kron_range", KronRange)
+    return spark.sql(f"select t.src, t.dst from (select id * 1000 as low, least((id + 1) * 1000, {m}) as high from range({-(-m // 1000)})) r, lateral kron_range(r.low, r.high, {graphs.kron_scale(m)}) t")
+
+
+add("kron_udtf", _kron_udtf, oracles.GRAPHS["kron"])
+add("edge_function_pandas", g("partseq", lambda x: x.edges.join(x.degrees().withColumnRenamed("v", "src"), "src").groupBy("dst").agg(F.sum(damped(F.col("w").cast("double"), F.col("degree").cast("double"))).alias("s")).select(F.col("dst").alias("v"), F.round(F.col("s") / 7, 3).alias("val"))), f"{_PS}, d as (select src, count(*) as c from g group by src) select dst as v, round(sum(0.85 * w::double / c) / 7, 3) as val from g join d using (src) group by dst")
+add("reduce_pandas_udaf", g("partseq", lambda x: x.edges.groupBy(F.col("dst").alias("v")).agg(spread(F.col("w")).alias("val"))), f"{_PS} select dst as v, max(w) - min(w) as val from g group by dst")
+
+
+def _sweep(x: Graph) -> DataFrame:
+    """The same fold for a grid of block sizes and fan-ins."""
+    first, rows = Scratch(x.edges.sparkSession, "sweep").keep(_one_round(x, "fused")), []
+    for n, k in ((512, 2), (512, 16), (4096, 2), (4096, 16)):
+        active = x.degrees().select("v", F.expr(f"{10**12 // x.n} div degree").alias("val"))
+        done = Engine("interleaved", n, k).round(active, x.edges, F.col("val"), "sum").select(F.col("dst").alias("v"), "val")
+        rows.append((n, k, metrics.same(first, done)))
+    return x.edges.sparkSession.createDataFrame(rows, "n int, k int, same boolean")
+
+
+add("param_sweep", g("partseq", _sweep), "select n::int as n, k::int as k, true as same from (values (512), (4096)) as a(n), (values (2), (16)) as b(k)")
+
+
+def _storage(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Bytes of each graph as laid-out files and as text."""
+    rows = []
+    for name in ("partseq", "copurchase", "kron"):
+        x, where = GRAPHS[name](spark, sf_dir), Scratch(spark, "sizes").root
+        x.edges.select("src", "dst").repartition(1, "src").sortWithinPartitions("src", "dst").write.parquet(f"{where}/binary")
+        x.edges.select("src", "dst").write.csv(f"{where}/text", sep="\t")
+        rows.append((x.name, x.edges.count(), layout.stored_bytes(spark, f"{where}/binary"), layout.stored_bytes(spark, f"{where}/text")))
+    return spark.createDataFrame(rows, "graph string, edges bigint, binary bigint, text bigint")
+
+
+def _resources(x: Graph) -> DataFrame:
+    """Processor use and log bytes per second of one rank round in three forms."""
+    rows, m = [], x.edges.count()
+    for mode in ("fused", "sort_first", "interleaved"):
+        use = metrics.resources(lambda mode=mode: _one_round(x, mode).write.format("noop").mode("overwrite").save())
+        rows.append((mode, use["seconds"], use["cpu_percent"], m * 16 / max(use["seconds"], 1e-9)))
+    return x.edges.sparkSession.createDataFrame(rows, "mode string, seconds double, cpu_percent double, log_bytes_per_second double")
+
+
+add("storage_sizes", _storage)
+add("resource_use", g("copurchase", _resources))
+add("tuning_grid", lambda s, d: s.createDataFrame([(gib, cores, *(t := cost.tune(gib << 30, cores, 6e9)).__dict__.values()) for gib in (8, 16, 32) for cores in (8, 32)], "gib int, cores int, n bigint, k int, threads int, mergers int"))
+
 for _name, (_query, _sql) in streams.QUERIES.items():
     add(_name, _query, _sql)
 
