@@ -28,6 +28,8 @@ def test_stage_sizes_and_movement(spark):
     x = graph(spark)
     curve = metrics.reduction_curve(metrics.log_of(x.edges), 7, 2, 2)
     assert [r["records"] for r in curve.orderBy("phase").collect()] == [7, 6, 5, 5]
+    step_by_step = metrics.reduction_curve(metrics.log_of(x.edges), 7, 2, 2, at_once=0)
+    assert rows(step_by_step) == rows(curve)
     assert round(metrics.movement_ratio(curve).first()["ratio"], 3) == 0.762
 
 

@@ -9,19 +9,29 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from vertexlog.operators.sortreduce import merge_phases
+from vertexlog.sources.scratch import Scratch
 from vertexlog.sources.tables import ordinal
 
 
-def reduction_curve(destinations: DataFrame, m: int, n: int, k: int) -> DataFrame:
+def reduction_curve(destinations: DataFrame, m: int, n: int, k: int, at_once: int = 50_000_000) -> DataFrame:
     """(phase, blocks, records, fraction) of an interleaved fold of a log (dst, ord) of m records.
 
-    Phase 0 is the log itself, phase 1 what block folds leave, each later one a merge of k blocks.  One pass: a
-    record counts once for each phase and block in which its destination occurs.
+    Phase 0 is the log itself, phase 1 what block folds leave, each later one a merge of k blocks.  Short logs are
+    counted in one pass, a record once for each phase and block in which its destination occurs; for longer ones
+    every phase is written and the next one folds what it left.
     """
     sizes = [n * k**p for p in range(merge_phases(m, n, k) + 1)]
-    at = F.array(*(F.struct(F.lit(p + 1).alias("phase"), F.expr(f"ord div {s}").alias("block")) for p, s in enumerate(sizes)))
-    rows = destinations.select("dst", F.explode(at).alias("x")).select("x.phase", "x.block", "dst").distinct()
-    later = rows.groupBy("phase").agg(F.countDistinct("block").alias("blocks"), F.count("*").alias("records"))
+    if m * len(sizes) <= at_once:
+        at = F.array(*(F.struct(F.lit(p + 1).alias("phase"), F.expr(f"ord div {s}").alias("block")) for p, s in enumerate(sizes)))
+        rows = destinations.select("dst", F.explode(at).alias("x")).select("x.phase", "x.block", "dst").distinct()
+        later = rows.groupBy("phase").agg(F.countDistinct("block").alias("blocks"), F.count("*").alias("records"))
+    else:
+        scratch, later = Scratch(destinations.sparkSession, "phases"), None
+        left = destinations.select(F.expr(f"ord div {n}").alias("block"), "dst").distinct()
+        for p in range(len(sizes)):
+            left = scratch.keep(left if p == 0 else left.select(F.expr(f"block div {k}").alias("block"), "dst").distinct())
+            row = left.agg(F.lit(p + 1).alias("phase"), F.countDistinct("block").alias("blocks"), F.count("*").alias("records"))
+            later = row if later is None else later.unionByName(row)
     first = destinations.agg(F.count("*").alias("records")).select(F.lit(0).alias("phase"), F.lit(-(-m // n)).cast("bigint").alias("blocks"), "records")
     return first.unionByName(later).select("phase", "blocks", "records", (F.col("records") / F.lit(float(m))).alias("fraction"))
 

@@ -21,8 +21,11 @@ class Graph:
     n: int
 
     def stored(self) -> Graph:
-        """Edges written once, in source order within source-hash partitions; later rounds read them back."""
-        laid = self.edges.repartition("src").sortWithinPartitions("src", "dst")
+        """Edges written once in (src, dst) order; later rounds read them back.
+
+        Ranges are cut by both ends, so that a hub's edges spread over files instead of meeting in one task.
+        """
+        laid = self.edges.repartitionByRange("src", "dst").sortWithinPartitions("src", "dst")
         return Graph(self.name, Scratch(self.edges.sparkSession, self.name).keep(laid), self.n)
 
     def degrees(self) -> DataFrame:
