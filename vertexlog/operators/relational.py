@@ -20,7 +20,7 @@ TEXTS: dict[str, str] = {
     "scan_edges_pruned": "select l_partkey as src, l_suppkey as dst from {lineitem} where l_shipdate >= timestamp '1996-01-01 00:00:00' and l_quantity > 25",
     "seek_range": "select src, dst, w from {g_trade} where src >= 1000 and src < 1200",
     "edge_program_project": "select dst, w * 2 + src as val from {g_partseq} where w > 100000",
-    "arith_damping": "select p_partkey as v, 15 + (85 * p_size) /// 100 as val from {part}",
+    "arith_damping": "select p_partkey as v, cast(15 + (85 * p_size) /// 100 as bigint) as val from {part}",
     # joins
     "expand_active": "select e.src, e.dst from {g_trade} e join (select c_custkey as v from {customer} where c_acctbal > 9000) a on e.src = a.v",
     "band_edges": "select a.event_id as src, b.event_id as dst from {events} a join {events} b on a.user_id = b.user_id and b.event_id > a.event_id and b.event_id <= a.event_id + 200 and abs(a.value - b.value) < 10",
@@ -47,7 +47,7 @@ TEXTS: dict[str, str] = {
     "top_degree": "select src as v, count(*) as deg from {g_kron} group by src order by deg desc, v limit 20",
     "limit_offset": "select src as v, count(*) as deg from {g_kron} group by src order by deg desc, v limit 10 offset 5",
     # strings, dates, maths, nulls
-    "string_pack": "select p_partkey as v, upper(trim(p_brand)) as brand, length(p_name) as name_length, substring(p_type, 1, 5) as kind, concat(lpad(cast(p_size as string), 4, '0'), '-', p_brand) as tag, md5(p_name) as digest, replace(p_name, ' ', '_') as slug from {part}",
+    "string_pack": "select p_partkey as v, upper(trim(p_brand)) as brand, cast(length(p_name) as bigint) as name_length, substring(p_type, 1, 5) as kind, concat(lpad(cast(p_size as string), 4, '0'), '-', p_brand) as tag, md5(p_name) as digest, replace(p_name, ' ', '_') as slug from {part}",
     "edges_per_day": "select cast(date_trunc('day', ts) as date) as day, count(*) as n, cast(sum(case when event_type = 'purchase' then 1 else 0 end) as bigint) as purchases from {events} group by 1",
     "order_lag_days": "select o_orderkey as v, cast(datediff({DAY}cast(o_orderdate as date), cast(l_first as date)) as bigint) as days, cast(extract(year from o_orderdate) as int) as year, cast(extract(month from o_orderdate) as int) as month from {orders} join (select l_orderkey, min(l_shipdate) as l_first from {lineitem} group by l_orderkey) f on l_orderkey = o_orderkey",
     "safe_out_share": "select p_partkey as v, coalesce(round(o.n / nullif(i.n, 0), 9), -1.0) as share, case when o.n is null then 'no out' when i.n is null then 'no in' else 'both' end as kind, try_cast(p_brand as int) as brand_number, greatest(coalesce(o.n, 0), coalesce(i.n, 0)) as most, least(coalesce(o.n, 0), coalesce(i.n, 0)) as fewest from {part} left join (select src, count(*) as n from {g_partseq} where w > 900000 group by src) o on o.src = p_partkey left join (select dst, count(*) as n from {g_partseq} where w > 900000 group by dst) i on i.dst = p_partkey",
