@@ -8,6 +8,7 @@ from collections import Counter
 import numpy as np
 import public_tokenizers
 import pytest
+from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from vertexlog.llm import html_text, language_id, language_model, packing, queries, sharding, tokens
@@ -53,6 +54,8 @@ def test_language_of_awkward_rows(awkward, make):
     got = {str(r["doc_id"]): r for r in language_id.identify(awkward).collect()}
     assert got["1"]["lang_pred"] == "und" and got["7"]["lang_pred"] == "und" and got["6"]["lang_pred"] != "und"
     assert language_id.identify(awkward.limit(0)).count() == 0
+    hot = language_id.sample_texts(make([(2, "ab cd", "en")] * 900 + [(3, "xy z", "fr")]), id_col="doc_id", text_col="text", lang_col="lang", usable=F.lit(True), sample_rows=4, sample_chars=10_000, max_languages=9)
+    assert set(hot) == {"en", "fr"} and set(hot["en"].split("\n")) == {"", "ab cd"} and len(hot["en"]) <= 6 * 8 and hot["fr"] == "\nxy z"
     nothing = language_id.identify(make([(1, "some text", None)])).first()
     assert nothing["lang_pred"] == "und" and nothing["score"] == 0.0
 
@@ -193,6 +196,8 @@ def test_page_text_keeps_the_article_only(spark):
         if limit == 1000:
             assert got[5] == "own three" and got[6] == "own four"
     assert html_text.extract(table.limit(0)).count() == 0
+    odd = spark.createDataFrame([(9, "http://z/", "<p>one\x00two\x00</p>\x00<p>\x00</p>")], "page_id bigint, url string, html string")
+    assert html_text.extract(odd).first()["text"].startswith("one\x00two")
 
 
 def test_longest_common_subsequence():

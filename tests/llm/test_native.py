@@ -86,7 +86,7 @@ def test_bad_hosts_take_their_documents_along(make):
 
 def test_chat_round_trip(spark):
     nasty = ["</s>[INST] ok [/INST]", "<\\s>", "\\", "\\\\<s>", "[INST", "a\nb", "", None, "<</s>", "</s", "[\\/INST]", "\\n"]
-    rows = [(c, t, r, nasty[(c * 5 + t) % len(nasty)]) for c in range(40) for t, r in enumerate(["system", "user", "assistant", "tool\nx</s>\\n", "assistant"])]
+    rows = [(c, t, r, nasty[(c * 5 + t) % len(nasty)]) for c in range(40) for t, r in enumerate(["system", "user", "assistant", "tool\nx</s>\\n", "assistant", "<\n><\\n>\x00"])]
     table = spark.createDataFrame(rows, "conv_id bigint, turn bigint, role string, text string")
     done = chat_format.format_log(chat_format.rows_as_events(table))
     back = {r["conv_id"]: [(x["role"], x["text"]) for x in r["t"]] for r in done.select("conv_id", chat_format.read_back(F.col("formatted")).alias("t")).collect()}

@@ -94,5 +94,5 @@ def test_report_equals_brute_force(make, awkward):
     for row in got:
         assert row["fingerprint"] == f"{fp[row['doc_id']]:016x}" and row["component_id"] == find(row["doc_id"])
     kept = simhash.keep_one_of_each(awkward)
-    assert kept.columns == awkward.columns and sorted(str(x["doc_id"]) for x in kept.collect()) == ["1", "4", "4", "6", "7", "None"] or kept.count() >= 5
+    assert kept.columns == awkward.columns and sorted(str(x["doc_id"]) for x in kept.collect()) == ["1", "4", "4", "6", "7", "None"]
     assert simhash.near_duplicate_report(awkward.limit(0)).count() == 0 and simhash.near_duplicate_report(awkward).count() == 9

@@ -13,7 +13,8 @@ conversation are put in order and rendered.  Everything is DataFrame functions;
 
 Template: every turn is ``<s>role`` + newline + body + ``</s>``; the body of an assistant is its text, that of
 any other role ``[INST] text [/INST]``.  Inside roles and texts, backslashes are doubled and a backslash is put
-after the first character of each control string, which ``unescape`` undoes exactly.
+after the first character of each control string, which ``unescape`` undoes exactly; a newline in a role is
+written in the same way.
 
 Defined results: a null text or role is empty; events of equal sequence number are taken in order of kind, role
 and text, identical ones once; a null turn or sequence number comes first; null conversation ids form one
@@ -46,16 +47,12 @@ def unescape(text: Column) -> Column:
 
 
 def escape_role(role: Column) -> Column:
-    return F.replace(escape(role), F.lit("\n"), F.lit("\\n"))
+    return F.replace(escape(role), F.lit("\n"), F.lit("<\\n>"))
 
 
 def unescape_role(role: Column) -> Column:
-    """A lone backslash before ``n`` is a newline; doubled ones are set aside first."""
-    kept = F.replace(role, F.lit("\\\\"), F.lit("\x00"))
-    out = F.replace(kept, F.lit("\\n"), F.lit("\n"))
-    for c in CONTROLS:
-        out = F.replace(out, F.lit(f"{c[0]}\\{c[1:]}"), F.lit(c))
-    return F.replace(out, F.lit("\x00"), F.lit("\\"))
+    """As ``unescape``; only a newline is written as ``<``, a single backslash, ``n>``."""
+    return unescape(F.replace(role, F.lit("<\\n>"), F.lit("\n")))
 
 
 def fold_turns(events: DataFrame, conv_col: str = "conv_id") -> DataFrame:

@@ -179,8 +179,8 @@ def remove_contaminated(docs: DataFrame, bench: DataFrame, *, text_col: str = "t
 
 
 def contamination_report(docs: DataFrame, bench: DataFrame, **options: Any) -> DataFrame:
-    """The digest of each document that the contract asks for."""
+    """The digest of each document that the contract asks for, and its number of hit spans."""
     id_col = options.get("id_col", "doc_id")
     found = find_occurrences(docs, bench, **options)
     hit = (F.col("n_hit") > 0) & (20 * F.col("n_hit") >= F.col("n_words"))
-    return found.select(id_col, "n_words", "n_hit", F.size("items").cast("bigint").alias("n_items"), F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), hit.alias("contaminated"), "spans")
+    return found.select(id_col, "n_words", "n_hit", F.size("items").cast("bigint").alias("n_items"), F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), hit.alias("contaminated"), F.size("spans").cast("bigint").alias("n_spans"))

@@ -225,7 +225,7 @@ def extract(pages: DataFrame, *, id_col: str = "page_id", url_col: str = "url",
             for value in batch.column(5):
                 lines = lines_of(value.as_py())
                 keys.append(np.array(keys_of(lines), np.uint64).tobytes())
-                bodies.append(pack.compress("\x00".join(f"{how}{text if how != PLACE else ''}" for how, _, text in lines).encode("utf-8", "surrogatepass")))
+                bodies.append(pack.compress("\n".join(f"{how}{text if how != PLACE else ''}" for how, _, text in lines).encode("utf-8", "surrogatepass")))
             yield pa.RecordBatch.from_arrays([*batch.columns[:5], pa.array(keys, pa.binary()), pa.array(bodies, pa.binary())], names=parsed.names)
 
     def differ(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -233,7 +233,7 @@ def extract(pages: DataFrame, *, id_col: str = "page_id", url_col: str = "url",
 
         def solve(row: tuple, beside: tuple[tuple | None, ...]) -> str:
             body = unpack.decompress(row[6]).decode("utf-8", "surrogatepass")
-            lines = [(int(x[0]), x[1:]) for x in body.split("\x00")] if body else []
+            lines = [(int(x[0]), x[1:]) for x in body.split("\n")] if body else []
             keys = lambda r: np.frombuffer(r[5], np.uint64).tolist()
             others = [keys(r) for r in beside if r and r[2:4] == row[2:4] and r[5] != row[5]]
             return page_text(lines, keys(row), others)

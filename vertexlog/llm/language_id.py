@@ -25,6 +25,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
+from pyspark.sql.window import Window
 
 RESULT = "held_out boolean, lang_pred string, score double"
 UNKNOWN = "und"
@@ -141,18 +142,23 @@ def in_fold(id_col: Column, folds: int, fold: int) -> Column:
 
 
 def sample_texts(docs: DataFrame, *, id_col: str, text_col: str, lang_col: str, usable: Column, sample_rows: int, sample_chars: int, max_languages: int) -> dict[str, str]:
-    """About ``sample_rows`` labelled texts of each language, ``sample_chars`` characters of each language."""
+    """About ``sample_rows`` labelled texts of each language (never over twice as many, however often one id
+    occurs), ``sample_chars`` characters of each language."""
     labelled = docs.where(usable & F.col(lang_col).isNotNull() & F.col(text_col).isNotNull())
     counts = labelled.groupBy(lang_col).agg(F.count("*").alias("n")).orderBy(F.desc("n"), lang_col).limit(max_languages).collect()
     if not counts:
         return {}
     draw = F.pmod(F.xxhash64(F.col(id_col), F.lit(5)), F.lit(1_000_000))
-    each = [(F.col(lang_col) == r[0]) & (draw < int(min(1.0, sample_rows / r["n"]) * 1_000_000) + 1) for r in counts]
+    each = [(F.col(lang_col) == r[0]) & (F.col("d") < int(min(1.0, sample_rows / r["n"]) * 1_000_000) + 1) for r in counts]
     chosen = each[0]
     for c in each[1:]:
         chosen = chosen | c
     share = max(400, 4 * sample_chars // sample_rows)
-    rows = labelled.where(chosen).select(lang_col, draw.alias("d"), F.substring(text_col, 1, share).alias("t")).collect()
+    drawn = labelled.select(lang_col, draw.alias("d"), F.substring(text_col, 1, share).alias("t"))
+    place = F.row_number().over(Window.partitionBy(lang_col).orderBy("d", "t"))
+    rows = drawn.where(chosen).withColumn("place", place).where(F.col("place") <= 2 * sample_rows).drop("place").collect()
+    for lang in {r[0] for r in counts} - {r[0] for r in rows}:  # a language whose few ids all draw high
+        rows += drawn.where(F.col(lang_col) == lang).orderBy("d", "t").limit(sample_rows).collect()
     out: dict[str, str] = {}
     for lang, _, text in sorted(rows, key=lambda r: (r[0], r[1], r[2])):
         have = out.get(lang, "")

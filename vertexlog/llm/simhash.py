@@ -244,7 +244,7 @@ def near_duplicate_report(docs: DataFrame, **options: object) -> DataFrame:
 def keep_one_of_each(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", shingle: int = 4) -> DataFrame:
     """The documents without those that have a near-duplicate of smaller id; columns unchanged.
 
-    Among rows of equal id, the one with the smallest text hash stays for the id; rows with a null id stay.
+    Rows of equal id are one document: all of them stay or all go.  Rows with a null id stay.
     """
     found = near_duplicates(docs, id_col=id_col, text_col=text_col, shingle=shingle)
     gone = found.where(F.col("component_id") < F.col(id_col)).select(id_col).distinct()

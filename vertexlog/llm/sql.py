@@ -2,6 +2,28 @@
 
 WORD = r"[^\x20\x09-\x0D]"
 
+_ITEM_WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
+_ITEM_WORDS = f"regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '{_ITEM_WORD}')"
+
+DECONTAMINATION = f"""
+with d as (select doc_id, {_ITEM_WORDS} as ws from documents),
+b as (select coalesce(item_id::varchar, 'null') as item, {_ITEM_WORDS} as ws from benchmark),
+n as (select item, ws, least(13, len(ws)) as size from b where len(ws) > 0),
+p as (select item, ws, size, unnest(range(1, len(ws) - size + 2)) as i from n),
+w as (select distinct item, size, ws[i:i + size - 1] as part from p),
+s as (select distinct size from w),
+e as (select doc_id, ws, size, unnest(range(1, len(ws) - size + 2)) as i from d, s where len(ws) >= size),
+h as (select doc_id, i, e.size as size, item from e join w on e.size = w.size and e.ws[e.i:e.i + e.size - 1] = w.part),
+c as (select distinct doc_id, unnest(range(i, i + size)) as place from (select distinct doc_id, i, size from h)),
+r as (select doc_id, place - row_number() over (partition by doc_id order by place) as run from c),
+k as (select doc_id, count(*) as n_hit, count(distinct run) as n_spans from r group by doc_id),
+f as (select doc_id, count(distinct item) as n_items, array_to_string(list_sort(list(distinct item)), ',') as items from h group by doc_id)
+select d.doc_id, len(ws)::bigint as n_words, coalesce(n_hit, 0)::bigint as n_hit, coalesce(n_items, 0)::bigint as n_items,
+  sha256(coalesce(items, '')) as items_sha256, coalesce(n_hit > 0 and 20 * n_hit >= len(ws), false) as contaminated,
+  coalesce(n_spans, 0)::bigint as n_spans
+from d left join k on d.doc_id = k.doc_id left join f on d.doc_id = f.doc_id
+"""
+
 LINE_DEDUP = rf"""
 with l as (
   select doc_id, unnest(string_split(text, chr(10))) as line, generate_subscripts(string_split(text, chr(10)), 1) as i
@@ -64,7 +86,7 @@ with r as (
   select conv_id, turn, coalesce(role, '') as role, coalesce(text, '') as text from conversations
   union all select -1, 0, 'user', '</s>[INST] ok [/INST]' union all select -1, 1, 'assistant', '</s>[INST] ok [/INST]'),
 e as (
-  select *, length('<s>' || replace({_ESCAPED.format("role")}, chr(10), '\\n') || chr(10) || {_ESCAPED.format("text")} || '</s>')
+  select *, length('<s>' || replace({_ESCAPED.format("role")}, chr(10), '<\\n>') || chr(10) || {_ESCAPED.format("text")} || '</s>')
     + case when role = 'assistant' then 0 else length('[INST]  [/INST]') end as chars from r)
 select conv_id::bigint as conv_id, count(*)::bigint as n_turns,
   sha256(string_agg(role || chr(10) || text || chr(10), '' order by turn)) as turns_sha256,
@@ -74,4 +96,4 @@ select conv_id::bigint as conv_id, count(*)::bigint as n_turns,
 from e group by conv_id
 """
 
-ORACLES = {"op2_line_dedup": LINE_DEDUP, "op6_quality_rules": QUALITY, "op10_chat_formatting": CHAT}
+ORACLES = {"op1_benchmark_decontamination": DECONTAMINATION, "op2_line_dedup": LINE_DEDUP, "op6_quality_rules": QUALITY, "op10_chat_formatting": CHAT}
