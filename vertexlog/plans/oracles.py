@@ -140,6 +140,30 @@ def rank_double(name: str, rounds: int, digits: int = 9) -> str:
     return sql + f" select v, round(val, {digits}) as rank from p{rounds}"
 
 
+def rank_unconverged(name: str, rounds: int, digits: int = 6, tol: str = "1e-9") -> str:
+    """Rank pushed by those vertices only that moved in the round before; the others keep their value."""
+    sql = (
+        f"with {graph(name)}, d as materialized (select src, count(*) as c from g group by src), z as materialized (select {SIZES[name]}::bigint as n),"
+        " p0 as materialized (select unnest(range(n)) as v, (1.0::double / n) as val, true as moves from z)"
+    )
+    for k in range(1, rounds + 1):
+        sql += (
+            f", u{k} as materialized (select p.v, p.val as old, case when t.total is null then p.val else 0.15::double / (select n from z) + 0.85::double * t.total end as val from p{k - 1} p left join"
+            f" (select g.dst, sum(q.val / d.c) as total from g join p{k - 1} q on q.v = g.src join d on d.src = g.src where q.moves group by g.dst) t on t.dst = p.v),"
+            f" p{k} as materialized (select v, val, abs(val - old) >= {tol}::double as moves from u{k})"
+        )
+    return sql + f" select v, round(val, {digits}) as rank from p{rounds}"
+
+
+def long_tail(name: str, root: int, cap: int, seconds: str) -> str:
+    """Rounds, edges read and projected seconds of an edge scan and of selective reading."""
+    return _levels(name, root, cap) + (
+        ", o as (select src, count(*) as n from g group by src), x as (select count(distinct level)::int as rounds, coalesce(sum(n), 0)::bigint as useful from lv left join o on o.src = lv.v), m as (select count(*) as m from g)"
+        f" select 'edge_scan' as engine, rounds, (m * rounds)::bigint as edges_read, rounds * {seconds}::double as seconds from x, m"
+        f" union all select 'sort_reduce', rounds, useful, rounds * ({seconds}::double * useful / (m * rounds)) from x, m"
+    )
+
+
 def sssp(name: str, root: int, rounds: int) -> str:
     sql = f"with {graph(name)}, p0 as (select {root}::bigint as v, 0::bigint as dist)"
     for k in range(1, rounds + 1):

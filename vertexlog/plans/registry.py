@@ -306,7 +306,7 @@ _CONV = oracles.rank_double("partseq", 20, 6)
 add("pagerank_converged", g("partseq", partial(_converged, active="all")), _CONV)
 add("pagerank_converged_copurchase", g("copurchase", partial(_converged, active="all")), oracles.rank_double("copurchase", 20, 6))
 add("pagerank_residual", g("partseq", partial(_converged, active="residual")), _CONV)
-add("pagerank_unconverged_active", g("partseq", partial(_converged, active="unconverged", most=12)))
+add("pagerank_unconverged_active", g("partseq", partial(_converged, active="unconverged", most=12)), oracles.rank_unconverged("partseq", 12))
 
 
 def _bc(x: Graph, kind: str) -> DataFrame:
@@ -380,7 +380,7 @@ def _tail(x: Graph) -> DataFrame:
 _SE = oracles._levels("trade", 0, 8) + ", o as (select src, count(*) as n from g group by src), s as (select (level + 1)::int as step, count(*) as active, coalesce(sum(n), 0)::bigint as useful from lv left join o on o.src = lv.v group by level), m as (select count(*) as m from g)"
 add("scan_efficiency", g("trade", _efficiency), f"{_SE} select 'sort_reduce' as engine, step, active, useful as edges_read, useful from s union all select 'edge_scan', step, active, m, useful from s, m union all select 'multi_pass', step, active, m * 4, useful from s, m")
 add("trace_bfs_eventchain", g("eventchain", lambda x: x.edges.sparkSession.createDataFrame([(i, n) for i, n in enumerate(alg.bfs(x, 0).sizes)], "step int, active bigint")), oracles._levels("eventchain", 0, 120) + " select level::int as step, count(*) as active from lv group by level")
-add("long_tail_projection", g("trade", _tail))
+add("long_tail_projection", g("trade", _tail), oracles.long_tail("trade", 0, 8, "500.0"))
 _PG = f"with {oracles.graph('kron')}, l as (select dst * 8 // 8192 as page, row_number() over (order by src, dst) - 1 as ord from g)"
 add("page_reads_random", g("kron", lambda x: metrics.page_reads(metrics.log_of(x.edges)).select("random_pages", "log")), f"{_PG} select count(*) filter (b is null or b <> page) as random_pages, count(*) as log from (select page, lag(page) over (order by ord) as b from l)")
 add("page_reads_sorted", g("kron", lambda x: metrics.page_reads(metrics.log_of(x.edges)).select("sorted_pages", "log")), f"{_PG} select count(distinct page) as sorted_pages, count(*) as log from l")
@@ -494,7 +494,7 @@ def _storage(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = []
     for name in ("partseq", "copurchase", "kron"):
         x, where = GRAPHS[name](spark, sf_dir), Scratch(spark, "sizes").root
-        x.edges.select("src", "dst").repartition(1, "src").sortWithinPartitions("src", "dst").write.parquet(f"{where}/binary")
+        x.edges.select("src", "dst").repartition("src").sortWithinPartitions("src", "dst").write.parquet(f"{where}/binary")
         x.edges.select("src", "dst").write.csv(f"{where}/text", sep="\t")
         rows.append((x.name, x.edges.count(), layout.stored_bytes(spark, f"{where}/binary"), layout.stored_bytes(spark, f"{where}/text")))
     return spark.createDataFrame(rows, "graph string, edges bigint, binary bigint, text bigint")
