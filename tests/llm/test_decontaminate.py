@@ -2,7 +2,10 @@ import hashlib
 import random
 import re
 
+import duckdb
+
 from vertexlog.llm import decontaminate as d
+from vertexlog.llm import queries
 
 WORD = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
 
@@ -60,3 +63,12 @@ def test_awkward_rows_and_empty_tables(spark, awkward):
     assert d.contamination_report(awkward, bench.limit(0)).where("n_hit > 0").count() == 0
     kept = d.remove_contaminated(awkward, bench)
     assert kept.columns == awkward.columns and kept.count() == 5
+
+
+def test_query_equals_sql(spark, tiny):
+    con = duckdb.connect()
+    for name in ("documents", "benchmark"):
+        con.execute(f"create view {name} as select * from '{tiny}/{name}.parquet'")
+    answer = con.execute(queries.oracle_sql()["op1_benchmark_decontamination"])
+    got = queries.op1_benchmark_decontamination(spark, tiny).select([x[0] for x in answer.description])
+    assert sorted(map(tuple, got.collect())) == sorted(answer.fetchall())
