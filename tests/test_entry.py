@@ -8,7 +8,7 @@ import pytest
 
 import __spark_entry__ as entry
 
-SAMPLE = ["pagerank_step", "bfs_copurchase", "bc_descendants_trade", "vs_union", "degree_hist", "superstep_interleaved", "baseline_edge_scan_bfs", "asof_edges", "stream_chain_edges"]
+SAMPLE = ["pagerank_step", "bfs_copurchase", "bc_descendants_trade", "vs_union", "degree_hist", "superstep_interleaved", "baseline_edge_scan_bfs", "asof_edges", "stream_chain_edges", "pagerank_unconverged_active", "long_tail_projection"]
 
 
 def test_flagship_has_rows(spark):
