@@ -38,6 +38,31 @@ def test_passages_move_and_are_still_found(make):
     assert "different words" in got[2]["kept_text"] and long(7) in got[3]["kept_text"]
 
 
+@pytest.mark.parametrize("n_lines, n_words", [(3, 18), (4, 15), (6, 10), (8, 10), (10, 6)])
+def test_passages_of_short_lines_go_whole(make, n_lines, n_words):
+    def own(tag, n):
+        return [" ".join(f"{tag}{i}x{k}" for k in range(10)) for i in range(n)]
+
+    docs, planted = [], {}
+    for i in range(30):
+        passage = [" ".join(f"p{i}l{j}w{k}" for k in range(n_words)) for j in range(n_lines)]
+        docs += [(2 * i, "\n".join(own(f"a{i}", 4) + passage + own(f"b{i}", 3))), (2 * i + 1, "\n".join(own(f"c{i}", 3) + passage + own(f"d{i}", 5)))]
+        planted[2 * i + 1] = "\n".join(own(f"c{i}", 3) + own(f"d{i}", 5))
+    texts = dict(docs) | planted
+    assert {r["doc_id"]: r["text"] for r in line_dedup.without_repeats(make(docs)).collect()} == texts
+    rows = {r["doc_id"]: r for r in line_dedup.deduplicate_lines(make(docs), passage_words=50).collect()}
+    assert all(rows[i]["kept_text"] == t for i, t in texts.items())
+    assert all((rows[i]["removed_lines"], rows[i]["removed_words"]) == (n_lines, n_lines * n_words) for i in planted)
+
+
+def test_a_repeated_line_keeps_one_passage_and_short_runs_stay(make):
+    line = "five words in this line"
+    other = "\n".join(["own words here", *["only forty words are shared by these lines here"] * 1, "tail"])
+    docs = [(1, "\n".join([line] * 40)), (2, "x y\n" + "\n".join([line] * 12) + "\nz"), (3, other), (4, "another start\n" + other)]
+    got = {r["doc_id"]: r["text"] for r in line_dedup.without_repeats(make(docs), modulus=2**31 - 1).collect()}
+    assert got == {1: "\n".join([line] * 10), 2: "x y\nz", 3: other, 4: "another start\n" + other}
+
+
 def test_line_dedup_of_awkward_rows(awkward, make):
     got = line_dedup.deduplicate_lines(awkward)
     assert got.count() == 9 and got.where("doc_id = 1").first()["kept_text"] is None

@@ -6,6 +6,13 @@ over the last two line hashes is divisible by ``modulus``.  Chunks of two or mor
 looked up globally by a 64-bit hash; of each group the first in order of (id, chunk number) is the original.  The
 others are removed if their bytes equal the original's.
 
+That rule finds few passages of short lines, since the cuts fall where they like and the chunks at both ends take
+in neighbouring lines.  With ``passage_words`` every run of lines that is found twice and has so many words is
+removed as well: from each line the shortest run of so many words that starts there, and to each line the one that
+ends there, are looked up by 128 bits.  Together they cover any longer shared run from its first line with words to
+its last.  Runs of long lines only are left to the chunks.  The original is the first in order of (id, line); a run
+that overlaps its own original stays.  A line therefore only goes if an equal one stays at an earlier place.
+
 Plan: the first scan shuffles chunk hashes only; partial aggregates absorb a passage that a third of all rows
 share.  Texts of originals travel to their repetitions by a join that adaptive execution can split, then to
 their documents by id, where bytes are compared within the row.  No group of repetitions is ever gathered.
@@ -77,48 +84,123 @@ def repeated_chunks(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     return again.groupBy("__vl_id").agg(F.collect_set(F.struct("no", "body")).alias("__vl_again"))
 
 
-def _decided(docs: DataFrame, id_col: str, text_col: str, long_words: int, modulus: int) -> DataFrame:
-    """docs with ``__vl_cut`` (all chunks) and ``__vl_gone`` (whether the chunk is removed, in chunk order)."""
+def runs_of(text: Column, long_words: int = 20, passage_words: int = 50) -> Column:
+    """Array of (first, last, h): the shortest runs of lines of so many words from and to each line, lines from 1."""
+
+    def found(rows: Column) -> Column:
+        # the line of each word, hence a run of words names its lines without a search
+        owner = F.flatten(F.transform(rows, lambda x, k: F.array_repeat(k + 1, x["n"])))
+        return F.when(F.exists(rows, lambda x: (x["n"] > 0) & (x["n"] < long_words)), let(owner, lambda at: runs(rows, at)))
+
+    def runs(rows: Column, at: Column) -> Column:
+        line, far = lambda p: F.get(at, p), passage_words - 1
+        starts = lambda p: F.coalesce(line(p - 1) != line(p), F.lit(True))
+        ends = lambda p: F.coalesce(line(p + far + 1) != line(p + far), F.lit(True))
+        places = F.when(F.size(at) >= passage_words, F.sequence(F.lit(0), F.size(at) - passage_words))
+        chosen = F.filter(places, lambda p: (line(p) < line(p + far)) & (starts(p) | ends(p)))
+        pairs = F.array_distinct(F.transform(chosen, lambda p: F.struct(line(p).alias("first"), line(p + far).alias("last"))))
+        return F.filter(F.transform(pairs, lambda w: hashed(F.slice(rows, w["first"], w["last"] - w["first"] + 1), w)), lambda w: w["h"].isNotNull())
+
+    def hashed(part: Column, w: Column) -> Column:
+        body = F.array_join(F.transform(part, lambda x: x["line"]), "\n")
+        mixed = F.exists(part, lambda x: (x["n"] > 0) & (x["n"] < long_words))
+        return F.struct(w["first"].alias("first"), w["last"].alias("last"), F.when(mixed, F.unhex(F.md5(body.cast("binary")))).alias("h"))
+
+    lines = F.transform(F.split(text, "\n", -1), lambda x: F.struct(x.alias("line"), F.size(words_of(x)).alias("n")))
+    return F.when(text.isNotNull(), let(lines, found))
+
+
+def repeated_runs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", long_words: int = 20, passage_words: int = 50) -> DataFrame:
+    """(id, __vl_runs): for each id the runs of lines that repeat an earlier one, as array of (text hash, first, last)."""
+    cut = docs.select(F.col(id_col).alias("__vl_id"), F.xxhash64(text_col).alias("of"), F.explode(runs_of(F.col(text_col), long_words, passage_words)).alias("r"))
+    keys = materialise(cut.select("__vl_id", "of", F.col("r.first").alias("first"), F.col("r.last").alias("last"), F.col("r.h").alias("h")), "runs")
+    origin = F.min(F.struct("__vl_id", "first", "last")).alias("origin")
+    groups = keys.groupBy("h").agg(F.count("*").alias("n"), origin).where("n > 1").select("h", "origin")
+    apart = ~same(F.col("__vl_id"), F.col("origin.__vl_id")) | (F.col("first") > F.col("origin.last"))
+    again = keys.join(groups, "h").where(apart)
+    return again.groupBy("__vl_id").agg(F.collect_set(F.struct("of", "first", "last")).alias("__vl_runs"))
+
+
+def _decided(docs: DataFrame, id_col: str, text_col: str, long_words: int, modulus: int, passage_words: int | None) -> DataFrame:
+    """docs with ``__vl_cut`` (all chunks), ``__vl_gone`` (whether the chunk is removed, in chunk order) and ``__vl_runs``."""
     again = repeated_chunks(docs, id_col, text_col, long_words, modulus)
     joined = docs.join(again, same(docs[id_col], again["__vl_id"]), "left").drop("__vl_id")
+    if passage_words is None:
+        joined = joined.withColumn("__vl_runs", F.lit(None).cast("array<struct<of:bigint,first:int,last:int>>"))
+    else:
+        runs = repeated_runs(docs, id_col, text_col, long_words, passage_words)
+        joined = joined.join(runs, same(docs[id_col], runs["__vl_id"]), "left").drop("__vl_id")
+        joined = joined.withColumn("__vl_runs", F.nullif(F.filter("__vl_runs", lambda r: r["of"] == F.xxhash64(text_col)), F.array().cast("array<struct<of:bigint,first:int,last:int>>")))
     cut = joined.withColumn("__vl_cut", chunks_of(F.col(text_col), long_words, modulus))
     gone = F.transform("__vl_cut", lambda c: F.coalesce(F.array_contains(F.col("__vl_again"), F.struct(c["no"].alias("no"), c["body"].alias("body"))), F.lit(False)))
     return cut.withColumn("__vl_gone", F.when(F.col("__vl_again").isNull(), F.transform("__vl_cut", lambda c: F.lit(False))).otherwise(gone))
 
 
-def _kept_text() -> Column:
+def _kept_lines(text: Column) -> Column:
+    """Lines of a text that lie neither in a removed chunk nor in a removed run."""
+    span = "array<struct<first:int,last:int>>"
+
+    def step(a: Column, c: Column) -> Column:
+        at = F.struct((a["at"] + 1).alias("first"), (a["at"] + c["c"]["lines"]).alias("last"))
+        return F.struct((a["at"] + c["c"]["lines"]).alias("at"), F.when(c["gone"], F.array_append(a["out"], at)).otherwise(a["out"]).alias("out"))
+
+    marked = F.zip_with("__vl_cut", "__vl_gone", lambda c, g: F.struct(c.alias("c"), g.alias("gone")))
+    chunks = F.aggregate(marked, F.struct(F.lit(0).alias("at"), F.array().cast(span).alias("out")), step, lambda a: a["out"])
+    runs = F.coalesce(F.transform("__vl_runs", lambda r: F.struct(r["first"].alias("first"), r["last"].alias("last"))), F.array().cast(span))
+
+    def rest(lines: Column) -> Column:
+        def walk(a: Column, w: Column) -> Column:
+            between = F.slice(lines, a["at"], F.greatest(w["first"] - a["at"], F.lit(0)))
+            return F.struct(F.greatest(a["at"], w["last"] + 1).alias("at"), F.when(w["first"] > a["at"], F.concat(a["out"], between)).otherwise(a["out"]).alias("out"))
+
+        start = F.struct(F.lit(1).alias("at"), F.array().cast("array<string>").alias("out"))
+        tail = lambda a: F.concat(a["out"], F.slice(lines, a["at"], F.greatest(F.size(lines) - a["at"] + 1, F.lit(0))))
+        return F.aggregate(F.array_sort(F.concat(chunks, runs)), start, walk, tail)
+
+    return let(F.split(text, "\n", -1), rest)
+
+
+def _kept_text(text: Column) -> Column:
     kept = F.filter(F.col("__vl_cut"), lambda c, k: ~F.col("__vl_gone")[k])
-    return F.array_join(F.transform(kept, lambda c: c["body"]), "\n")
+    by_chunk = F.array_join(F.transform(kept, lambda c: c["body"]), "\n")
+    return F.when(F.col("__vl_runs").isNull(), by_chunk).otherwise(F.array_join(_kept_lines(text), "\n"))
 
 
-def deduplicate_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", long_words: int = 20, modulus: int = 4) -> DataFrame:
-    """One row per document: id, lines, chunks, removed chunks, lines and words, and the text that stays."""
-    decided = _decided(docs.select(id_col, text_col), id_col, text_col, long_words, modulus)
+def deduplicate_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", long_words: int = 20, modulus: int = 4, passage_words: int | None = None) -> DataFrame:
+    """One row per document: id, lines, chunks, removed chunks, lines and words, and the text that stays.
+
+    Without ``passage_words`` these are the rows of the operator's SQL, which knows the rule of chunks alone.
+    """
+    decided = _decided(docs.select(id_col, text_col), id_col, text_col, long_words, modulus, passage_words)
+    by_run = F.col("__vl_runs").isNotNull()
 
-    def total(field: str) -> Column:
+    def total(field: str, by_lines: Column) -> Column:
         gone = F.filter(F.col("__vl_cut"), lambda c, k: F.col("__vl_gone")[k])
-        return F.coalesce(F.aggregate(gone, F.lit(0), lambda a, c: a + c[field]), F.lit(0)).cast("bigint")
+        by_chunk = F.coalesce(F.aggregate(gone, F.lit(0), lambda a, c: a + c[field]), F.lit(0))
+        return F.when(by_run, by_lines).otherwise(by_chunk).cast("bigint")
 
-    text = F.when(F.col("__vl_again").isNull(), F.col(text_col)).otherwise(_kept_text())
+    kept, every = _kept_lines(F.col(text_col)), F.split(text_col, "\n", -1)
+    words = lambda lines: F.size(words_of(F.array_join(lines, "\n")))
+    text = F.when(F.col("__vl_again").isNull() & ~by_run, F.col(text_col)).otherwise(_kept_text(F.col(text_col)))
     return decided.select(
         id_col,
         F.coalesce(F.aggregate("__vl_cut", F.lit(0), lambda a, c: a + c["lines"]), F.lit(0)).cast("bigint").alias("n_lines"),
         F.coalesce(F.size("__vl_cut"), F.lit(0)).cast("bigint").alias("n_chunks"),
         F.coalesce(F.size(F.filter("__vl_gone", lambda g: g)), F.lit(0)).cast("bigint").alias("removed_chunks"),
-        total("lines").alias("removed_lines"),
-        total("words").alias("removed_words"),
+        total("lines", F.size(every) - F.size(kept)).alias("removed_lines"),
+        total("words", words(every) - words(kept)).alias("removed_words"),
         text.alias("kept_text"),
     )
 
 
-def without_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", chars_col: str | None = "n_chars", long_words: int = 20, modulus: int = 4) -> DataFrame:
-    """The documents with repeated chunks cut out; those of which nothing but white space stays are dropped.
+def without_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", chars_col: str | None = "n_chars", long_words: int = 20, modulus: int = 4, passage_words: int | None = 50) -> DataFrame:
+    """The documents with repeated chunks and runs cut out; those of which nothing but white space stays are dropped.
 
     Columns as in ``docs``; the character count follows the text where it changed.
     """
-    decided = _decided(docs, id_col, text_col, long_words, modulus)
-    changed = F.col("__vl_again").isNotNull()
-    new = decided.withColumn("__vl_text", F.when(changed, _kept_text()).otherwise(F.col(text_col))).where(~changed | (F.btrim("__vl_text", F.lit(SPACES)) != ""))
+    decided = _decided(docs, id_col, text_col, long_words, modulus, passage_words)
+    changed = F.col("__vl_again").isNotNull() | F.col("__vl_runs").isNotNull()
+    new = decided.withColumn("__vl_text", F.when(changed, _kept_text(F.col(text_col))).otherwise(F.col(text_col))).where(~changed | (F.btrim("__vl_text", F.lit(SPACES)) != ""))
     out = {text_col: F.col("__vl_text")}
     if chars_col in docs.columns:
         out[chars_col] = F.when(changed, F.length("__vl_text").cast(docs.schema[chars_col].dataType)).otherwise(F.col(chars_col))
