@@ -200,6 +200,13 @@ def test_page_text_keeps_the_article_only(spark):
     assert html_text.extract(odd).first()["text"].startswith("one\x00two")
 
 
+def test_differencing_decides_outside_the_layout(spark):
+    page = "<body><p>Site line</p><p>Lead {0}</p><article class='has-sidebar'><p>Shared in main</p><p>Story {0}</p></article><div class='search'>Find {0}</div><nav>Menu {0}</nav>{1}</body>"
+    rows = [(i, f"http://h/{i}", page.format(i, "<div class='social'><p>Only here</p></div>" if i == 1 else "")) for i in range(3)]
+    got = {r["page_id"]: r["text"].split("\n\n") for r in html_text.extract(spark.createDataFrame(rows, "page_id bigint, url string, html string")).collect()}
+    assert got == {0: ["Lead 0", "Story 0"], 1: ["Lead 1", "Story 1", "Only here"], 2: ["Lead 2", "Story 2"]}
+
+
 def test_longest_common_subsequence():
     def length(a, b):
         t = [[0] * (len(b) + 1) for _ in range(len(a) + 1)]

@@ -6,7 +6,9 @@ a longest common subsequence of lines.  Lines shared with either are the site's,
 deleted.  Lines of the layout (menus, headers, footers, sidebars, notices, adverts, forms, comments) often
 differ in wording from page to page, so they are aligned by their place instead of their words; those that no
 neighbour has are deleted as well.  Lines inside an article or main element are the page's own even where
-another page quotes them.
+another page quotes them.  Every other line stays unless a neighbour shares it, also beside an article.  Class names
+such as ``search`` or ``sidebar`` may stand on the main text too: inside an article or main element such lines are
+aligned by their words, elsewhere by their place, and in both cases they go only if shared.
 
 Plan: one pass parses pages; lines travel compressed, once, to their host's pages in path order; a task holds
 three pages at a time.  A host with more than ``host_pages`` pages is dealt out by path hash into several runs,
@@ -52,50 +54,56 @@ MAIN = frozenset("article main".split())
 LAYOUT_NAMES = frozenset(
     "ad ads advert adverts advertisement advertising banner breadcrumb breadcrumbs comment comments complementary consent contentinfo cookie"
     " cookies dialog disclaimer footer gdpr login masthead menu modal nav navbar navigation newsletter notice notices pager pagination popup"
-    " promo promoted promotion related search share sharing sidebar social sponsor sponsored subscribe subscription toolbar widget".split()
+    " promo promoted promotion related sponsor sponsored subscribe subscription toolbar widget".split()
 )
+DOUBTFUL_NAMES = frozenset("search share sharing sidebar social".split())
 MAIN_NAMES = frozenset("article main".split())
 _ENDS_P = BLOCK - {"button", "caption", "option"}
 
-TEXT, PLACE, OWN = 0, 1, 2  # how a line is aligned: by words, by place, or by words and kept
+TEXT, PLACE, OWN, DOUBT = 0, 1, 2, 3  # a line is aligned by words, by place and deleted, by words and kept, or by place
 
 
-def _kind(name: str, attributes: str, inside_main: bool) -> tuple[bool, bool]:
-    """Whether an element is layout and whether it is main content."""
+def _kind(name: str, attributes: str, inside_main: bool) -> tuple[bool, bool, bool]:
+    """Whether an element is layout, whether it is main content and whether its name leaves that open."""
     layout = name in LAYOUT or name == "header" and not inside_main
     main = name in MAIN
+    doubt = False
     if "=" in attributes:
         for key, a, b, c in _NAMES.findall(attributes):
             parts = {p for p in _PARTS.split((a or b or c).lower()) if p}
             if not parts.isdisjoint(LAYOUT_NAMES):
                 layout = True
+            elif not parts.isdisjoint(DOUBTFUL_NAMES):
+                layout, doubt = layout or key.lower() == "role", True
             elif key.lower() == "role" and not parts.isdisjoint(MAIN_NAMES):
                 main = True
     if attributes and _HIDDEN.search(attributes):
         layout = True
-    return layout, main
+    return layout, main, doubt
 
 
 def lines_of(page: str | None) -> list[tuple[int, str, str]]:
     """(how to align, place, text) of every block of text, in page order."""
     out: list[tuple[int, str, str]] = []
     words: list[str] = []
-    stack: list[tuple[str, bool, bool]] = []
-    layout = main = 0
+    stack: list[tuple[str, bool, bool, bool]] = []
+    layout = main = doubt = 0
 
     def flush() -> None:
         if words:
             text = " ".join(html.unescape("".join(words)).split())
             words.clear()
             if text:
-                out.append((PLACE if layout else OWN if main else TEXT, "/".join(s[0] for s in stack), text))
+                how = PLACE if layout else (TEXT if doubt else OWN) if main else DOUBT if doubt else TEXT
+                out.append((how, "/".join(s[0] for s in stack), text))
 
     def pop(to: int) -> None:
-        nonlocal layout, main
+        nonlocal layout, main, doubt
         while len(stack) > to:
-            _, a, b = stack.pop()
+            _, a, b, c = stack.pop()
             layout -= a
             main -= b
+            doubt -= c
 
     def close(name: str, walls: frozenset[str] | tuple[str, ...] = ()) -> None:
         for i in range(len(stack) - 1, -1, -1):
@@ -137,10 +145,11 @@ def lines_of(page: str | None) -> list[tuple[int, str, str]]:
         attributes = m.group(4)
         if attributes.endswith("/") and not block:
             continue
-        a, b = _kind(name, attributes, main > 0)
+        a, b, c = _kind(name, attributes, main > 0)
         layout += a
         main += b
-        stack.append((name, a, b))
+        doubt += c
+        stack.append((name, a, b, c))
     if at < len(page):
         rest = page[at:]
         cut = rest.find("<")
@@ -182,14 +191,13 @@ def common(a: list[int], b: list[int]) -> list[bool]:
 
 def keys_of(lines: list[tuple[int, str, str]]) -> list[int]:
     digest = xxhash.xxh64_intdigest
-    return [digest(place if how == PLACE else text, how == PLACE) for how, place, text in lines]
+    return [digest(place if how in (PLACE, DOUBT) else text, how in (PLACE, DOUBT)) for how, place, text in lines]
 
 
 def page_text(lines: list[tuple[int, str]], keys: list[int], neighbours: list[list[int]]) -> str:
     """Text left of a page after differencing; ``lines`` are (how, text)."""
     shared = [any(x) for x in zip([False] * len(keys), *(common(keys, n) for n in neighbours), strict=True)]
-    has_main = any(how == OWN for how, _ in lines)
-    kept = [text for (how, text), same in zip(lines, shared, strict=True) if how == OWN or (how == TEXT and not same and not has_main)]
+    kept = [text for (how, text), same in zip(lines, shared, strict=True) if how == OWN or (how in (TEXT, DOUBT) and not same)]
     return "\n\n".join(kept)
 
 
