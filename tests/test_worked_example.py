@@ -24,6 +24,20 @@ def rows(df):
     return sorted(tuple(r) for r in df.collect())
 
 
+def test_long_chains_are_followed_to_their_end(spark, tmp_path):
+    from vertexlog.sources import graphs
+
+    turns = [(c, t) for c in (0, 1) for t in range(1100)]
+    spark.createDataFrame(turns, "conv_id bigint, turn bigint").write.parquet(str(tmp_path / "conversations.parquet"))
+    g = graphs.dialog(spark, str(tmp_path))
+    assert {(r["v"], r["label"]) for r in alg.components(g).collect()} == {(c * 1100 + t, c * 1100) for c, t in turns}
+    chain = graph(spark, [(i, i + 1, 1) for i in range(12)], 13)
+    assert rows(alg.sssp(chain, 0)) == [(i, i) for i in range(13)]
+    for cut in (lambda: alg.sssp(chain, 0, max_steps=5), lambda: alg.components(g, max_steps=1)):
+        with pytest.raises(ValueError):
+            cut()
+
+
 def test_stage_sizes_and_movement(spark):
     x = graph(spark)
     curve = metrics.reduction_curve(metrics.log_of(x.edges), 7, 2, 2)

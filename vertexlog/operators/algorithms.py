@@ -3,12 +3,13 @@
 from __future__ import annotations
 
 from functools import reduce
+from itertools import count
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from vertexlog.operators.engines import Engine
-from vertexlog.operators.program import VertexProgram, run, semiring
+from vertexlog.operators.program import run, semiring
 from vertexlog.sources.graphs import Graph
 from vertexlog.sources.scratch import Scratch
 
@@ -299,22 +300,51 @@ def bc_multi(graph: Graph, roots: list[int]) -> DataFrame:
 # ---------------------------------------------------------------- others
 
 SHORTEST = semiring("shortest", lambda val, w: val + w, "min")
-COMPONENTS = VertexProgram("components", lambda c: c.val, "min", lambda old, new: F.least(old, new), lambda old, new: new < old)
 
 
-def sssp(graph: Graph, root: int, max_steps: int = 100, engine: Engine | None = None) -> DataFrame:
-    """(v, dist) of the vertices that a root reaches, weights from the edges."""
+def sssp(graph: Graph, root: int, max_steps: int | None = None, engine: Engine | None = None) -> DataFrame:
+    """(v, dist) of the vertices that a root reaches, weights from the edges.
+
+    Goes on until no vertex is active; a limit that is hit before that is an error, as is a cycle of negative weight.
+    """
     start = graph.edges.sparkSession.createDataFrame([(root, 0)], "v bigint, val bigint")
-    return run(graph, SHORTEST, start, max_steps=max_steps, engine=engine).values.select("v", F.col("val").alias("dist"))
+    # a shortest path has fewer edges than there are vertices; the round after its last edge finds nothing
+    done = run(graph, SHORTEST, start, max_steps=graph.n if max_steps is None else max_steps, engine=engine)
+    if done.trace and done.trace[-1][2]:
+        raise ValueError(f"vertices are still active after {done.steps()} rounds: {'a negative cycle' if max_steps is None else 'max_steps is too small'}")
+    return done.values.select("v", F.col("val").alias("dist"))
+
 
+def components(graph: Graph, max_steps: int | None = None) -> DataFrame:
+    """(v, label): smallest vertex of each component, for every vertex with an edge.
 
-def components(graph: Graph, max_steps: int = 100) -> DataFrame:
-    """(v, label): smallest vertex of each component, for every vertex with an edge."""
+    Star contraction: every vertex hands its larger neighbours to the smallest it knows, then its smaller ones, until
+    nothing moves.  The number of rounds grows with the logarithm of a chain's length, not with the length.  A limit
+    that is hit before the end is an error.
+    """
     ends = graph.edges.select(F.col("src").alias("v")).unionByName(graph.edges.select(F.col("dst").alias("v"))).distinct()
-    both = graph.edges.select("src", "dst").unionByName(graph.edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"))).distinct()
-    start = ends.select("v", F.col("v").alias("val"))
-    found = run(Graph(graph.name, both, graph.n).stored(), COMPONENTS, start, max_steps=max_steps)
-    return found.values.select("v", F.col("val").alias("label"))
+    scratch = Scratch(graph.edges.sparkSession, "components")
+    links = scratch.keep(graph.edges.where("src <> dst").select(F.greatest("src", "dst").alias("a"), F.least("src", "dst").alias("b")).distinct())
+
+    def larger(pairs: DataFrame) -> DataFrame:
+        both = pairs.unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b")))
+        least = both.groupBy("a").agg(F.least("a", F.min("b")).alias("m"))
+        return both.where("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).distinct()
+
+    def smaller(pairs: DataFrame) -> DataFrame:
+        least = pairs.groupBy("a").agg(F.min("b").alias("m"))
+        moved = pairs.join(least, "a").where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b"))
+        return moved.unionByName(least.select("a", F.col("m").alias("b"))).distinct()
+
+    for step in count(1):
+        after = scratch.keep(smaller(scratch.keep(larger(links))))
+        same = after.count() == links.count() and not after.join(links, ["a", "b"], "left_anti").limit(1).count()
+        links = after
+        if same:
+            break
+        if max_steps is not None and step >= max_steps:
+            raise ValueError(f"components still change after {step} rounds: max_steps is too small")
+    return ends.join(links, ends["v"] == links["a"], "left").select("v", F.coalesce("b", "v").alias("label"))
 
 
 def label_vote(graph: Graph, rounds: int) -> DataFrame:

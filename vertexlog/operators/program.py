@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 from dataclasses import dataclass, field
+from itertools import count
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -67,8 +68,8 @@ def commit(updates: DataFrame, current: DataFrame, program: VertexProgram, sweep
     return joined.withColumn("new", new).select("v", F.col("new").alias("val"), on.alias("active"))
 
 
-def run(graph: Graph, program: VertexProgram, start: DataFrame, *, max_steps: int = 100, engine: Engine | None = None, max_lists: int = 8) -> RunResult:
-    """Supersteps until no vertex is active or ``max_steps`` are done.
+def run(graph: Graph, program: VertexProgram, start: DataFrame, *, max_steps: int | None = 100, engine: Engine | None = None, max_lists: int = 8) -> RunResult:
+    """Supersteps until no vertex is active or ``max_steps`` are done; without a limit, until no vertex is active.
 
     One write per round; the number of newly active vertices comes from the written files.  Lists are compacted
     when there are more than ``max_lists``, so plans stay short however many rounds there are.
@@ -80,7 +81,7 @@ def run(graph: Graph, program: VertexProgram, start: DataFrame, *, max_steps: in
     log = UpdateLog(graph.edges.sparkSession, program.name)
     active, trace = log.append(0, start.select("v", "val")), []
     size = active.count()
-    for step in range(1, max_steps + 1):
+    for step in count(1) if max_steps is None else range(1, max_steps + 1):
         if not size:
             break
         updates = engine.round(active, edges, program.edge(EdgeContext(step=step)), program.reducer, size)

@@ -101,11 +101,16 @@ def weblink(spark: SparkSession, sf_dir: str) -> Graph:
 
 
 def dialog(spark: SparkSession, sf_dir: str) -> Graph:
-    """A turn to the next one of its conversation; a turn's number is 1024 times the conversation plus the turn."""
+    """A turn to the next one of its conversation; a turn's number is 1024 times the conversation plus the turn.
+
+    Where a turn is numbered 1024 or more, the factor is one more than the largest, so that conversations stay apart.
+    """
     t = load(spark, sf_dir, "conversations").select("conv_id", "turn")
+    last = t.agg(F.max("conv_id").alias("c"), F.max("turn").alias("t")).first()
+    apart = max(1024, int(last["t"]) + 1)
     nxt = F.lead("turn").over(Window.partitionBy("conv_id").orderBy("turn"))
-    e = t.select((F.col("conv_id") * 1024 + F.col("turn")).alias("src"), (F.col("conv_id") * 1024 + nxt).alias("dst")).where("dst is not null")
-    return Graph("g_dialog", e, 1024 * (int(t.agg(F.max("conv_id")).first()[0]) + 1))
+    e = t.select((F.col("conv_id") * apart + F.col("turn")).alias("src"), (F.col("conv_id") * apart + nxt).alias("dst")).where("dst is not null")
+    return Graph("g_dialog", e, apart * (int(last["c"]) + 1))
 
 
 def kron_edges(spark: SparkSession, edges: int, scale: int) -> DataFrame:
