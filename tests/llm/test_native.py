@@ -122,6 +122,19 @@ def test_chat_round_trip(spark):
     assert chat_format.conversation_report(table.limit(0)).count() == 1
 
 
+def test_rows_that_share_a_turn_all_stay(spark, tmp_path):
+    rows = [(1, 0, "user", "a"), (1, 0, "user", "a"), (1, 1, "assistant", "b"), (1, 1, "assistant", "c"), (1, 2, "user", "d"), (2, 0, "user", "q"), (2, None, "assistant", "end"), (2, 1, "assistant", "x"), (2, None, "assistant", "end")]
+    path = f"{tmp_path}/conversations.parquet"
+    spark.createDataFrame(rows, "conv_id bigint, turn bigint, role string, text string").coalesce(1).write.parquet(path)
+    con = duckdb.connect()
+    con.execute(f"create view conversations as select * from '{path}/*.parquet' order by conv_id, turn, role, text")
+    answer = con.execute(queries.oracle_sql()["op10_chat_formatting"])
+    columns = [x[0] for x in answer.description]
+    got = queries.op10_chat_formatting(spark, str(tmp_path)).select(columns)
+    assert sorted(map(tuple, got.collect())) == sorted(answer.fetchall())
+    assert {r["conv_id"]: r["n_turns"] for r in got.collect()} == {-1: 2, 1: 5, 2: 4}
+
+
 def test_events_fold_into_final_messages(spark):
     log = [
         (1, 1, 0, "message", "user", "hi"), (1, 2, 1, "delta", "assistant", "He"), (1, 3, 1, "delta", "assistant", "llo"), (1, 4, 2, "message", "user", "more"),

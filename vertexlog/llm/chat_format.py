@@ -18,19 +18,24 @@ written in the same way.
 
 Defined results: a null text or role is empty; events of equal sequence number are taken in order of kind, role
 and text, identical ones once; a null turn or sequence number comes first; null conversation ids form one
-conversation; an empty log gives no conversations.
+conversation; an empty log gives no conversations.  In a table of finished turns every row is a turn of its own:
+rows of one turn number stay side by side in order of role and text, and those without a number come last.
 """
 
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from vertexlog.llm.common import let
 
 #: Control strings of the template; fixed values.
 CONTROLS = ("<s>", "</s>", "[INST]", "[/INST]")
 
+#: Columns that place a turn in its conversation; a log has ``turn`` alone, rows of finished turns have all.
+PLACE = ("late", "turn", "copy")
+
 
 def escape(text: Column) -> Column:
     out = F.replace(text, F.lit("\\"), F.lit("\\\\"))
@@ -70,13 +75,14 @@ def fold_turns(events: DataFrame, conv_col: str = "conv_id") -> DataFrame:
         )
 
     event = F.struct(F.col("seq").cast("bigint").alias("seq"), F.col("kind"), F.col("role"), F.col("text"))
-    grouped = events.groupBy(conv_col, "turn").agg(F.array_sort(F.collect_set(event)).alias("e"))
-    return grouped.select(conv_col, "turn", F.aggregate("e", blank, apply).alias("s")).select(conv_col, "turn", "s.*")
+    place = [c for c in PLACE if c in events.columns]
+    grouped = events.groupBy(conv_col, *place).agg(F.array_sort(F.collect_set(event)).alias("e"))
+    return grouped.select(conv_col, *place, F.aggregate("e", blank, apply).alias("s")).select(conv_col, *place, "s.*")
 
 
 def render(turns: DataFrame, conv_col: str = "conv_id") -> DataFrame:
     """Folded turns -> (conversation, formatted): one string per conversation."""
-    turn = F.struct(F.col("turn").alias("turn"), "last", "anew", "role", "text")
+    turn = F.struct(*(c for c in PLACE if c in turns.columns), "last", "anew", "role", "text")
 
     def live(all_turns: Column) -> Column:
         """Turns that no earlier turn's regeneration has discarded."""
@@ -122,8 +128,11 @@ def format_log(events: DataFrame, conv_col: str = "conv_id") -> DataFrame:
 
 
 def rows_as_events(rows: DataFrame, conv_col: str = "conv_id") -> DataFrame:
-    """A table of finished turns as a log of ``message`` events."""
-    return rows.select(conv_col, F.col("turn").cast("bigint").alias("turn"), F.col("turn").cast("bigint").alias("seq"), F.lit("message").alias("kind"), "role", "text")
+    """A table of finished turns as a log of ``message`` events, one turn for each row."""
+    turn = F.col("turn").cast("bigint")
+    numbered = rows.select(conv_col, turn.isNull().alias("late"), turn.alias("turn"), turn.alias("seq"), F.lit("message").alias("kind"), "role", "text")
+    beside = Window.partitionBy(conv_col, "turn").orderBy("role", "text")
+    return numbered.withColumn("copy", F.row_number().over(beside))
 
 
 def conversation_report(rows: DataFrame) -> DataFrame:
