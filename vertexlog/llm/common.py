@@ -9,6 +9,8 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -17,27 +19,50 @@ from pyspark.sql import functions as F
 SPACES = " \t\n\x0b\f\r"
 SPACE_RUN = "[\\x20\\x09-\\x0D]+"
 
+_SCOPES: list[list[str]] = []
+
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """Folder that driver and executors share; a temporary one only where the session names none (tests)."""
+    """Folder that driver and executors share; a temporary one only where the session is local and names none (tests)."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
     own = spark.conf.get("vertexlog.scratch", None)
     if not own:
+        master = spark.sparkContext.master
+        if master != "local" and not master.startswith("local["):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         own = tempfile.mkdtemp(prefix="vertexlog-")
         spark.conf.set("vertexlog.scratch", own)
     return own
 
 
+def _fresh(spark: SparkSession, tag: str) -> str:
+    path = f"{shared_dir(spark)}/vertexlog/{tag}-{uuid.uuid4().hex}"
+    if _SCOPES:
+        _SCOPES[-1].append(path)
+    return path
+
+
+@contextmanager
+def temporary(spark: SparkSession) -> Iterator[None]:
+    """Deletes the intermediate tables made inside, once what was computed from them has been written elsewhere."""
+    _SCOPES.append([])
+    try:
+        yield
+    finally:
+        for path in _SCOPES.pop():
+            drop_path(spark, path)
+
+
 def materialise(df: DataFrame, tag: str) -> DataFrame:
     """Write ``df`` once into the shared folder and read it back: cuts lineage, survives lost executors."""
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/vertexlog/{tag}-{uuid.uuid4().hex}"
+    path = _fresh(spark, tag)
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
@@ -53,7 +78,7 @@ class Scratch:
 
     def __init__(self, spark: SparkSession, tag: str) -> None:
         self.spark = spark
-        self.root = f"{shared_dir(spark)}/vertexlog/{tag}-{uuid.uuid4().hex}"
+        self.root = _fresh(spark, tag)
         self.made: list[str] = []
 
     def keep(self, df: DataFrame) -> DataFrame:
@@ -82,3 +107,12 @@ def words_of(text: Column) -> Column:
 def let(value: Column, body) -> Column:
     """``body`` of a value that is computed once per row, however often the body uses it."""
     return F.element_at(F.transform(F.array(value), body), 1)
+
+
+def once(df: DataFrame, name: str, value: Column) -> DataFrame:
+    """``df`` with a column that is computed once per row.
+
+    A plain column is copied by the optimizer to every place that reads it, filters included; nothing is copied
+    through a generator, so the value goes through one that makes one row of each.
+    """
+    return df.select("*", F.explode(F.array(value)).alias(name))

@@ -63,32 +63,42 @@ def _both(links: DataFrame) -> DataFrame:
     return links.unionByName(links.select(F.col("v").alias("u"), F.col("u").alias("v")))
 
 
-def _large_star(links: DataFrame) -> DataFrame:
-    ends = _both(links)
-    least = ends.groupBy("u").agg(F.min("v").alias("m"))
-    return ends.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.least("u", "m").alias("v"))
+def _with_least(links: DataFrame, salts: int) -> DataFrame:
+    """links with ``m``, the smallest v of each u.
 
+    A hub is a key with many rows, so links are dealt out by (u, salt of v).  The least of each such part comes first,
+    then the least of all parts, which goes back to those parts only that occur: rows of a hub meet by their parts.
+    """
+    dealt = links.withColumn("s", F.pmod(F.xxhash64("v"), F.lit(salts)).cast("int"))
+    part = dealt.groupBy("u", "s").agg(F.min("v").alias("m"))
+    least = part.groupBy("u").agg(F.min("m").alias("m"), F.collect_list("s").alias("s")).select("u", F.explode("s").alias("s"), "m")
+    return dealt.join(least, ["u", "s"]).select("u", "v", "m")
+
+
+def _large_star(links: DataFrame, salts: int) -> DataFrame:
+    return _with_least(_both(links), salts).where("v > u").select(F.col("v").alias("u"), F.least("u", "m").alias("v"))
 
-def _small_star(links: DataFrame) -> DataFrame:
-    least = links.groupBy("u").agg(F.min("v").alias("m"))
-    moved = links.join(least, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
-    return moved.unionByName(least.select("u", F.col("m").alias("v"))).distinct()
 
+def _small_star(links: DataFrame, salts: int) -> DataFrame:
+    met = _with_least(links, salts)
+    moved = met.select(F.when(F.col("v") == F.col("m"), F.col("u")).otherwise(F.col("v")).alias("u"), F.col("m").alias("v"))
+    return moved.distinct()
 
-def components(links: DataFrame, max_rounds: int = 60) -> DataFrame:
+
+def components(links: DataFrame, salts: int = 256) -> DataFrame:
     """(u, v) -> (u, root): every node that is not the smallest of its component, with that smallest node.
 
-    Links may come in any direction, repeat, or join a node with itself.  An empty table gives an empty one.
+    Links may come in any direction, repeat, or join a node with itself.  An empty table gives an empty one.  Rounds
+    go on until nothing changes; their number grows with the logarithm of the longest chain.
     """
     scratch = Scratch(links.sparkSession, "components")
     down = links.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"))
     now = scratch.keep(down.mapInArrow(contract, LINKS).distinct())
     mark = None
-    for _ in range(max_rounds):
-        now = scratch.keep(_small_star(_large_star(now)))
+    while True:
+        now = scratch.keep(_small_star(scratch.keep(_large_star(now, salts)), salts))
         seen = now.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
-        scratch.forget(2)
+        scratch.forget(1)
         if mark == seen or not seen[0]:
-            break
+            return now.select("u", F.col("v").alias("root"))
         mark = seen
-    return now.select("u", F.col("v").alias("root"))
