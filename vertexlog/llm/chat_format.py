@@ -14,7 +14,8 @@ conversation are put in order and rendered.  Everything is DataFrame functions;
 Template: every turn is ``<s>role`` + newline + body + ``</s>``; the body of an assistant is its text, that of
 any other role ``[INST] text [/INST]``.  Inside roles and texts, backslashes are doubled and a backslash is put
 after the first character of each control string, which ``unescape`` undoes exactly; a newline in a role is
-written in the same way.
+written in the same way.  The loss mask is a list of (start, length) in code points of the formatted string: the
+escaped text of every assistant turn, without the marks around it.
 
 Defined results: a null text or role is empty; events of equal sequence number are taken in order of kind, role
 and text, identical ones once; a null turn or sequence number comes first; null conversation ids form one
@@ -28,10 +29,11 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from vertexlog.llm.common import let
+from vertexlog.llm.common import let, once
 
 #: Control strings of the template; fixed values.
 CONTROLS = ("<s>", "</s>", "[INST]", "[/INST]")
+END = "</s>"
 
 #: Columns that place a turn in its conversation; a log has ``turn`` alone, rows of finished turns have all.
 PLACE = ("late", "turn", "copy")
@@ -80,36 +82,67 @@ def fold_turns(events: DataFrame, conv_col: str = "conv_id") -> DataFrame:
     return grouped.select(conv_col, *place, F.aggregate("e", blank, apply).alias("s")).select(conv_col, *place, "s.*")
 
 
+def running(sizes: Column, block: int = 1000) -> Column:
+    """Sums of all sizes before each, in blocks, so that appending stays cheap for very many."""
+
+    def before(part: Column, start: Column) -> Column:
+        step = lambda a, n: F.struct((a["at"] + n).alias("at"), F.array_append(a["out"], a["at"]).alias("out"))
+        return F.aggregate(part, F.struct(start.alias("at"), F.array().cast("array<bigint>").alias("out")), step, lambda a: a["out"])
+
+    zero = F.lit(0).cast("bigint")
+    starts = F.when(F.size(sizes) > 0, F.sequence(F.lit(1), F.size(sizes), F.lit(block))).otherwise(F.array().cast("array<int>"))
+    blocks = F.transform(starts, lambda i: F.slice(sizes, i, F.lit(block)))
+    totals = lambda b: before(F.transform(b, lambda p: F.aggregate(p, zero, lambda a, n: a + n)), zero)
+    return let(blocks, lambda b: F.flatten(F.zip_with(b, totals(b), before)))
+
+
 def render(turns: DataFrame, conv_col: str = "conv_id") -> DataFrame:
-    """Folded turns -> (conversation, formatted): one string per conversation."""
+    """Folded turns -> (conversation, formatted, loss): one string per conversation and its loss mask."""
     turn = F.struct(*(c for c in PLACE if c in turns.columns), "last", "anew", "role", "text")
+    written = "array<struct<head:string,body:string,loss:boolean>>"
 
     def live(all_turns: Column) -> Column:
         """Turns that no earlier turn's regeneration has discarded."""
         step = lambda a, t: F.struct(
             F.greatest(a["since"], t["anew"]).alias("since"),
-            F.when(a["since"].isNull() | F.coalesce(t["last"] >= a["since"], F.lit(True)), F.array_append(a["kept"], _turn_string(t))).otherwise(a["kept"]).alias("kept"),
+            F.when(a["since"].isNull() | F.coalesce(t["last"] >= a["since"], F.lit(True)), F.array_append(a["kept"], _written(t))).otherwise(a["kept"]).alias("kept"),
         )
-        return F.aggregate(all_turns, F.struct(F.lit(None).cast("bigint").alias("since"), F.array().cast("array<string>").alias("kept")), step, lambda a: a["kept"])
-
-    def plain(all_turns: Column) -> Column:
-        return F.transform(all_turns, _turn_string)
+        return F.aggregate(all_turns, F.struct(F.lit(None).cast("bigint").alias("since"), F.array().cast(written).alias("kept")), step, lambda a: a["kept"])
 
     ordered = F.array_sort(F.collect_list(turn))
-    return (
-        turns.groupBy(conv_col)
-        .agg(ordered.alias("t"), F.max("anew").alias("anew"))
-        .select(conv_col, F.array_join(F.when(F.col("anew").isNull(), plain(F.col("t"))).otherwise(live(F.col("t"))), "").alias("formatted"))
-    )
+    kept = F.when(F.col("anew").isNull(), F.transform("t", _written)).otherwise(live(F.col("t")))
+    made = once(turns.groupBy(conv_col).agg(ordered.alias("t"), F.max("anew").alias("anew")), "w", kept)
+    sizes = F.transform("w", lambda x: (F.length(x["head"]) + F.length(x["body"]) + len(END)).cast("bigint"))
+    mask = F.zip_with("w", running(sizes), lambda x, at: F.struct((at + F.length(x["head"])).alias("start"), F.length(x["body"]).cast("bigint").alias("length"), x["loss"].alias("loss")))
+    loss = F.transform(F.filter(mask, lambda x: x["loss"]), lambda x: F.struct(x["start"].alias("start"), x["length"].alias("length")))
+    return made.select(conv_col, F.array_join(F.transform("w", lambda x: F.concat(x["head"], x["body"], F.lit(END))), "").alias("formatted"), loss.alias("loss"))
+
+
+def _written(t: Column) -> Column:
+    """A turn as what stands before its text, its text, and whether that counts for the loss."""
+    own = t["role"] == "assistant"
+    head = F.concat(F.lit("<s>"), escape_role(t["role"]), F.lit("\n"), F.when(own, "").otherwise("[INST] "))
+    return F.struct(head.alias("head"), F.concat(escape(t["text"]), F.when(own, "").otherwise(" [/INST]")).alias("body"), own.alias("loss"))
+
+
+def masked(formatted: Column, loss: Column) -> Column:
+    """Array of the unescaped texts under a loss mask, each cut from its own turn and not from the string's start."""
+
+    def cut(turns: Column) -> Column:
+        starts = running(F.transform(turns, lambda x: (F.length(x) + len(END)).cast("bigint")))
+        at = F.zip_with(turns, starts, lambda x, i: F.struct(i.alias("at"), F.lit(0).alias("span"), x.alias("text"), F.lit(0).cast("bigint").alias("length")))
+        spans = F.transform(loss, lambda x: F.struct(x["start"].alias("at"), F.lit(1).alias("span"), F.lit(None).cast("string").alias("text"), x["length"].alias("length")))
+        return let(F.array_sort(F.concat(at, spans)), lambda row: F.filter(F.transform(row, lambda x, i: under(row, x, i)), lambda t: t.isNotNull()))
 
+    def under(row: Column, x: Column, i: Column) -> Column:
+        turn = F.get(row, i - 1)  # a span comes right behind the turn it lies in
+        return F.when(x["span"] == 1, unescape(F.substring(turn["text"], (x["at"] - turn["at"] + 1).cast("int"), x["length"].cast("int"))))
 
-def _turn_string(t: Column) -> Column:
-    body = F.when(t["role"] == "assistant", escape(t["text"])).otherwise(F.concat(F.lit("[INST] "), escape(t["text"]), F.lit(" [/INST]")))
-    return F.concat(F.lit("<s>"), escape_role(t["role"]), F.lit("\n"), body, F.lit("</s>"))
+    return let(F.split(formatted, END, -1), cut)
 
 
 def read_back(formatted: Column) -> Column:
-    """Array of (role, text) of a formatted conversation; the text of an assistant is what the loss mask covers."""
+    """Array of (role, text) of a formatted conversation."""
 
     def one(piece: Column) -> Column:
         cut = F.locate("\n", piece)
@@ -123,7 +156,7 @@ def read_back(formatted: Column) -> Column:
 
 
 def format_log(events: DataFrame, conv_col: str = "conv_id") -> DataFrame:
-    """The whole operator: event log -> (conversation, formatted)."""
+    """The whole operator: event log -> (conversation, formatted, loss)."""
     return render(fold_turns(events, conv_col), conv_col)
 
 
@@ -141,9 +174,10 @@ def conversation_report(rows: DataFrame) -> DataFrame:
     hard = "</s>[INST] ok [/INST]"
     extra = spark.range(2).select(F.lit(-1).cast("bigint").alias("conv_id"), F.col("id").alias("turn"), F.when(F.col("id") == 0, "user").otherwise("assistant").alias("role"), F.lit(hard).alias("text"))
     done = format_log(rows_as_events(rows.select("conv_id", "turn", "role", "text").unionByName(extra)))
-    back = done.select("conv_id", F.length("formatted").cast("bigint").alias("formatted_chars"), read_back(F.col("formatted")).alias("t"))
+    found = F.struct(read_back(F.col("formatted")).alias("t"), masked(F.col("formatted"), F.col("loss")).alias("l"))
+    back = once(done, "b", found).select("conv_id", F.length("formatted").cast("bigint").alias("formatted_chars"), "b.t", "b.l")
     turns = F.array_join(F.transform("t", lambda x: F.concat(x["role"], F.lit("\n"), x["text"], F.lit("\n"))), "")
-    loss = F.array_join(F.transform(F.filter("t", lambda x: x["role"] == "assistant"), lambda x: x["text"]), "")
+    loss = F.array_join("l", "")
     return back.select(
         "conv_id",
         F.size("t").cast("bigint").alias("n_turns"),

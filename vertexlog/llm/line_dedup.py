@@ -14,8 +14,9 @@ its last.  Runs of long lines only are left to the chunks.  The original is the
 that overlaps its own original stays.  A line therefore only goes if an equal one stays at an earlier place.
 
 Plan: the first scan shuffles chunk hashes only; partial aggregates absorb a passage that a third of all rows
-share.  Texts of originals travel to their repetitions by a join that adaptive execution can split, then to
-their documents by id, where bytes are compared within the row.  No group of repetitions is ever gathered.
+share.  Originals' bytes are cut from their documents, which a join by id finds, travel to their repetitions by a join
+that adaptive execution can split, then to the documents by id, where bytes are compared within the row.  A text is
+cut once in each of these steps, and in the last one only if something in it repeats.  No group is ever gathered.
 
 Defined results: a null text stays null with no lines; the empty text has one empty line.  Rows of equal id are
 versions of one document and get equal decisions; a null id is an id.  An empty table gives an empty one.
@@ -26,7 +27,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from vertexlog.llm.common import SPACES, let, materialise, same, words_of
+from vertexlog.llm.common import SPACES, let, materialise, once, same, words_of
 
 #: Multiplier and modulus of the rolling hash; fixed values.
 BASE, PRIME = 31, 2147483647
@@ -76,10 +77,12 @@ def repeated_chunks(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     keys = materialise(wanted.select("__vl_id", F.col("c.no").alias("no"), F.xxhash64("c.body").alias("h")), "chunks")
     groups = keys.groupBy("h").agg(F.count("*").alias("n"), F.min(F.struct("__vl_id", "no")).alias("first")).where("n > 1")
     others = keys.join(groups.select("h", "first"), "h").where(~same(F.struct("__vl_id", "no"), F.col("first")))
-    origin = groups.select("h", F.col("first.__vl_id").alias("__vl_id"), F.col("first.no").alias("no"))
-    bodies = wanted.select(F.col("__vl_id").alias("id_"), F.col("c.no").alias("no_"), F.xxhash64("c.body").alias("h_"), F.col("c.body").alias("body"))
-    found = origin.join(bodies, same(F.col("__vl_id"), F.col("id_")) & (F.col("no") == F.col("no_")) & (F.col("h") == F.col("h_")))
-    originals = found.groupBy("h").agg(F.min("body").alias("body"))
+    # the documents that hold originals are found by id first, so no other chunk's bytes travel
+    origin = groups.groupBy(F.col("first.__vl_id").alias("__vl_id")).agg(F.collect_set(F.struct(F.col("first.no").alias("no"), F.col("h").alias("h"))).alias("__vl_first"))
+    texts = docs.select(F.col(id_col).alias("id_"), F.col(text_col).alias("text_"))
+    held = texts.join(origin, same(F.col("id_"), F.col("__vl_id"))).select("__vl_first", F.explode(chunks_of(F.col("text_"), long_words, modulus)).alias("c"))
+    named = held.withColumn("h", F.xxhash64("c.body")).where(F.array_contains("__vl_first", F.struct(F.col("c.no").alias("no"), F.col("h").alias("h"))))
+    originals = named.groupBy("h").agg(F.min("c.body").alias("body"))
     again = others.select("__vl_id", "no", "h").join(originals, "h")
     return again.groupBy("__vl_id").agg(F.collect_set(F.struct("no", "body")).alias("__vl_again"))
 
@@ -121,30 +124,33 @@ def repeated_runs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     return again.groupBy("__vl_id").agg(F.collect_set(F.struct("of", "first", "last")).alias("__vl_runs"))
 
 
-def _decided(docs: DataFrame, id_col: str, text_col: str, long_words: int, modulus: int, passage_words: int | None) -> DataFrame:
-    """docs with ``__vl_cut`` (all chunks), ``__vl_gone`` (whether the chunk is removed, in chunk order) and ``__vl_runs``."""
+def _flagged(docs: DataFrame, id_col: str, text_col: str, long_words: int, modulus: int, passage_words: int | None) -> DataFrame:
+    """docs with ``__vl_again`` and ``__vl_runs``, both null where nothing repeats."""
     again = repeated_chunks(docs, id_col, text_col, long_words, modulus)
     joined = docs.join(again, same(docs[id_col], again["__vl_id"]), "left").drop("__vl_id")
     if passage_words is None:
-        joined = joined.withColumn("__vl_runs", F.lit(None).cast("array<struct<of:bigint,first:int,last:int>>"))
-    else:
-        runs = repeated_runs(docs, id_col, text_col, long_words, passage_words)
-        joined = joined.join(runs, same(docs[id_col], runs["__vl_id"]), "left").drop("__vl_id")
-        joined = joined.withColumn("__vl_runs", F.nullif(F.filter("__vl_runs", lambda r: r["of"] == F.xxhash64(text_col)), F.array().cast("array<struct<of:bigint,first:int,last:int>>")))
-    cut = joined.withColumn("__vl_cut", chunks_of(F.col(text_col), long_words, modulus))
-    gone = F.transform("__vl_cut", lambda c: F.coalesce(F.array_contains(F.col("__vl_again"), F.struct(c["no"].alias("no"), c["body"].alias("body"))), F.lit(False)))
-    return cut.withColumn("__vl_gone", F.when(F.col("__vl_again").isNull(), F.transform("__vl_cut", lambda c: F.lit(False))).otherwise(gone))
+        return joined.withColumn("__vl_runs", F.lit(None).cast("array<struct<of:bigint,first:int,last:int>>"))
+    runs = repeated_runs(docs, id_col, text_col, long_words, passage_words)
+    joined = joined.join(runs, same(docs[id_col], runs["__vl_id"]), "left").drop("__vl_id")
+    own = let(F.xxhash64(text_col), lambda h: F.filter("__vl_runs", lambda r: r["of"] == h))
+    return joined.withColumn("__vl_runs", F.when(F.col("__vl_runs").isNotNull(), F.nullif(own, F.array().cast("array<struct<of:bigint,first:int,last:int>>"))))
 
 
-def _kept_lines(text: Column) -> Column:
+def _chunk_flags(cut: Column) -> Column:
+    """For each chunk whether it is removed: its number and its bytes equal those of an original."""
+    gone = lambda c: F.array_contains(F.col("__vl_again"), F.struct(c["no"].alias("no"), c["body"].alias("body")))
+    return F.when(F.col("__vl_again").isNull(), F.transform(cut, lambda c: F.lit(False))).otherwise(F.transform(cut, gone))
+
+
+def _kept_lines(text: Column, cut: Column, gone: Column) -> Column:
     """Lines of a text that lie neither in a removed chunk nor in a removed run."""
     span = "array<struct<first:int,last:int>>"
 
     def step(a: Column, c: Column) -> Column:
-        at = F.struct((a["at"] + 1).alias("first"), (a["at"] + c["c"]["lines"]).alias("last"))
-        return F.struct((a["at"] + c["c"]["lines"]).alias("at"), F.when(c["gone"], F.array_append(a["out"], at)).otherwise(a["out"]).alias("out"))
+        at = F.struct((a["at"] + 1).alias("first"), (a["at"] + c["lines"]).alias("last"))
+        return F.struct((a["at"] + c["lines"]).alias("at"), F.when(c["gone"], F.array_append(a["out"], at)).otherwise(a["out"]).alias("out"))
 
-    marked = F.zip_with("__vl_cut", "__vl_gone", lambda c, g: F.struct(c.alias("c"), g.alias("gone")))
+    marked = F.zip_with(cut, gone, lambda c, g: F.struct(c["lines"].alias("lines"), g.alias("gone")))
     chunks = F.aggregate(marked, F.struct(F.lit(0).alias("at"), F.array().cast(span).alias("out")), step, lambda a: a["out"])
     runs = F.coalesce(F.transform("__vl_runs", lambda r: F.struct(r["first"].alias("first"), r["last"].alias("last"))), F.array().cast(span))
 
@@ -160,10 +166,9 @@ def _kept_lines(text: Column) -> Column:
     return let(F.split(text, "\n", -1), rest)
 
 
-def _kept_text(text: Column) -> Column:
-    kept = F.filter(F.col("__vl_cut"), lambda c, k: ~F.col("__vl_gone")[k])
-    by_chunk = F.array_join(F.transform(kept, lambda c: c["body"]), "\n")
-    return F.when(F.col("__vl_runs").isNull(), by_chunk).otherwise(F.array_join(_kept_lines(text), "\n"))
+def _kept_text(text: Column, cut: Column, gone: Column) -> Column:
+    by_chunk = F.array_join(F.transform(F.filter(cut, lambda c, k: ~gone[k]), lambda c: c["body"]), "\n")
+    return F.when(F.col("__vl_runs").isNull(), by_chunk).otherwise(F.array_join(_kept_lines(text, cut, gone), "\n"))
 
 
 def deduplicate_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", long_words: int = 20, modulus: int = 4, passage_words: int | None = None) -> DataFrame:
@@ -171,26 +176,29 @@ def deduplicate_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str
 
     Without ``passage_words`` these are the rows of the operator's SQL, which knows the rule of chunks alone.
     """
-    decided = _decided(docs.select(id_col, text_col), id_col, text_col, long_words, modulus, passage_words)
-    by_run = F.col("__vl_runs").isNotNull()
+    flagged = _flagged(docs.select(id_col, text_col), id_col, text_col, long_words, modulus, passage_words)
+    by_run, source = F.col("__vl_runs").isNotNull(), F.col(text_col)
+    words = lambda lines: F.size(words_of(F.array_join(lines, "\n")))
 
-    def total(field: str, by_lines: Column) -> Column:
-        gone = F.filter(F.col("__vl_cut"), lambda c, k: F.col("__vl_gone")[k])
-        by_chunk = F.coalesce(F.aggregate(gone, F.lit(0), lambda a, c: a + c[field]), F.lit(0))
-        return F.when(by_run, by_lines).otherwise(by_chunk).cast("bigint")
+    def total(cut: Column, gone: Column, field: str, by_lines: Column) -> Column:
+        lost = F.aggregate(F.filter(cut, lambda c, k: gone[k]), F.lit(0), lambda a, c: a + c[field])
+        return F.when(by_run, by_lines).otherwise(lost).cast("bigint")
+
+    def row(cut: Column, gone: Column) -> Column:
+        kept, every = _kept_lines(source, cut, gone), F.split(source, "\n", -1)
+        return F.struct(
+            F.aggregate(cut, F.lit(0), lambda a, c: a + c["lines"]).cast("bigint").alias("n_lines"),
+            F.size(cut).cast("bigint").alias("n_chunks"),
+            F.size(F.filter(gone, lambda g: g)).cast("bigint").alias("removed_chunks"),
+            total(cut, gone, "lines", F.size(every) - F.size(kept)).alias("removed_lines"),
+            total(cut, gone, "words", words(every) - words(kept)).alias("removed_words"),
+            F.when(F.col("__vl_again").isNull() & ~by_run, source).otherwise(_kept_text(source, cut, gone)).alias("kept_text"),
+        )
 
-    kept, every = _kept_lines(F.col(text_col)), F.split(text_col, "\n", -1)
-    words = lambda lines: F.size(words_of(F.array_join(lines, "\n")))
-    text = F.when(F.col("__vl_again").isNull() & ~by_run, F.col(text_col)).otherwise(_kept_text(F.col(text_col)))
-    return decided.select(
-        id_col,
-        F.coalesce(F.aggregate("__vl_cut", F.lit(0), lambda a, c: a + c["lines"]), F.lit(0)).cast("bigint").alias("n_lines"),
-        F.coalesce(F.size("__vl_cut"), F.lit(0)).cast("bigint").alias("n_chunks"),
-        F.coalesce(F.size(F.filter("__vl_gone", lambda g: g)), F.lit(0)).cast("bigint").alias("removed_chunks"),
-        total("lines", F.size(every) - F.size(kept)).alias("removed_lines"),
-        total("words", words(every) - words(kept)).alias("removed_words"),
-        text.alias("kept_text"),
-    )
+    made = let(chunks_of(source, long_words, modulus), lambda cut: let(_chunk_flags(cut), lambda gone: row(cut, gone)))
+    done = once(flagged, "r", F.when(source.isNotNull(), made))
+    counts = ("n_lines", "n_chunks", "removed_chunks", "removed_lines", "removed_words")
+    return done.select(id_col, *(F.coalesce(f"r.{c}", F.lit(0).cast("bigint")).alias(c) for c in counts), F.col("r.kept_text").alias("kept_text"))
 
 
 def without_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", chars_col: str | None = "n_chars", long_words: int = 20, modulus: int = 4, passage_words: int | None = 50) -> DataFrame:
@@ -198,10 +206,11 @@ def without_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
 
     Columns as in ``docs``; the character count follows the text where it changed.
     """
-    decided = _decided(docs, id_col, text_col, long_words, modulus, passage_words)
-    changed = F.col("__vl_again").isNotNull() | F.col("__vl_runs").isNotNull()
-    new = decided.withColumn("__vl_text", F.when(changed, _kept_text(F.col(text_col))).otherwise(F.col(text_col))).where(~changed | (F.btrim("__vl_text", F.lit(SPACES)) != ""))
+    flagged = _flagged(docs, id_col, text_col, long_words, modulus, passage_words)
+    changed, source = F.col("__vl_again").isNotNull() | F.col("__vl_runs").isNotNull(), F.col(text_col)
+    new = let(chunks_of(source, long_words, modulus), lambda cut: let(_chunk_flags(cut), lambda gone: _kept_text(source, cut, gone)))
+    done = once(flagged, "__vl_text", F.when(changed, new).otherwise(source)).where(~changed | (F.btrim("__vl_text", F.lit(SPACES)) != ""))
     out = {text_col: F.col("__vl_text")}
     if chars_col in docs.columns:
         out[chars_col] = F.when(changed, F.length("__vl_text").cast(docs.schema[chars_col].dataType)).otherwise(F.col(chars_col))
-    return new.select(*(out.get(c, F.col(c)).alias(c) for c in docs.columns))
+    return done.select(*(out.get(c, F.col(c)).alias(c) for c in docs.columns))

@@ -5,7 +5,7 @@ share of failing documents is then shrunk towards all hosts by a beta prior whos
 mean and variance of the hosts' failure rates, so a host of few documents is judged mostly by what hosts are
 like.  Documents of a host whose shrunk rate exceeds ``max_rate`` are rejected with it.
 
-Plan: measuring needs no shuffle and is done once, into a narrow table; hosts are a partial aggregate, so a host
+Plan: measuring needs no shuffle and is done once, into a table (narrow, or with the texts that pass); hosts are a partial aggregate, so a host
 that holds a third of all rows costs no more than others; verdicts come back by a broadcast join while hosts are
 few (``broadcast_hosts``), else by a join that adaptive execution can split.
 
@@ -18,7 +18,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from vertexlog.llm.common import let, materialise, same, words_of
+from vertexlog.llm.common import let, materialise, once, same, words_of
 
 SYMBOLS = "#*$%&|<>"
 MEASURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
@@ -27,8 +27,8 @@ MEASURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words
 def repeated_words(words: Column, few: int = 48) -> Column:
     """Words inside three-word windows that the text has twice or more.
 
-    Texts whose window hashes all differ are done at once; else the hashes are sorted to find the repeated ones.  Windows start at most ``few`` different repeated hashes
-    are looked up directly; beyond that, (hash, place) pairs are sorted instead, so the time stays n log n.
+    Texts whose window hashes all differ are done at once; else the hashes are sorted to find the repeated ones.  At most
+    ``few`` different ones are looked up directly; beyond that, (hash, place) pairs are sorted, so the time stays n log n.
     """
 
     def covered(places: Column) -> Column:
@@ -112,9 +112,12 @@ def judge(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", ho
 
 def keep_good(docs: DataFrame, *, text_col: str = "text", host_col: str = "source", prior_weight: float = 20.0, max_rate: float = 0.6, broadcast_hosts: int = 10_000) -> DataFrame:
     """The documents that pass their own rules and whose host passes; columns unchanged."""
-    plain = docs.withColumn("__vl_m", measures(F.col(text_col)))
+    measured = once(docs, "__vl_m", measures(F.col(text_col)))
     failed = (F.col("__vl_m.n_words") < 50) | (100 * F.col("__vl_m.n_repeat_words") > 50 * F.col("__vl_m.n_words"))
-    passed = plain.where(~failed).select(docs.columns)
-    hosts = _bad_hosts(plain.select(F.col(host_col).alias("__host"), failed.alias("base_failed")), "__host", prior_weight, max_rate, broadcast_hosts)
+    # texts are measured once; those that fail by themselves leave their host and verdict only
+    columns = [F.when(~F.col("__vl_failed"), F.col(c)).alias(c) if c == text_col else F.col(c) for c in docs.columns]
+    table = materialise(once(measured, "__vl_failed", failed).select(*columns, "__vl_failed"), "judged")
+    hosts = _bad_hosts(table.select(F.col(host_col).alias("__host"), F.col("__vl_failed").alias("base_failed")), "__host", prior_weight, max_rate, broadcast_hosts)
     bad = hosts.where("host_rejected").select(F.col("host").alias("__vl_bad"))
+    passed = table.where("not __vl_failed")
     return passed.join(bad, same(passed[host_col], F.col("__vl_bad")), "left_anti").select(docs.columns)

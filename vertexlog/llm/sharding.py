@@ -6,13 +6,13 @@ full, the rows that would go there continue clockwise to the next point whose sh
 ``slack = 0`` capacities add up to the number of rows, so counts differ by one at most; a larger slack moves
 fewer rows when a shard is added.
 
-Plan: ids, sizes and checksums go into a narrow table once.  The driver sees one count per slice (a fixed
-number) and returns at most ``slices + shards`` segments, which are broadcast.  A row's rank in its slice is its
-rank among the rows of its slice and input partition plus the counts before, so no key, however frequent,
-gathers in one task.
+Plan: ids, sizes and checksums go into a narrow table of distinct rows and how often each occurs.  The driver sees one
+count per slice (a fixed number) and returns at most ``slices + shards`` segments, which are broadcast.  A row's rank
+in its slice is its place by (id, size, checksum), so results depend neither on files nor on tasks; a row that a third
+of the table repeats is one row with a count until it is unfolded, in runs of ``run`` ranks.
 
-Defined results: null text has no bytes; null ids share a slice; repeated rows are placed one by one; an empty
-table gives an empty one.  Which rows of a slice overflow follows the order of input partitions.
+Defined results: null text has no bytes; null ids share a slice and come first in it; repeated rows are placed one by
+one, side by side; an empty table gives an empty one.
 """
 
 from __future__ import annotations
@@ -85,27 +85,25 @@ def place(counts: dict[int, int], shards: int, replicas: int = 128, slice_bits:
     return out
 
 
-def shard_rows(docs: DataFrame, *, shards: int = 40, id_col: str = "doc_id", text_col: str = "text", overhead: int = 16, replicas: int = 128, slice_bits: int = 14, slack: float = 0.0) -> DataFrame:
+def shard_rows(docs: DataFrame, *, shards: int = 40, id_col: str = "doc_id", text_col: str = "text", overhead: int = 16, replicas: int = 128, slice_bits: int = 14, slack: float = 0.0, run: int = 10_000) -> DataFrame:
     """(id, size, text_crc32, shard, slot) for every row."""
     spark = docs.sparkSession
-    scratch = Scratch(spark, "shards")
     text = F.coalesce(F.col(text_col), F.lit(""))
-    rows = scratch.keep(
-        docs.select(
-            F.col(id_col).alias("__id"),
-            (F.octet_length(text) + overhead).cast("bigint").alias("size"),
-            F.crc32(text.cast("binary")).alias("text_crc32"),
-            F.shiftrightunsigned(F.xxhash64(F.col(id_col)), 64 - slice_bits).cast("int").alias("slice"),
-            F.spark_partition_id().alias("part"),
-        )
+    each = docs.select(
+        F.col(id_col).alias("__id"),
+        (F.octet_length(text) + overhead).cast("bigint").alias("size"),
+        F.crc32(text.cast("binary")).alias("text_crc32"),
+        F.shiftrightunsigned(F.xxhash64(F.col(id_col)), 64 - slice_bits).cast("int").alias("slice"),
     )
-    counts = rows.groupBy("slice", "part").agg(F.count("*").alias("n"))
-    per_slice = {r["slice"]: r["n"] for r in counts.groupBy("slice").agg(F.sum("n").alias("n")).toLocalIterator()}
+    rows = Scratch(spark, "shards").keep(each.groupBy(each.columns).agg(F.count("*").alias("n")))
+    per_slice = {r["slice"]: r["n"] for r in rows.groupBy("slice").agg(F.sum("n").alias("n")).toLocalIterator()}
     segments = spark.createDataFrame(place(per_slice, shards, replicas, slice_bits, slack), SEGMENTS)
-    before = counts.select("slice", "part", (F.sum("n").over(Window.partitionBy("slice").orderBy("part")) - F.col("n")).alias("before"))
-    own = F.row_number().over(Window.partitionBy("slice", "part").orderBy("__id", "size", "text_crc32")) - 1
-    ranked = rows.withColumn("own", own).join(before, ["slice", "part"]).withColumn("rank", F.col("own") + F.col("before"))
-    placed = ranked.join(F.broadcast(segments), "slice").where("rank >= low and rank < high")
+    after = F.sum("n").over(Window.partitionBy("slice").orderBy("__id", "size", "text_crc32"))
+    parts = rows.withColumn("end", after).withColumn("first", F.col("end") - F.col("n"))
+    cut = parts.join(F.broadcast(segments), "slice").where("first < high and end > low")
+    ranks = cut.withColumn("a", F.greatest("first", "low")).withColumn("b", F.least("end", "high") - 1)
+    runs = ranks.withColumn("a", F.explode(F.sequence("a", "b", F.lit(run).cast("bigint")))).withColumn("b", F.least("b", F.col("a") + run - 1))
+    placed = runs.withColumn("rank", F.explode(F.sequence("a", "b")))
     return placed.select(F.col("__id").alias(id_col), "size", "text_crc32", "shard", (F.col("base") + F.col("rank") - F.col("low")).alias("slot"))
 
 
