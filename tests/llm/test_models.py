@@ -54,12 +54,59 @@ def test_language_of_awkward_rows(awkward, make):
     got = {str(r["doc_id"]): r for r in language_id.identify(awkward).collect()}
     assert got["1"]["lang_pred"] == "und" and got["7"]["lang_pred"] == "und" and got["6"]["lang_pred"] != "und"
     assert language_id.identify(awkward.limit(0)).count() == 0
-    hot = language_id.sample_texts(make([(2, "ab cd", "en")] * 900 + [(3, "xy z", "fr")]), id_col="doc_id", text_col="text", lang_col="lang", usable=F.lit(True), sample_rows=4, sample_chars=10_000, max_languages=9)
+    hot = language_id.sample_texts(make([(2, "ab cd", "en")] * 900 + [(3, "xy z", "fr")]), id_col="doc_id", text_col="text", lang_col="lang", usable=F.lit(True), sample_rows=4, sample_chars=10_000, most_languages=9)
     assert set(hot) == {"en", "fr"} and set(hot["en"].split("\n")) == {"", "ab cd"} and len(hot["en"]) <= 6 * 8 and hot["fr"] == "\nxy z"
     nothing = language_id.identify(make([(1, "some text", None)])).first()
     assert nothing["lang_pred"] == "und" and nothing["score"] == 0.0
 
 
+def brute_phrases(text, sample):
+    """Longest matches one character at a time, in segments of 256, over lower-case letters and one other symbol."""
+    import unicodedata
+
+    def plain(t):
+        return "".join((c.lower() if len(c.lower()) == 1 else c) if unicodedata.category(c)[0] == "L" else "\0" for c in t)
+
+    source, n = plain(sample), 0
+    for i in range(0, len(text), 256):
+        part, start = plain(text[i : i + 256]), 0
+        n += 1
+        for end in range(len(part)):
+            if part[start : end + 1] not in source:
+                n += 1
+                start = end if part[end] in source else end + 1
+    return n
+
+
+def test_language_query_equals_brute_force(make):
+    r = np.random.default_rng(4)
+    scripts = {"la": "abcdefghij", "cy": "абвгдежз", "ha": [chr(0x4E00 + i) for i in range(300)], "go": [chr(0x10330 + i) for i in range(20)], "yo": "èéabc"}
+    word = lambda k: "".join(r.choice(list(scripts[k]), r.integers(1, 6)))
+    rows = []
+    for i in range(120):
+        lang = list(scripts)[i % 5]
+        rows.append((i, " ".join(word(lang) for _ in range(r.integers(1, 90))) + (" " + word("la") if i % 7 == 0 else ""), lang if i % 4 else None))
+    rows += [(900, "\U0001f600 12 \U0001d7ce", "la"), (901, "İabc İ", "la"), (902, "12 34", None)]
+    docs = make(rows)
+    usable = ~language_id.in_fold(F.col("doc_id"), 3, 1)
+    samples = language_id.sample_texts(docs, id_col="doc_id", text_col="text", lang_col="lang", usable=usable, sample_rows=64, sample_chars=24_000, most_languages=99)
+    assert set(samples) == set(scripts)
+    got = {x["doc_id"]: x for x in language_id.identify(docs).collect()}
+    for i, text, _ in rows:
+        assert got[i]["held_out"] == (zlib.crc32(str(i).encode()) % 3 == 1)
+        if i in (900, 902):
+            assert got[i]["lang_pred"] == "und" and got[i]["score"] == 0
+            continue
+        cost = {k: brute_phrases(text, s) * math.log2(max(2, len(s))) for k, s in samples.items()}
+        best = sorted((c, k) for k, c in cost.items())
+        assert got[i]["lang_pred"] == best[0][1] and abs(got[i]["score"] - (1 - best[0][0] / best[1][0])) < 1e-9, i
+    assert sum(got[i]["lang_pred"] == k for i, _, k in rows if k and got[i]["held_out"]) >= 0.95 * sum(bool(k) and got[i]["held_out"] for i, _, k in rows) - 1
+    many = make([(i, f"text {i}", f"l{i}") for i in range(0, 300, 3)])
+    assert len(language_id.sample_texts(many, id_col="doc_id", text_col="text", lang_col="lang", usable=F.lit(True), sample_rows=64, sample_chars=100, most_languages=100)) == 100
+    with pytest.raises(ValueError):
+        language_id.identify(many, most_languages=5)
+
+
 CASES = ["", "a", "  two  spaces", "tab\t here", "x \n y", "foo\n\n bar", "it's we'll ok", "<|endoftext|> z", "É à ñ 漢字 12 3.5", "end ", "\n", "a\n \nb", "nb sp  x"]
 
 

@@ -4,19 +4,24 @@ For each language an automaton of all substrings of a bounded sample of its labe
 cut, against each automaton, into the longest phrases that occur in that language's sample.  The language that
 needs the fewest phrases, weighted by the logarithm of its sample's length, wins.
 
+Every language has an alphabet of its own, of all letters of its sample: the commonest have a place in its transition
+table, the moves of the others are looked up in a sorted list.  A letter that the sample lacks always ends a phrase;
+everything that is no letter is one symbol.  Every labelled language is learned.  Automata are kept as sorted lists of
+moves, a few hundred kilobytes each, and only the one that is being parsed against is unfolded into a table.
+
 Texts are parsed whole, in segments of ``segment`` characters so that many are parsed in step by table lookups;
-a phrase ends at a segment's end.  Only the sample travels: at most ``sample_rows`` texts and ``sample_chars``
-characters of each of at most ``max_languages`` languages.  Every other step is a pass without a shuffle.
+a phrase ends at a segment's end.  Only the sample travels: at most twice ``sample_rows`` texts and ``sample_chars``
+characters of each language.  Every other step is a pass without a shuffle.
 
-Defined results: a null text or one without letters is ``und`` with score 0, as is everything if nothing is
-labelled; ties go to the language first in order; with one language the score is 1; repeated rows get equal
-results; a null id is neither held out nor learned from.
+Defined results: a null text or one without letters (by Unicode category, in all planes) is ``und`` with score 0, as is
+everything if nothing is labelled; ties go to the language first in order; with one language the score is 1; repeated
+rows get equal results; a null id is neither held out nor learned from; more than ``most_languages`` different labels
+are an error, since such labels name no languages.
 """
 
 from __future__ import annotations
 
 import unicodedata
-from collections import Counter
 from collections.abc import Iterator
 from typing import Any
 
@@ -62,69 +67,126 @@ class Automaton:
                     link[q] = link[now] = twin
             last = now
 
-    def table(self, width: int) -> np.ndarray:
-        """Flat table [state * width + symbol]: the next state, or ~state after a phrase break; symbol 0 stays."""
-        root = np.zeros(width, np.int32)
-        for c, to in self.next[0].items():
-            root[c] = to
-        out = np.empty((len(self.next), width), np.int32)
-        out[:] = ~root
-        for s, moves in enumerate(self.next):
-            for c, to in moves.items():
-                out[s, c] = to
-        out[:, 0] = np.arange(len(self.next))
-        return out.ravel()
+    def moves(self) -> tuple[np.ndarray, np.ndarray]:
+        """(state << 32 | symbol, next state) of all moves, sorted."""
+        keys = np.array([s << 32 | c for s, out in enumerate(self.next) for c in out], np.int64)
+        to = np.array([t for out in self.next for t in out.values()], np.int32)
+        order = np.argsort(keys)
+        return keys[order], to[order]
+
+
+#: Symbols of every alphabet: padding, no letter, a letter that the sample lacks; letters follow by frequency.
+PAD, OTHER, FOREIGN, FIRST = 0, 1, 2, 3
+
+
+class Language:
+    """One language's alphabet and automaton, small while it is not in use."""
+
+    def __init__(self, sample: str, letter: np.ndarray, lower: np.ndarray, width: int = 64) -> None:
+        codes = lower[_codes(sample)]
+        kinds, times = np.unique(codes[letter[codes]], return_counts=True)
+        self.letters, self.width = kinds[np.lexsort((kinds, -times))], width
+        symbols = self._symbols(letter, lower)[_codes(sample)]
+        built = Automaton(symbols.tolist())
+        self.states, (self.keys, self.to) = len(built.next), built.moves()
+        self.weight = float(np.log2(max(2, len(symbols))))
+
+    def _symbols(self, letter: np.ndarray, lower: np.ndarray) -> np.ndarray:
+        """Symbol of every code point."""
+        small = np.where(letter, FOREIGN, OTHER).astype(np.int32)
+        small[self.letters] = np.arange(FIRST, FIRST + len(self.letters), dtype=np.int32)
+        return np.where(letter, small[lower], OTHER).astype(np.int32)
+
+    def unfold(self, letter: np.ndarray, lower: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Symbols by code point, and a flat table [state * width + symbol] of the commonest symbols' moves.
+
+        The table gives the next state, or ~state after a phrase break; padding stays where it is.
+        """
+        symbol, from_state = self.keys & 0xFFFFFFFF, self.keys >> 32
+        near = symbol < self.width
+        root = np.zeros(self.width, np.int32)
+        first = near & (from_state == 0)
+        root[symbol[first]] = self.to[first]
+        table = np.empty((self.states, self.width), np.int32)
+        table[:] = ~root
+        table[from_state[near], symbol[near]] = self.to[near]
+        table[:, PAD] = np.arange(self.states)
+        return self._symbols(letter, lower), table.ravel()
+
+    def rare(self, state: np.ndarray, symbol: np.ndarray) -> np.ndarray:
+        """Moves by symbols beyond the table, in the table's way of writing."""
+
+        def look(at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+            key = at.astype(np.int64) << 32 | symbol
+            place = np.minimum(np.searchsorted(self.keys, key), len(self.keys) - 1)
+            return self.keys[place] == key, self.to[place]
+
+        found, to = look(state)
+        anew, start = look(np.zeros_like(state))
+        return np.where(found, to, ~np.where(anew, start, 0))
+
+
+def _codes(text: str) -> np.ndarray:
+    return np.frombuffer(text.encode("utf-32-le", "surrogatepass"), "<u4")
+
+
+def letters_and_lower() -> tuple[np.ndarray, np.ndarray]:
+    """For every code point, whether it is a letter, and its lower case where that is one letter."""
+    letter, lower = np.zeros(0x110000, bool), np.arange(0x110000, dtype=np.uint32)
+    for code in range(0x110000):
+        c = chr(code)
+        if unicodedata.category(c)[0] == "L":
+            letter[code] = True
+            small = c.lower()
+            if small != c and len(small) == 1:
+                lower[code] = ord(small)
+    return letter, lower
 
 
 class CrossParser:
-    """All automata with their common alphabet: 0 pads, 1 is everything that is no known letter."""
+    """All languages, parsed one after the other."""
 
-    def __init__(self, samples: dict[str, str], letters: int = 62, segment: int = 256) -> None:
+    def __init__(self, samples: dict[str, str], segment: int = 256, width: int = 64) -> None:
         self.names, self.segment = sorted(samples), segment
-        seen = Counter(c for text in samples.values() for c in text.lower() if c.isalpha() and ord(c) < 65536)
-        known = {c: i + 2 for i, (c, _) in enumerate(sorted(seen.items(), key=lambda x: (-x[1], x[0]))[:letters])}
-        self.width = len(known) + 2
-        self.symbol, self.letter = np.ones(65537, np.uint8), np.zeros(65537, bool)
-        for code in range(65536):
-            c = chr(code)
-            if unicodedata.category(c)[0] == "L":
-                self.letter[code] = True
-                self.symbol[code] = known.get(c.lower(), 1)
-        self.letter[65536] = True
-        self.weights, self.tables = [], []
-        for name in self.names:
-            symbols = self.symbol[self._codes(samples[name])]
-            self.tables.append(Automaton(symbols.tolist()).table(self.width))
-            self.weights.append(np.log2(max(2, len(symbols))))
-
-    @staticmethod
-    def _codes(text: str) -> np.ndarray:
-        return np.minimum(np.frombuffer(text.encode("utf-32-le", "surrogatepass"), "<u4"), 65536)
+        self.letter, self.lower = letters_and_lower()
+        self.languages = [Language(samples[name], self.letter, self.lower, width) for name in self.names]
 
     def phrases(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(texts x languages) weighted phrases per character, characters, and whether a text has letters."""
-        codes = [self._codes(t) for t in texts]
+        codes = [_codes(t) for t in texts]
         sizes = np.array([len(c) for c in codes], np.int64)
         rows = -(-sizes // self.segment)
-        grid = np.zeros((int(rows.sum()), self.segment), np.uint8)
-        flat, at, letters = grid.ravel(), 0, np.zeros(len(texts), bool)
+        grid = np.zeros((int(rows.sum()), self.segment), np.uint32)
+        pad = np.ones(grid.shape, bool)
+        flat, real, at, letters = grid.ravel(), pad.ravel(), 0, np.zeros(len(texts), bool)
         for i, c in enumerate(codes):
-            flat[at : at + len(c)] = self.symbol[c]
+            flat[at : at + len(c)] = c
+            real[at : at + len(c)] = False
             letters[i] = bool(self.letter[c].any())
             at += int(rows[i]) * self.segment
-        steps = np.ascontiguousarray(grid.T)
+        steps, pads = np.ascontiguousarray(grid.T), np.ascontiguousarray(pad.T)
         owner = np.repeat(np.arange(len(texts)), rows)
         out = np.zeros((len(texts), len(self.names)))
-        for k, table in enumerate(self.tables):
-            state, count = np.zeros(len(grid), np.int32), np.ones(len(grid), np.int32)
-            for step in steps:
-                state *= self.width
-                state += step
-                state = table[state]
+        for k, language in enumerate(self.languages):
+            symbols, table = language.unfold(self.letter, self.lower)
+            state, count, width = np.zeros(len(grid), np.int32), np.ones(len(grid), np.int32), language.width
+            many = FIRST + len(language.letters) > width
+            for step, gap in zip(steps, pads, strict=True):
+                symbol = symbols[step]
+                symbol[gap] = PAD
+                if many and len(beyond := np.flatnonzero(symbol >= width)):
+                    moved = language.rare(state[beyond], symbol[beyond])
+                    symbol[beyond] = PAD
+                    state = table[state * width + symbol]
+                    state[beyond] = moved
+                else:
+                    state *= width
+                    state += symbol
+                    state = table[state]
                 broke = state >> 31
                 count -= broke
                 state ^= broke
-            out[:, k] = np.bincount(owner, count, len(texts)) * self.weights[k] / np.maximum(sizes, 1)
+            out[:, k] = np.bincount(owner, count, len(texts)) * language.weight / np.maximum(sizes, 1)
         return out, sizes, letters
 
     def predict(self, texts: list[str]) -> tuple[list[str], list[float]]:
@@ -141,23 +203,25 @@ def in_fold(id_col: Column, folds: int, fold: int) -> Column:
     return F.coalesce(F.pmod(F.crc32(id_col.cast("string").cast("binary")), F.lit(folds)) == fold, F.lit(False))
 
 
-def sample_texts(docs: DataFrame, *, id_col: str, text_col: str, lang_col: str, usable: Column, sample_rows: int, sample_chars: int, max_languages: int) -> dict[str, str]:
+def sample_texts(docs: DataFrame, *, id_col: str, text_col: str, lang_col: str, usable: Column, sample_rows: int, sample_chars: int, most_languages: int) -> dict[str, str]:
     """About ``sample_rows`` labelled texts of each language (never over twice as many, however often one id
     occurs), ``sample_chars`` characters of each language."""
     labelled = docs.where(usable & F.col(lang_col).isNotNull() & F.col(text_col).isNotNull())
-    counts = labelled.groupBy(lang_col).agg(F.count("*").alias("n")).orderBy(F.desc("n"), lang_col).limit(max_languages).collect()
-    if not counts:
+    counts = labelled.groupBy(lang_col).agg(F.count("*").alias("n"))
+    known = counts.limit(most_languages + 1).collect()
+    if len(known) > most_languages:
+        raise ValueError(f"more than {most_languages} different labels in {lang_col}")
+    if not known:
         return {}
     draw = F.pmod(F.xxhash64(F.col(id_col), F.lit(5)), F.lit(1_000_000))
-    each = [(F.col(lang_col) == r[0]) & (F.col("d") < int(min(1.0, sample_rows / r["n"]) * 1_000_000) + 1) for r in counts]
-    chosen = each[0]
-    for c in each[1:]:
-        chosen = chosen | c
+    below = F.least(F.lit(1.0), F.lit(float(sample_rows)) / F.col("n")) * 1_000_000 + 1
     share = max(400, 4 * sample_chars // sample_rows)
+    shares = docs.sparkSession.createDataFrame([(r[0], r["n"]) for r in known], T.StructType([labelled.schema[lang_col], T.StructField("n", T.LongType())]))
     drawn = labelled.select(lang_col, draw.alias("d"), F.substring(text_col, 1, share).alias("t"))
+    chosen = drawn.join(F.broadcast(shares), lang_col).where(F.col("d") < below).drop("n")
     place = F.row_number().over(Window.partitionBy(lang_col).orderBy("d", "t"))
-    rows = drawn.where(chosen).withColumn("place", place).where(F.col("place") <= 2 * sample_rows).drop("place").collect()
-    for lang in {r[0] for r in counts} - {r[0] for r in rows}:  # a language whose few ids all draw high
+    rows = chosen.withColumn("place", place).where(F.col("place") <= 2 * sample_rows).drop("place").collect()
+    for lang in {r[0] for r in known} - {r[0] for r in rows}:  # a language whose few ids all draw high
         rows += drawn.where(F.col(lang_col) == lang).orderBy("d", "t").limit(sample_rows).collect()
     out: dict[str, str] = {}
     for lang, _, text in sorted(rows, key=lambda r: (r[0], r[1], r[2])):
@@ -167,10 +231,10 @@ def sample_texts(docs: DataFrame, *, id_col: str, text_col: str, lang_col: str,
     return out
 
 
-def identify(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", folds: int = 3, fold: int = 1, sample_rows: int = 64, sample_chars: int = 24_000, max_languages: int = 64) -> DataFrame:
+def identify(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", folds: int = 3, fold: int = 1, sample_rows: int = 64, sample_chars: int = 24_000, most_languages: int = 4096) -> DataFrame:
     """(id, held_out, lang_pred, score) for every row; learned from labelled rows outside the held-out fold."""
     usable = F.col(id_col).isNotNull() & ~in_fold(F.col(id_col), folds, fold)
-    samples = sample_texts(docs, id_col=id_col, text_col=text_col, lang_col=lang_col, usable=usable, sample_rows=sample_rows, sample_chars=sample_chars, max_languages=max_languages)
+    samples = sample_texts(docs, id_col=id_col, text_col=text_col, lang_col=lang_col, usable=usable, sample_rows=sample_rows, sample_chars=sample_chars, most_languages=most_languages)
     key = hash(tuple(sorted(samples.items())))
     shared = docs.sparkSession.sparkContext.broadcast(samples)
     source = docs.select(F.col(id_col), in_fold(F.col(id_col), folds, fold).alias("held_out"), F.col(text_col).alias("__text"))
