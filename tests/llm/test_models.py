@@ -236,12 +236,9 @@ PAGE = """<html><head><title>T</title><style>x</style></head><body><header>Site<
 def test_page_text_keeps_the_article_only(spark):
     rows = [(1, "http://h/a/1", PAGE), (2, "http://h/a/2", PAGE.replace("Second", "Other")), (3, "http://k/", None), (4, None, ""), (5, "http://h/a/3", "<p>shared line</p><p>own three</p>"), (6, "http://h/a/4", "<p>shared line</p><p>own four"), (1, "http://h/a/1", PAGE)]
     table = spark.createDataFrame([(*r, "x") for r in rows], "page_id bigint, url string, html string, text string")
-    for limit in (1000, 1):
-        got = {r["page_id"]: r["text"] for r in html_text.extract(table, host_pages=limit).collect()}
-        assert got[1] == "A & B\n\nFirst line <b>\n\nSecond bold text" and got[2].endswith("Other bold text")
-        assert got[3] == got[4] == ""
-        if limit == 1000:
-            assert got[5] == "own three" and got[6] == "own four"
+    got = {r["page_id"]: r["text"] for r in html_text.extract(table).collect()}
+    assert got[1] == "A & B\n\nFirst line <b>\n\nSecond bold text" and got[2].endswith("Other bold text")
+    assert got[3] == got[4] == "" and got[5] == "own three" and got[6] == "own four"
     assert html_text.extract(table.limit(0)).count() == 0
     odd = spark.createDataFrame([(9, "http://z/", "<p>one\x00two\x00</p>\x00<p>\x00</p>")], "page_id bigint, url string, html string")
     assert html_text.extract(odd).first()["text"].startswith("one\x00two")
@@ -254,6 +251,91 @@ def test_differencing_decides_outside_the_layout(spark):
     assert got == {0: ["Lead 0", "Story 0"], 1: ["Lead 1", "Story 1", "Only here"], 2: ["Lead 2", "Story 2"]}
 
 
+def test_names_do_not_hide_the_main_text(spark):
+    story = "".join(f"<p>Story line {i} of some length</p>" for i in range(5))
+    pages = [
+        f"<body class='no-sidebar ad-free'><article>{story}</article><div class='ad'>Buy</div></body>",
+        f"<div class='search widget'><article class='search-engines related'>{story}</article></div>",
+        f"<p>intro</p><article>teaser</article>{story}",
+        f"<article>{story}</article><div class='comments'><article>Nice!</article></div>",
+        f"<article>{story}<p>5 <b and more\n",
+    ]
+    rows = [(i, f"http://h{i}/", p) for i, p in enumerate(pages)]
+    got = {r["page_id"]: r["text"].split("\n\n") for r in html_text.extract(spark.createDataFrame(rows, "page_id bigint, url string, html string")).collect()}
+    plain = [f"Story line {i} of some length" for i in range(5)]
+    assert got == {0: plain, 1: plain, 2: ["intro", "teaser", *plain], 3: plain, 4: [*plain, "5"]}
+
+
+def test_broken_pages_take_linear_time():
+    import time
+
+    for bad in ("<a ", "<a", '<a "', "<a '\">", "<b></x>", "<p>x", "<svg>", "<!", "<div class='a' ", "<p><table><b>"):
+        start = time.perf_counter()
+        html_text.lines_of(bad * (1_000_000 // len(bad)) + "<p>the end</p>")
+        assert time.perf_counter() - start < 20, bad
+    a, b = [1, 2] * 5000, [2, 1, 3] * 3000
+    start = time.perf_counter()
+    assert sum(html_text.common(a, b)) == 6000 and time.perf_counter() - start < 10
+
+
+def brute_extract(pages, beside=2):
+    """Pages (id, url, lines as (own, text)) differenced by the textbook table; lines of a page differ."""
+    from urllib.parse import urlsplit
+
+    def shared(a, b):
+        t = [[0] * (len(b) + 1) for _ in range(len(a) + 1)]
+        for i in range(len(a) - 1, -1, -1):
+            for j in range(len(b) - 1, -1, -1):
+                t[i][j] = t[i + 1][j + 1] + 1 if a[i] == b[j] else max(t[i + 1][j], t[i][j + 1])
+        out, i, j = set(), 0, 0
+        while i < len(a) and j < len(b):
+            if a[i] == b[j]:
+                out.add(a[i])
+                i, j = i + 1, j + 1
+            elif t[i + 1][j] >= t[i][j + 1]:
+                i += 1
+            else:
+                j += 1
+        return out
+
+    order = sorted(pages, key=lambda p: (urlsplit(p[1]).netloc, urlsplit(p[1]).path + "?" + urlsplit(p[1]).query, p[0]))
+    out = {}
+    for k, (page, url, lines) in enumerate(order):
+        mine, near = [t for _, t in lines], []
+        for side in (order[:k][::-1], order[k + 1 :]):
+            last, found = None, 0
+            for _, other, theirs in side:
+                theirs = [t for _, t in theirs]
+                if urlsplit(other).netloc == urlsplit(url).netloc and theirs not in (mine, last) and found < beside:
+                    near.append(shared(mine, theirs))
+                    found, last = found + 1, theirs
+        size = sum(len(t) for own, t in lines if own)
+        apart = [s for s in near if 2 * sum(len(t) for own, t in lines if own and t in s) < size]
+        keep = [t for own, t in lines if not ((len(apart) >= 3 and all(t in s for s in apart)) if own else any(t in s for s in near))]
+        out[page] = "\n\n".join(keep)
+    return out
+
+
+def test_extraction_equals_brute_force_wherever_slices_are_cut(spark):
+    r = np.random.default_rng(6)
+    pages = []
+    for i in range(90):
+        host = ["a", "b", "one"][i % 3]
+        url = f"http://{host}/index.php?id={i:03d}" if host == "one" else f"http://{host}/{'xyz'[i % 7 % 3]}/{i:03d}"
+        lines = [(False, f"site {host}"), (False, f"section {'xyz'[i % 7 % 3]}")] + [(False, f"loose {i} {k}") for k in range(r.integers(0, 2))]
+        lines += [(True, "Read more stories below")] + [(True, f"own text {i} {k} of a page") for k in range(r.integers(1, 4))] + [(True, f"quoted {r.integers(4)}")]
+        lines += [(False, f"foot {host}")]
+        pages.append((i, url, pages[-3][2] if i % 11 == 5 and i > 3 else lines))
+    markup = lambda lines: "".join(f"<div>{t}</div>" for own, t in lines[:2]) + "".join(f"<article>{t}</article>" if own else f"<p>{t}</p>" for own, t in lines[2:])
+    table = spark.createDataFrame([(i, u, markup(x)) for i, u, x in pages], "page_id bigint, url string, html string").repartition(5)
+    want = brute_extract(pages)
+    for size in (1000, 16):
+        got = {x["page_id"]: x["text"] for x in html_text.extract(table, slice_pages=size, halo=8).collect()}
+        assert got == want
+    alone = {x["page_id"]: x["text"] for x in html_text.extract(table, beside=0).collect()}
+    assert sum(alone[i] != want[i] for i in want) > 80 and any("Read more" in t for t in alone.values()) and not all("Read more" in t for t in want.values())
+
+
 def test_longest_common_subsequence():
     def length(a, b):
         t = [[0] * (len(b) + 1) for _ in range(len(a) + 1)]

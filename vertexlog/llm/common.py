@@ -14,6 +14,7 @@ from contextlib import contextmanager
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 #: ASCII white space as the contracts define it; fixed values.
 SPACES = " \t\n\x0b\f\r"
@@ -116,3 +117,12 @@ def once(df: DataFrame, name: str, value: Column) -> DataFrame:
     through a generator, so the value goes through one that makes one row of each.
     """
     return df.select("*", F.explode(F.array(value)).alias(name))
+
+
+def ordinal(df: DataFrame, *keys: str, name: str = "ord") -> DataFrame:
+    """``df`` with its zero-based place in key order, written by ranges so that no task numbers more than one."""
+    rows = materialise(df.repartitionByRange(*keys).withColumn("__range", F.spark_partition_id()), "ordinal")
+    counts = rows.groupBy("__range").agg(F.count("*").alias("__n"))
+    before = counts.withColumn("__before", F.sum("__n").over(Window.orderBy("__range")) - F.col("__n")).drop("__n")
+    own = F.row_number().over(Window.partitionBy("__range").orderBy(*keys)) - 1
+    return rows.withColumn("__own", own).join(F.broadcast(before), "__range").withColumn(name, (F.col("__own") + F.col("__before")).cast("bigint")).drop("__own", "__before", "__range")
