@@ -3,11 +3,14 @@
 from pyspark.sql import functions as F
 
 from vertexlog.functions.reducers import REDUCERS
+from vertexlog.operators import algorithms as alg
 from vertexlog.operators import vsource
-from vertexlog.operators.sortreduce import emit_log, fold, partition_log
+from vertexlog.operators.engines import ENGINES, Engine
+from vertexlog.operators.sortreduce import emit_log, first_blocks, fold, partition_log, sorted_log
 from vertexlog.operators.updatelog import UpdateLog
+from vertexlog.plans import metrics
 from vertexlog.sources import layout
-from vertexlog.sources.graphs import partseq
+from vertexlog.sources.graphs import Graph, partseq, trade
 from vertexlog.sources.tables import load
 
 
@@ -70,8 +73,56 @@ def test_fold_aggregates_below_its_only_exchange(spark, tiny):
     text = plan(fold(x.edges.select("dst", F.col("w").alias("val")), REDUCERS["sum"]))
     before, _, after = text.partition("Exchange hashpartitioning(dst")
     assert "HashAggregate" in before and "partial_sum" in after
-    sort_first = plan(fold(x.edges.select("dst", F.col("w").alias("val")), REDUCERS["sum"], "sort_first"))
-    assert "partial_sum" not in sort_first.partition("Exchange hashpartitioning(dst")[2].partition("Exchange")[0].partition("Window")[0]
+    # sorting first: all records are in order, in files, before anything is folded
+    log = x.edges.select("dst", F.col("w").alias("val"))
+    assert "Sort [dst" in plan(sorted_log(log)) and "Exchange rangepartitioning(dst" in plan(sorted_log(log))
+    read = plan(fold(log, REDUCERS["sum"], "sort_first"))
+    assert "FileScan parquet" in read and "lineitem" not in read
+    # interleaved: blocks are folded as records are emitted, in no order of destinations
+    blocks, count = first_blocks(log, 512, REDUCERS["sum"])
+    assert count >= 8 and "rangepartitioning" not in plan(blocks) and rows(blocks.groupBy().sum("val")) == rows(log.groupBy().sum("val"))
+    assert "MapInArrow" in plan(fold(log, REDUCERS["sum"], "in_place"))
+
+
+def test_a_small_frontier_opens_its_ranges_only(spark):
+    n = 40_000
+    chain = Graph("chain", spark.range(n - 1).select(F.col("id").alias("src"), (F.col("id") + 1).alias("dst"), F.lit(1).cast("bigint").alias("w")), n).stored(width=1000)
+    engine = Engine()
+    edges = engine.prepare(chain)
+    active = spark.createDataFrame([(5, 5), (17_003, 1)], "v bigint, val bigint")
+    done = engine.round(active, edges, F.col("src"), "min", 2)
+    assert "PartitionFilters: [isnotnull(src_part#" in plan(done) or "src_part#" in plan(done).partition("PartitionFilters: [")[2].partition("]")[0]
+    assert engine.opened == [[0, 17]]
+    used = metrics.stage_totals(spark, lambda: done.collect())
+    assert rows(done) == [(6, 5), (17_004, 17_003)]
+    assert 2 <= used["rows_read"] <= 2000
+    # values of a few vertices come from the lists' own ranges
+    log = UpdateLog(spark, "t", 1000)
+    for step in range(3):
+        log.append(step, spark.range(n).select(F.col("id").alias("v"), (F.col("id") + step).alias("val")))
+    some = log.resolve(active.select("v"))
+    assert metrics.stage_totals(spark, lambda: some.collect())["rows_read"] <= 6000 and rows(some.select("v", "val")) == [(5, 7), (17_003, 17_005)]
+    near = Graph("part", chain.edges.where("src < 1500"), n, 1000)
+    assert alg.sssp(near, 1495).count() == 6
+    tree = alg.bfs(near, 1400)
+    assert len(tree.sizes) == 101 and tree.opened[0] == [1] and max(map(len, tree.opened)) == 1 and max(tree.edges_read(near)) <= 1000
+
+
+def test_engines_hold_no_cache_and_scan_by_partitions(spark, tiny):
+    x = partseq(spark, tiny).stored()
+    alg.rank_fixed(x, 1, engine=ENGINES["cached"]())
+    assert spark.sparkContext._jsc.getPersistentRDDs().isEmpty()
+    e = ENGINES["edge_scan"](memory=x.n * 16 // 4)
+    assert rows(alg.rank_fixed(x, 2, engine=e)) == rows(alg.rank_fixed(x, 2)) and e.partitions == 4
+
+
+def test_approximate_counts_and_sketch_errors(spark, tiny):
+    from vertexlog.plans.registry import QUERIES
+
+    got, edges = QUERIES["approx_reach"](spark, tiny).first(), trade(spark, tiny).edges
+    for column, name in (("dst", "dsts"), ("src", "srcs")):
+        exact = edges.select(column).distinct().count()
+        assert abs(got[name] - exact) <= 0.15 * exact
 
 
 def test_small_frontier_is_broadcast_and_filters_reach_the_scan(spark, tiny):

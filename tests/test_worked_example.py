@@ -141,7 +141,10 @@ def test_merge_arithmetic():
 def test_costs():
     assert cost.fleet(17 * 10**12, 128 << 30)[0] == 124
     assert cost.project(4000, 500) == 2_000_000
-    assert cost.edge_scan_partitions(3_000_000_000, 32 << 30) == 1 and cost.page_waste(4, 8192) == 2048
+    assert [cost.edge_scan_partitions(3_000_000_000, g << 30) for g in (16, 32, 64)] == [4, 2, 1] and cost.page_waste(4, 8192) == 2048
+    fits = {(a, e): [g for gr, x, y, g, ok in cost.crossover() if (gr, x, y, ok) == ("web", a, e, True)] for a in cost.STATE for e in cost.ENGINES}
+    assert [min(fits[a, "semi_external"]) for a in ("bfs", "rank", "betweenness")] == [48, 64, 96]
+    assert all(min(fits[a, "sort_reduce"]) == 16 and not fits[a, "cached"] for a in cost.STATE)
     t = cost.tune(8 << 30, 32, 6e9)
     assert t.n * 16 * 2 * t.threads <= 8 << 30 and t.k >= 2
 

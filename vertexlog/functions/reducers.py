@@ -15,7 +15,8 @@ class Reducer:
     """How values of one destination become one.
 
     ``lift`` aggregates raw values, ``merge`` aggregates what ``lift`` made; both take (value, order) columns.
-    ``ordered`` reducers depend on the order of the log and need its ordinals.
+    ``ordered`` reducers depend on the order of the log and need its ordinals.  ``pair`` folds two values one by one,
+    after ``unit`` has made a single value of a record.
     """
 
     name: str
@@ -23,13 +24,14 @@ class Reducer:
     merge: Callable[[Column, Column], Column] | None = None
     ordered: bool = False
     pair: Callable[[object, object], object] | None = field(default=None, compare=False)
+    unit: Callable[[object], object] = field(default=lambda x: x, compare=False)
 
     def again(self) -> Callable[[Column, Column], Column]:
         return self.merge or self.lift
 
 
-def _plain(name: str, agg: Callable[[Column], Column], pair: Callable, merge: Callable[[Column], Column] | None = None) -> Reducer:
-    return Reducer(name, lambda v, o: agg(v), (lambda v, o: merge(v)) if merge else None, pair=pair)
+def _plain(name: str, agg: Callable[[Column], Column], pair: Callable, merge: Callable[[Column], Column] | None = None, unit: Callable[[object], object] = lambda x: x) -> Reducer:
+    return Reducer(name, lambda v, o: agg(v), (lambda v, o: merge(v)) if merge else None, pair=pair, unit=unit)
 
 
 REDUCERS = {
@@ -38,14 +40,14 @@ REDUCERS = {
         _plain("sum", F.sum, lambda a, b: a + b),
         _plain("min", F.min, min),
         _plain("max", F.max, max),
-        _plain("count", F.count, lambda a, b: a + b, F.sum),
+        _plain("count", F.count, lambda a, b: a + b, F.sum, lambda x: 1),
         _plain("any", F.bool_or, lambda a, b: a or b),
         _plain("all", F.bool_and, lambda a, b: a and b),
         _plain("bit_or", F.bit_or, lambda a, b: a | b),
         _plain("bit_and", F.bit_and, lambda a, b: a & b),
         _plain("bit_xor", F.bit_xor, lambda a, b: a ^ b),
         _plain("product", lambda v: F.product(v), lambda a, b: a * b),
-        _plain("collect_distinct", lambda v: F.sort_array(F.collect_set(v)), lambda a, b: sorted({*a, *b}), lambda v: F.sort_array(F.array_distinct(F.flatten(F.collect_list(v))))),
+        _plain("collect_distinct", lambda v: F.sort_array(F.collect_set(v)), lambda a, b: sorted({*a, *b}), lambda v: F.sort_array(F.array_distinct(F.flatten(F.collect_list(v)))), lambda x: [x]),
         Reducer("first", lambda v, o: F.min_by(v, o), ordered=True, pair=lambda a, b: a),
         Reducer("last", lambda v, o: F.max_by(v, o), ordered=True, pair=lambda a, b: b),
         Reducer("min_by", lambda v, o: F.min_by(v, o), ordered=True),
@@ -94,5 +96,13 @@ def _batch(held: dict, kinds: pa.Schema) -> pa.RecordBatch:
 
 
 def custom(log: DataFrame, pair: Callable) -> DataFrame:
-    """Fold by a user's associative and commutative function: block fold, exchange by key, then fold again."""
-    return fold_in_blocks(fold_in_blocks(log, pair).repartition("dst").sortWithinPartitions("dst"), pair, in_order=True)
+    """Fold by a user's associative function: block fold, exchange by key, then fold again.
+
+    A log with ``ord`` is folded in its order, so the function need not be commutative: tasks take ranges of places,
+    hence what a task folds of a destination is one run of its records, and runs meet again in order.
+    """
+    if "ord" not in log.columns:
+        return fold_in_blocks(fold_in_blocks(log, pair).repartition("dst").sortWithinPartitions("dst"), pair, in_order=True)
+    runs = log.repartitionByRange("ord").sortWithinPartitions("ord")
+    numbered = fold_in_blocks(runs, pair).withColumn("ord", F.monotonically_increasing_id())
+    return fold_in_blocks(numbered.repartition("dst").sortWithinPartitions("dst", "ord"), pair, in_order=True)

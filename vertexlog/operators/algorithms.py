@@ -17,23 +17,36 @@ from vertexlog.sources.scratch import Scratch
 
 
 class Tree:
-    """Result of a search: one list (v, parent, level) per level, in order, and how many rows each has."""
+    """Result of a search: one list (v, parent, level) per level, in order, and how many rows each has.
 
-    def __init__(self, lists: list[DataFrame], sizes: list[int], root: int, edges_read: list[int]) -> None:
-        self.lists, self.sizes, self.root, self.edges_read = lists, sizes, root, edges_read
+    ``opened`` names the source ranges that were read for each level after the root's, None for all of them.
+    """
+
+    def __init__(self, lists: list[DataFrame], sizes: list[int], root: int, opened: list[list[int] | None]) -> None:
+        self.lists, self.sizes, self.root, self.opened = lists, sizes, root, opened
 
     def rows(self) -> DataFrame:
         return reduce(DataFrame.unionByName, self.lists)
 
+    def edges_read(self, graph: Graph) -> list[int]:
+        """Edges in the ranges that were opened, round by round."""
+        rows = graph.range_rows()
+        return [sum(rows.values()) if ranges is None else sum(rows.get(r, 0) for r in ranges) for ranges in self.opened]
+
 
-def _tail(edges: DataFrame, visited: DataFrame, frontier: list[int], step: int, most_levels: int, most_rows: int) -> tuple[list[list[tuple[int, int, int]]], list[int]]:
+def _tail(edges: DataFrame, width: int | None, visited: DataFrame, frontier: list[int], step: int, most_levels: int, most_rows: int) -> tuple[list[list[tuple[int, int, int]]], list[list[int] | None]]:
     """Levels of a search while its frontier is short: two pruned lookups a level, no exchange and no write.
 
     Gives up, with the levels done so far, before a level that would bring more than ``most_rows`` rows here.
     """
-    levels, read, own = [], [], set(frontier)
+
+    def named(df: DataFrame, key: str, part: str, wanted: list[int]) -> DataFrame:
+        found = df.where(F.col(key).isin(wanted))
+        return found if width is None else found.where(F.col(part).isin(sorted({v // width for v in wanted})))
+
+    levels, opened, own = [], [], set(frontier)
     while frontier and len(levels) < most_levels and len(frontier) <= most_rows:
-        pairs = edges.where(F.col("src").isin(frontier)).select("src", "dst").limit(most_rows + 1).collect()
+        pairs = named(edges, "src", "src_part", frontier).select("src", "dst").limit(most_rows + 1).collect()
         if len(pairs) > most_rows:
             break
         parents: dict[int, int] = {}
@@ -41,73 +54,83 @@ def _tail(edges: DataFrame, visited: DataFrame, frontier: list[int], step: int,
             if dst not in own:
                 parents.setdefault(dst, src)
         if parents:
-            for row in visited.where(F.col("v").isin(list(parents))).select("v").collect():
+            for row in named(visited, "v", "v_part", list(parents)).select("v").collect():
                 del parents[row["v"]]
-        read.append(len(pairs))
+        opened.append(None if width is None else sorted({v // width for v in frontier}))
         levels.append([(v, parents[v], step + len(levels)) for v in sorted(parents)])
         own |= parents.keys()
         frontier = sorted(parents)
-    return levels, read
+    return levels, opened
 
 
-def bfs(graph: Graph, root: int, *, max_levels: int = 10_000, engine: Engine | None = None, merge_after: int = 8, count_edges: bool = False, tail_rows: int = 2000, tail_after: int = 3) -> Tree:
+def bfs(graph: Graph, root: int, *, max_levels: int | None = None, engine: Engine | None = None, merge_after: int = 8, tail_rows: int = 2000, tail_after: int = 3) -> Tree:
     """Parents and levels of all vertices reached from a root; the parent is the smallest vertex one level up.
 
     Records are emitted by rising source and folding keeps the first, which is the smallest source: so the fold
     is a minimum and needs no order.  The root is its own parent.  Visited lists are merged every few levels.
 
-    After ``tail_after`` levels in a row of a few vertices, levels are looked up instead of joined, up to 64 in one
-    go, as long as each brings at most ``tail_rows`` rows: long tails then cost two small scans a level.
+    A round opens the source ranges of its frontier.  What a small frontier reaches is written first, so that visited
+    lists are read in its ranges only.  After ``tail_after`` levels in a row of a few vertices, levels are looked up
+    instead of joined, up to 64 in one go, as long as each brings at most ``tail_rows`` rows: long tails then cost two
+    small scans a level.
     """
     engine = engine or Engine()
-    spark = graph.edges.sparkSession
-    edges, scratch = engine.prepare(graph.edges, graph.n), Scratch(spark, "bfs")
+    spark, limit = graph.edges.sparkSession, max_levels if max_levels is not None else float("inf")
+    edges, scratch = engine.prepare(graph), Scratch(spark, "bfs")
+    width, plain = graph.width, ["v", "parent", "level"]
     start = spark.createDataFrame([(root, root, 0)], "v bigint, parent bigint, level int")
-    level = scratch.keep(start)
-    lists, sizes, read = [level], [1], []
-    visited, recent, step = level.select("v"), 1, 0
-    while step < max_levels:
+
+    def keep(rows: DataFrame) -> DataFrame:
+        return scratch.keep(rows.withColumn("v_part", F.expr(f"v div {width}")), by="v_part") if width else scratch.keep(rows.withColumn("v_part", F.lit(0)))
+
+    level = keep(start)
+    lists, sizes, opened = [level.select(plain)], [1], []
+    visited, recent, step = level.select("v", "v_part"), 1, 0
+    while step < limit:
         if step >= tail_after and type(engine) is Engine and max(sizes[-tail_after:]) * 4 <= tail_rows:
             frontier = [r["v"] for r in level.select("v").collect()]
-            levels, found = _tail(edges, visited, frontier, step + 1, min(64, max_levels - step), tail_rows)
+            levels, found = _tail(edges, width, visited, frontier, step + 1, int(min(64, limit - step)), tail_rows)
             rows = [r for part in levels for r in part]
             if rows:
-                batch = scratch.keep(spark.createDataFrame(rows, start.schema).coalesce(1))
+                batch = keep(spark.createDataFrame(rows, start.schema).coalesce(1))
                 done = [part for part in levels if part]
-                lists += [batch.where(F.col("level") == part[0][2]) for part in done]
+                lists += [batch.where(F.col("level") == part[0][2]).select(plain) for part in done]
                 sizes += [len(part) for part in done]
-                level, visited, recent = lists[-1], visited.unionByName(batch.select("v")), recent + 1
-            read += found
+                level, visited, recent = batch.where(F.col("level") == done[-1][0][2]), visited.unionByName(batch.select("v", "v_part")), recent + 1
+            opened += found
             step += len(levels)
-            if levels and (not levels[-1] or step >= max_levels):
+            if levels and (not levels[-1] or step >= limit):
                 break
             if levels:
                 continue
         step += 1
-        active = level.select("v")
-        if count_edges:
-            read.append(edges.join(F.broadcast(active), edges["src"] == active["v"], "left_semi").count())
-        reached = engine.round(active, edges, F.col("src"), "min", sizes[-1])
-        fresh = reached.join(visited.withColumnRenamed("v", "dst"), "dst", "left_anti")
-        level = scratch.keep(fresh.select(F.col("dst").alias("v"), F.col("val").alias("parent"), F.lit(step).alias("level")))
+        reached = engine.round(level.select("v"), edges, F.col("src"), "min", sizes[-1])
+        opened.append(engine.opened[-1])
+        seen = visited
+        if engine.opened[-1] is not None:
+            reached = scratch.keep(reached)
+            seen = visited.where(F.col("v_part").isin(sorted(r[0] for r in reached.select(F.expr(f"dst div {width}")).distinct().collect())))
+        fresh = reached.join(seen.select(F.col("v").alias("dst")), "dst", "left_anti")
+        level = keep(fresh.select(F.col("dst").alias("v"), F.col("val").alias("parent"), F.lit(step).alias("level")))
         n = level.count()
         if not n:
             break
-        lists.append(level)
+        lists.append(level.select(plain))
         sizes.append(n)
-        visited, recent = visited.unionByName(level.select("v")), recent + 1
+        visited, recent = visited.unionByName(level.select("v", "v_part")), recent + 1
         if recent > merge_after:
-            visited, recent = scratch.keep(visited.coalesce(max(1, spark.sparkContext.defaultParallelism))), 1
-    return Tree(lists, sizes, root, read)
+            visited, recent = scratch.keep(visited, by="v_part") if width else scratch.keep(visited.coalesce(max(1, spark.sparkContext.defaultParallelism))), 1
+    engine.finish()
+    return Tree(lists, sizes, root, opened)
 
 
-def bfs_multi(graph: Graph, roots: list[int], max_levels: int = 10_000) -> DataFrame:
+def bfs_multi(graph: Graph, roots: list[int]) -> DataFrame:
     """(root, v, parent, level) of searches from several roots, carried by one composite key."""
     spark, edges = graph.edges.sparkSession, graph.edges
     scratch = Scratch(spark, "bfs-multi")
     level = scratch.keep(spark.createDataFrame([(r, r, r, 0) for r in roots], "root bigint, v bigint, parent bigint, level int"))
     visited = level
-    for step in range(1, max_levels + 1):
+    for step in count(1):
         log = edges.join(level.select("root", "v"), edges["src"] == F.col("v")).groupBy("root", "dst").agg(F.min("src").alias("parent"))
         fresh = log.withColumnRenamed("dst", "v").join(visited.select("root", "v"), ["root", "v"], "left_anti")
         level = scratch.keep(fresh.select("root", "v", "parent", F.lit(step).alias("level")))
@@ -144,7 +167,7 @@ def rank_fixed(graph: Graph, rounds: int, *, unit: int = 10**12, engine: Engine
     """
     engine = engine or Engine()
     n, share = graph.n, unit // graph.n
-    edges, scratch = engine.prepare(graph.edges, n), Scratch(graph.edges.sparkSession, "rank")
+    edges, scratch = engine.prepare(graph), Scratch(graph.edges.sparkSession, "rank")
     degrees = scratch.keep(graph.degrees())
     every = graph.vertices()
 
@@ -168,6 +191,7 @@ def rank_fixed(graph: Graph, rounds: int, *, unit: int = 10**12, engine: Engine
         if untouched == "keep":
             new = F.when(F.col("total").isNull(), F.col("val")).otherwise(new)
         values = scratch.keep(joined.select("v", new.alias("val")))
+    engine.finish()
     return values.select("v", F.col("val").alias("rank_u"))
 
 
@@ -180,49 +204,53 @@ def rank_step(graph: Graph, values: DataFrame, damping: float = 0.85, untouched:
     """(v, rank): one round in doubles from (v, rank)."""
     engine = engine or Engine()
     active = values.join(graph.degrees(), "v").select("v", (F.col("rank") / F.col("degree")).alias("val"))
-    sums = engine.round(active, graph.edges, F.col("val"), "sum").select(F.col("dst").alias("v"), F.col("val").alias("total"))
+    sums = engine.round(active, engine.prepare(graph), F.col("val"), "sum").select(F.col("dst").alias("v"), F.col("val").alias("total"))
     new = (1 - damping) / graph.n + damping * F.coalesce("total", F.lit(0.0))
     if untouched == "keep":
         new = F.when(F.col("total").isNull(), F.col("rank")).otherwise(new)
     return values.join(sums, "v", "left").select("v", new.alias("rank"))
 
 
-def rank_converged(graph: Graph, *, tol: float = 1e-9, max_iter: int = 20, active: str = "all", damping: float = 0.85) -> tuple[DataFrame, int]:
+def rank_converged(graph: Graph, *, tol: float = 1e-9, max_iter: int = 20, active: str = "all", damping: float = 0.85, engine: Engine | None = None) -> tuple[DataFrame, int]:
     """(v, rank) and the rounds it took until no vertex moved by ``tol``, or ``max_iter`` rounds.
 
     ``all``: every vertex pushes each round.  ``unconverged``: only vertices that still move push, the literal
     reading, which is not exact because sums miss the settled neighbours.  ``residual``: vertices push what
     they have not passed on yet, which makes selective pushing exact.
     """
-    scratch = Scratch(graph.edges.sparkSession, "rank")
+    engine = engine or Engine()
+    edges, scratch = engine.prepare(graph), Scratch(graph.edges.sparkSession, "rank")
     degrees = scratch.keep(graph.degrees())
     start = graph.vertices().select("v", F.lit(1.0 / graph.n).alias("rank"))
     if active == "residual":
-        return _rank_residual(graph, start, degrees, scratch, tol, max_iter, damping)
+        return _rank_residual(graph, edges, engine, start, degrees, scratch, tol, max_iter, damping)
     values, pushing = scratch.keep(start), None
     for step in range(1, max_iter + 1):
         source = values if pushing is None else pushing
         shares = source.join(degrees, "v").select("v", (F.col("rank") / F.col("degree")).alias("val"))
-        sums = Engine().round(shares, graph.edges, F.col("val"), "sum").select(F.col("dst").alias("v"), F.col("val").alias("total"))
+        size = None if pushing is None else pushing.count()
+        sums = engine.round(shares, edges, F.col("val"), "sum", size).select(F.col("dst").alias("v"), F.col("val").alias("total"))
         formula = (1 - damping) / graph.n + damping * F.coalesce("total", F.lit(0.0))
         new = formula if active == "all" else F.when(F.col("total").isNull(), F.col("rank")).otherwise(formula)
         done = scratch.keep(values.join(sums, "v", "left").select("v", new.alias("rank"), (F.abs(new - F.col("rank")) >= tol).alias("moves")))
         values = done.select("v", "rank")
         moving = done.where("moves")
         if moving.isEmpty():
-            return values, step
+            break
         if active == "unconverged":
             pushing = moving.select("v", "rank")
-    return values, max_iter
+    engine.finish()
+    return values, step
 
 
-def _rank_residual(graph, start, degrees, scratch, tol, max_iter, damping):
+def _rank_residual(graph, edges, engine, start, degrees, scratch, tol, max_iter, damping):
     first = scratch.keep(rank_step(graph, start, damping).withColumn("r", F.col("rank") - 1.0 / graph.n).select("v", F.lit(1.0 / graph.n).alias("rank"), "r"))
     state = first
     for step in range(1, max_iter + 1):
         push = F.abs("r") >= tol
-        shares = state.where(push).join(degrees, "v").select("v", (F.col("r") / F.col("degree")).alias("val"))
-        came = Engine().round(shares, graph.edges, F.col("val"), "sum").select(F.col("dst").alias("v"), F.col("val").alias("came"))
+        pushing = state.where(push)
+        shares = pushing.join(degrees, "v").select("v", (F.col("r") / F.col("degree")).alias("val"))
+        came = engine.round(shares, edges, F.col("val"), "sum", pushing.count()).select(F.col("dst").alias("v"), F.col("val").alias("came"))
         kept = F.when(push, 0.0).otherwise(F.col("r"))
         state = scratch.keep(state.join(came, "v", "left").select("v", F.when(push, F.col("rank") + F.col("r")).otherwise(F.col("rank")).alias("rank"), (kept + damping * F.coalesce("came", F.lit(0.0))).alias("r")))
         if state.where(F.abs("r") >= tol).isEmpty():
@@ -244,17 +272,21 @@ def bc_children(tree: Tree) -> DataFrame:
     return reduce(DataFrame.unionByName, lists).groupBy("v").agg(F.sum("val").alias("score"))
 
 
-def bc_descendants(tree: Tree, cut_every: int = 8) -> DataFrame:
-    """From the deepest list up, each vertex passes on one plus what it has gathered: tree paths through it."""
+def bc_descendants(tree: Tree, cut_every: int = 8, small: int = 10_000) -> DataFrame:
+    """From the deepest list up, each vertex passes on one plus what it has gathered: tree paths through it.
+
+    What a level passes on is written, so that the next ones do not compute it again; levels of up to ``small`` vertices
+    are cheaper to compute again than to write, but for every ``cut_every``-th.
+    """
     scratch = Scratch(tree.lists[0].sparkSession, "backtrace")
     out, below = [], None
-    for i, level in enumerate(reversed(tree.lists[1:])):
+    for i, (level, size) in enumerate(zip(reversed(tree.lists[1:]), reversed(tree.sizes[1:]), strict=True)):
         here = level.select("v", "parent")
         passed = F.lit(1).cast("bigint")
         if below is not None:
             here, passed = here.join(below, "v", "left"), F.coalesce("val", F.lit(0)) + 1
         below = here.select(F.col("parent").alias("v"), passed.alias("val")).groupBy("v").agg(F.sum("val").alias("val"))
-        if i % cut_every == cut_every - 1:
+        if i % cut_every == cut_every - 1 or size > small:
             below = scratch.keep(below)
         out.append(below)
     if not out:

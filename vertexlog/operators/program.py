@@ -58,6 +58,10 @@ class RunResult:
     def steps(self) -> int:
         return len(self.trace)
 
+    def finished(self) -> bool:
+        """Whether no vertex was active any more when the run ended."""
+        return not self.trace or self.trace[-1][2] == 0
+
 
 def commit(updates: DataFrame, current: DataFrame, program: VertexProgram, sweep: str = "touched") -> DataFrame:
     """(v, val, active): new values of the vertices with updates, or of all vertices for ``sweep="all"``."""
@@ -68,28 +72,36 @@ def commit(updates: DataFrame, current: DataFrame, program: VertexProgram, sweep
     return joined.withColumn("new", new).select("v", F.col("new").alias("val"), on.alias("active"))
 
 
-def run(graph: Graph, program: VertexProgram, start: DataFrame, *, max_steps: int | None = 100, engine: Engine | None = None, max_lists: int = 8) -> RunResult:
-    """Supersteps until no vertex is active or ``max_steps`` are done; without a limit, until no vertex is active.
+def run(graph: Graph, program: VertexProgram, start: DataFrame, *, max_steps: int | None = None, engine: Engine | None = None, max_lists: int = 8) -> RunResult:
+    """Supersteps until no vertex is active, or ``max_steps`` of them: see ``RunResult.finished``.
 
-    One write per round; the number of newly active vertices comes from the written files.  Lists are compacted
+    Where few vertices are active, a round writes the folded updates and reads the old values of just these vertices
+    from the ranges they lie in; else it reads all lists.  It appends what changed; the number of newly active vertices comes from the written files.  Lists are compacted
     when there are more than ``max_lists``, so plans stay short however many rounds there are.
     """
     engine = engine or Engine()
-    edges = engine.prepare(graph.edges, graph.n)
+    edges = engine.prepare(graph)
     if program.needs_degree:
         edges = edges.join(graph.degrees().withColumnRenamed("v", "src"), "src")
-    log = UpdateLog(graph.edges.sparkSession, program.name)
+    log, folded = UpdateLog(graph.edges.sparkSession, program.name, graph.width), Scratch(graph.edges.sparkSession, "updates")
     active, trace = log.append(0, start.select("v", "val")), []
     size = active.count()
     for step in count(1) if max_steps is None else range(1, max_steps + 1):
         if not size:
             break
         updates = engine.round(active, edges, program.edge(EdgeContext(step=step)), program.reducer, size)
-        done = commit(updates, log.resolve(), program).where("active").select("v", "val")
+        if graph.width and 4 * size <= graph.n:
+            updates = folded.keep(updates)
+            current = log.resolve(updates.select(F.col("dst").alias("v")))
+        else:
+            current = log.resolve()
+        done = commit(updates, current, program).where("active").select("v", "val")
         active = log.append(step, done)
         trace.append((step, size, now := log.size(step)))
         size = now
         log.compact_if(max_lists) if len(log.lists) > max_lists else None
+    engine.finish()
+    folded.drop()
     return RunResult(log.resolve().select("v", "val"), trace, log)
 
 

@@ -26,14 +26,20 @@ def tune(memory: int, cores: int, bandwidth: float, record: int = 16, block: int
     return Tuning(size // record, int(k), threads, mergers)
 
 
-def memory_need(engine: str, vertices: int, edges: int, value: int = 8, threads: int = 16, block: int = 512 << 20, prefetch: int = 4 << 20, k: int = 16, mergers: int = 4) -> int:
+#: Bytes of state that each vertex needs in memory where values are not written out: old and new rank and the degree;
+#: parent, and two words for marks and queue; parent, score, level and list links.
+STATE = {"rank": 20, "bfs": 16, "betweenness": 28}
+
+
+def memory_need(engine: str, vertices: int, edges: int, algorithm: str = "rank", threads: int = 16, block: int = 512 << 20, prefetch: int = 4 << 20, k: int = 16, mergers: int = 4) -> int:
     """Bytes of memory with which an engine runs at full speed."""
+    state = vertices * STATE[algorithm]
     return {
         "sort_reduce": threads * block + prefetch * k * mergers,
-        "semi_external": 2 * vertices * value,
-        "edge_scan": vertices * value,
-        "multi_pass": vertices * value // 4,
-        "cached": edges * 24 + 2 * vertices * value,
+        "semi_external": state,
+        "edge_scan": vertices * 16,
+        "multi_pass": state // 4,
+        "cached": edges * 24 + state,
     }[engine]
 
 
@@ -43,17 +49,21 @@ ENGINES = ("sort_reduce", "semi_external", "edge_scan", "multi_pass", "cached")
 PUBLISHED = {"social": (41_000_000, 1_470_000_000), "kron28": (268_000_000, 4_000_000_000), "kron30": (1_000_000_000, 17_000_000_000), "web": (3_000_000_000, 128_000_000_000)}
 
 
-def needs() -> list[tuple[str, str, int]]:
-    return [(g, e, memory_need(e, n, m)) for g, (n, m) in PUBLISHED.items() for e in ENGINES]
+def needs() -> list[tuple[str, str, str, int]]:
+    return [(g, a, e, memory_need(e, n, m, a)) for g, (n, m) in PUBLISHED.items() for a in STATE for e in ENGINES]
 
 
-def crossover(grid: tuple[int, ...] = (16, 32, 48, 64, 96, 128)) -> list[tuple[str, str, int, bool]]:
-    """(graph, engine, GiB, fits) over a grid of memory sizes."""
-    return [(g, e, gib, need <= gib * GIB) for g, e, need in needs() for gib in grid]
+def crossover(grid: tuple[int, ...] = (16, 32, 48, 64, 96, 128)) -> list[tuple[str, str, str, int, bool]]:
+    """(graph, algorithm, engine, GiB, fits) over a grid of memory sizes."""
+    return [(g, a, e, gib, need <= gib * GIB) for g, a, e, need in needs() for gib in grid]
 
 
-def edge_scan_partitions(vertices: int, memory: int, value: int = 8) -> int:
-    return max(1, -(-vertices * value // memory))
+def edge_scan_partitions(vertices: int, memory: int, value: int = 16) -> int:
+    """Vertex partitions, doubled until the values of one fit the memory."""
+    parts = 1
+    while vertices * value > memory * parts:
+        parts *= 2
+    return parts
 
 
 def project(rounds: int, seconds: float) -> float:

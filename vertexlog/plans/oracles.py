@@ -155,12 +155,23 @@ def rank_unconverged(name: str, rounds: int, digits: int = 6, tol: str = "1e-9")
     return sql + f" select v, round(val, {digits}) as rank from p{rounds}"
 
 
-def long_tail(name: str, root: int, cap: int, seconds: str) -> str:
-    """Rounds, edges read and projected seconds of an edge scan and of selective reading."""
+def scans(name: str, root: int, cap: int, width: int) -> str:
+    """s (step, active, useful, opened) and m: edges that leave each level, and edges in the source ranges it lies in."""
     return _levels(name, root, cap) + (
-        ", o as (select src, count(*) as n from g group by src), x as (select count(distinct level)::int as rounds, coalesce(sum(n), 0)::bigint as useful from lv left join o on o.src = lv.v), m as (select count(*) as m from g)"
+        f", z as materialized (select n, {width} as width from (select {SIZES[name]}::bigint as n)), m as materialized (select count(*) as m from g)"
+        ", o as (select src, count(*) as n from g group by src), a as (select level, count(*) as active, coalesce(sum(o.n), 0)::bigint as useful from lv left join o on o.src = lv.v group by level)"
+        ", rg as (select distinct level, v // width as p from lv, z), h as (select src // width as p, count(*) as n from g, z group by 1)"
+        ", e as (select level, coalesce(sum(h.n), 0)::bigint as found from rg left join h on h.p = rg.p group by level)"
+        ", s as materialized (select (a.level + 1)::int as step, active, useful, case when 4 * active <= z.n then found else m end as opened from a join e on e.level = a.level, z, m)"
+    )
+
+
+def long_tail(name: str, root: int, cap: int, seconds: str, width: int) -> str:
+    """Rounds, edges read and projected seconds of an edge scan and of selective reading."""
+    return scans(name, root, cap, width) + (
+        ", x as (select count(*)::int as rounds, sum(opened)::bigint as opened from s)"
         f" select 'edge_scan' as engine, rounds, (m * rounds)::bigint as edges_read, rounds * {seconds}::double as seconds from x, m"
-        f" union all select 'sort_reduce', rounds, useful, rounds * ({seconds}::double * useful / (m * rounds)) from x, m"
+        f" union all select 'sort_reduce', rounds, opened, rounds * ({seconds}::double * opened / (m * rounds)) from x, m"
     )
 
 

@@ -13,7 +13,7 @@ from vertexlog.functions.reducers import REDUCERS, check_associative, custom
 from vertexlog.functions.table_functions import KronRange, damped, spread
 from vertexlog.operators import algorithms as alg
 from vertexlog.operators import local, relational, sqlsurface, vsource
-from vertexlog.operators.engines import ENGINES, Cached, Engine
+from vertexlog.operators.engines import ENGINES, CapacityExceeded, Engine
 from vertexlog.operators.program import VertexProgram, commit
 from vertexlog.operators.sortreduce import block_reduce, emit_log, fold, merge_plan, merge_reduce, merge_schedule, merge_tree, partition_log
 from vertexlog.operators.updatelog import UpdateLog
@@ -24,6 +24,7 @@ from vertexlog.sources.scratch import Scratch
 from vertexlog.sources.tables import load
 from vertexlog.streaming import events as streams
 
+_WIDTH = 1024  # narrow ranges of vertices show on these small tables what the usual ones do on large graphs
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
@@ -35,12 +36,12 @@ def add(name: str, query: Query, sql: str | None = None) -> None:
         ORACLES[name] = sql
 
 
-def g(name: str, then: Callable[[Graph], DataFrame], stored: bool = True) -> Query:
+def g(name: str, then: Callable[[Graph], DataFrame], stored: bool = True, width: int | None = None) -> Query:
     """A query on a graph, laid out once."""
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         made = GRAPHS[name](spark, sf_dir)
-        return then(made.stored() if stored else made)
+        return then(made.stored(width) if stored else made)
 
     return run
 
@@ -61,9 +62,11 @@ add(
 def _stats(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = None
     for name in GRAPHS:
-        x = GRAPHS[name](spark, sf_dir).stored()
-        ins, outs = (x.edges.groupBy(c).agg(F.count("*").alias("n")).agg(F.max("n").alias("most"), F.sum("n").alias("m")) for c in ("dst", "src"))
-        row = ins.select(F.lit(x.name).alias("graph"), F.lit(x.n).cast("bigint").alias("n"), "m", F.col("most").alias("max_in")).crossJoin(outs.select(F.col("most").alias("max_out")))
+        x = GRAPHS[name](spark, sf_dir)
+        ends = x.edges.select(F.explode(F.array(F.struct(F.lit(0).alias("out"), F.col("dst").alias("v")), F.struct(F.lit(1).alias("out"), F.col("src").alias("v")))).alias("e"))
+        degrees = ends.groupBy("e.out", "e.v").agg(F.count("*").alias("n"))
+        of = lambda side: F.when(F.col("out") == side, F.col("n"))
+        row = degrees.agg(F.sum(of(0)).alias("m"), F.max(of(0)).alias("max_in"), F.max(of(1)).alias("max_out")).select(F.lit(x.name).alias("graph"), F.lit(x.n).cast("bigint").alias("n"), "m", "max_in", "max_out")
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -102,7 +105,8 @@ _FIX = oracles.rank_fixed("partseq", 1, final="select t.dst as v, t.total as val
 def _one_round(x: Graph, mode: str) -> DataFrame:
     share = 10**12 // x.n
     active = x.degrees().select("v", F.expr(f"{share} div degree").alias("val"))
-    return Engine(mode).round(active, x.edges, F.col("val"), "sum").select(F.col("dst").alias("v"), "val")
+    engine = Engine(mode)
+    return engine.round(active, engine.prepare(x), F.col("val"), "sum").select(F.col("dst").alias("v"), "val")
 
 
 for _mode in ("in_place", "sort_first", "interleaved", "fused"):
@@ -131,6 +135,13 @@ def _reduced(x: Graph, name: str) -> DataFrame:
 for _name, _sql in _W.items():
     add(f"reduce_{_name}", g("partseq", partial(_reduced, name=_name), False), f"{_ORD} select dst as v, {_sql} as val from l group by dst")
 add("reduce_custom", g("partseq", lambda x: custom(x.edges.select("dst", F.col("w").alias("val")), lambda a, b: a if a >= b else b).select(F.col("dst").alias("v"), "val")), f"{_PS} select dst as v, max(w) as val from g group by dst")
+def _join_digits(x: Graph) -> DataFrame:
+    """Last and first value of a destination's records in emission order, by a function that is not commutative."""
+    log = _log(x).select("dst", F.struct(F.col("val").alias("a"), F.col("val").alias("b")).alias("val"), "ord")
+    return custom(log, lambda p, q: {"a": p["a"], "b": q["b"]}).select(F.col("dst").alias("v"), (F.col("val.b") - F.col("val.a")).alias("val"))
+
+
+add("reduce_custom_ordered", g("partseq", _join_digits, False), f"{_ORD} select dst as v, max_by(w, ord) - min_by(w, ord) as val from l group by dst")
 add("assoc_check", lambda s, d: check_associative(s, lambda a, b: (a + 2 * b) % 1000, list(range(5))), "with s as (select unnest(range(5)) as x) select a.x as a, b.x as b, c.x as c, ((a.x + 2 * b.x) % 1000 + 2 * c.x) % 1000 as left_first, (a.x + 2 * ((b.x + 2 * c.x) % 1000)) % 1000 as right_first, left_first = right_first as ok from s a, s b, s c")
 
 
@@ -203,18 +214,18 @@ add("commit_sweep_all", g("weblink", partial(_commit, sweep="all")), f"{_CM}, n
 
 
 def _lists(x: Graph) -> UpdateLog:
-    """Two lists of customers' and suppliers' values, the second newer for some."""
-    spark, log = x.edges.sparkSession, UpdateLog(x.edges.sparkSession, "lists")
-    log.append(0, spark.range(x.n).select(F.col("id").alias("v"), F.lit(0).cast("bigint").alias("val")))
-    for step in (1, 2, 3):
-        log.append(step, x.edges.where(F.col("src") % 5 == step).groupBy(F.col("dst").alias("v")).agg(F.min("src").alias("val")))
+    """Zero for every vertex, then the parents that each level of a search brought."""
+    log = UpdateLog(x.edges.sparkSession, "lists", x.width)
+    log.append(0, x.vertices().select("v", F.lit(0).cast("bigint").alias("val")))
+    for step, level in enumerate(alg.bfs(x, 0).lists, start=1):
+        log.append(step, level.select("v", F.col("parent").alias("val")))
     return log
 
 
-_UL = f"with {oracles.graph('trade')}, a as (select 0 as superstep, unnest(range({oracles.SIZES['trade']})) as v, 0::bigint as val union all select (src % 5)::int, dst, min(src) from g where src % 5 in (1, 2, 3) group by 1, 2)"
+_UL = oracles._levels("trade", 0, 8) + f", a as materialized (select 0 as superstep, unnest(range({oracles.SIZES['trade']})) as v, 0::bigint as val union all select (level + 1)::int, v, parent from t)"
 _NEWEST = f"{_UL} select v, max_by(val, superstep) as val, max(superstep)::int as superstep from a group by v"
-add("log_resolve", g("trade", lambda x: _lists(x).resolve()), _NEWEST)
-add("log_active", g("trade", lambda x: _lists(x).active()), f"{_UL} select v, val from a where superstep = 3")
+add("log_resolve", g("trade", lambda x: _lists(x).resolve(), width=_WIDTH), _NEWEST)
+add("log_active", g("trade", lambda x: _lists(x).active()), f"{_UL} select v, val from a where superstep = (select max(superstep) from a)")
 
 
 def _compacted(x: Graph) -> DataFrame:
@@ -223,6 +234,7 @@ def _compacted(x: Graph) -> DataFrame:
     return log.resolve().select("v", "val")
 
 
+add("log_resolve_some", g("trade", lambda x: (log := _lists(x)).resolve(log.active(2).select("v")).select("v", "val"), width=_WIDTH), f"{_UL} select v, max_by(val, superstep) as val from a where v in (select v from a where superstep = 2) group by v")
 add("log_compact", g("trade", _compacted), f"{_UL} select v, max_by(val, superstep) as val from a group by v")
 
 
@@ -231,7 +243,7 @@ def _frontier(x: Graph, strategy: str) -> DataFrame:
     return layout.edges_of(active, x.edges, strategy).select("src", "dst")
 
 
-_FR = f"with {oracles.graph('trade')} select src, dst from g where src in (select dst from g where src = 0)"
+_FR = f"with {oracles.graph('trade')} select g.src, g.dst from g join (select distinct dst as v from g where src = 0) f on f.v = g.src"
 for _s in ("seek", "scan", "auto"):
     add(f"expand_{_s}", g("trade", partial(_frontier, strategy=_s)), _FR)
 for _hint in ("broadcast", "merge", "shuffle_hash"):
@@ -260,13 +272,16 @@ def _sparse(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def _dense(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = f"{Scratch(spark, 'dense').root}/list"
-    vsource.write_dense(_x(spark, sf_dir), 2000, path, width=500)
+    most = load(spark, sf_dir, "customer").agg(F.max("c_custkey")).first()[0]
+    vsource.write_dense(_x(spark, sf_dir), most + 1, path, width=500)
     return vsource.dense(spark, path)
 
 
 _FULL = f"from {_A} a full join {_B} b on a.v = b.v"
 add("vs_sparse", _sparse, f"select * from {_A}")
-add("vs_dense", _dense, f"select n.v, a.val from (select unnest(range(2000)) as v) n left join {_A} a on a.v = n.v")
+add("vs_dense", _dense, f"select n.v, a.val from (select unnest(range((select max(c_custkey) + 1 from customer))) as v) n left join {_A} a on a.v = n.v")
+add("encoding_choice", lambda s, d: s.createDataFrame([(n, layout.choose_encoding(f(s, d), load(s, d, t).count())) for n, f, t in (("customer", _x, "customer"), ("supplier", _y, "part"))], "list string, encoding string"),
+    "select 'customer' as list, case when (select count(*) from customer where c_custkey % 3 <> 0) >= 0.5 * (select count(*) from customer) then 'dense' else 'sparse' end as encoding union all select 'supplier', case when (select count(*) from supplier) >= 0.5 * (select count(*) from part) then 'dense' else 'sparse' end")
 add("vs_seek", lambda s, d: vsource.seek(_sparse(s, d), 1000), f"select * from {_A} where v >= 1000")
 add("vs_arith", lambda s, d: vsource.arith(_x(s, d), lambda v: v * 3 + 1), f"select v, val * 3 + 1 as val from {_A}")
 add("vs_union", lambda s, d: vsource.union(_x(s, d), _y(s, d)), f"select coalesce(a.v, b.v) as v, case when a.v is not null then a.val else b.val end as val {_FULL}")
@@ -321,6 +336,8 @@ for _name, _cap, _depth in (("trade", 8, 4), ("kron", 8, 4), ("weblink", 14, 7))
     add(f"bc_exact_{_name}", g(_name, lambda x: alg.bc_exact(x, 0).select("v", F.round("score", 6).alias("score"))), oracles.bc_exact(_name, 0, _cap, _depth))
 add("bc_multi", g("partseq", lambda x: alg.bc_multi(x, [0, 5, 9])), oracles.bc_multi("partseq", [0, 5, 9], 8))
 add("sssp_trade", g("trade", lambda x: alg.sssp(x, 0)), oracles.sssp("trade", 0, 16))
+add("sssp_trade_by_ranges", g("trade", lambda x: alg.sssp(x, 0), width=_WIDTH), oracles.sssp("trade", 0, 16))
+add("bfs_trade_by_ranges", g("trade", lambda x: alg.bfs(x, 0).rows(), width=_WIDTH), oracles.bfs("trade", 0, 8))
 add("sssp_partseq", g("partseq", lambda x: alg.sssp(x, 0)), oracles.sssp("partseq", 0, 20))
 add("components_weblink", g("weblink", alg.components), oracles.components("weblink"))
 add("components_dialog", g("dialog", alg.components), oracles.components("dialog"))
@@ -335,15 +352,15 @@ add("weighted_in", g("partseq", alg.weighted_in, False), f"{_PS} select dst as v
 
 # ---------------------------------------------------------------- baselines
 
-def _with(engine: str, task: str) -> Callable[[Graph], DataFrame]:
-    def run(x: Graph) -> DataFrame:
-        e = ENGINES[engine]()
-        if task == "pagerank":
-            return alg.rank_fixed(x, 2, engine=e)
-        tree = alg.bfs(x, 0, engine=e)
-        return tree.rows() if task == "bfs" else alg.bc_descendants(tree)
+def _run(x: Graph, engine: Engine, task: str) -> DataFrame:
+    if task == "pagerank":
+        return alg.rank_fixed(x, 2, engine=engine)
+    tree = alg.bfs(x, 0, engine=engine)
+    return tree.rows() if task == "bfs" else alg.bc_descendants(tree)
 
-    return run
+
+def _with(engine: str, task: str) -> Callable[[Graph], DataFrame]:
+    return lambda x: _run(x, ENGINES[engine](), task)
 
 
 _SAME = {"pagerank": ("partseq", oracles.rank_fixed("partseq", 2)), "bfs": ("trade", oracles.bfs("trade", 0, 8)), "bc": ("trade", oracles.bc_descendants("trade", 0, 8))}
@@ -351,6 +368,69 @@ for _task, (_name, _sql) in _SAME.items():
     for _engine in ENGINES:
         if _engine != "sort_reduce":
             add(f"baseline_{_engine}_{_task}", g(_name, _with(_engine, _task)), _sql)
+
+
+def _all_engines(x: Graph, task: str) -> DataFrame:
+    """Every engine on one graph: how many vertices it gives and a sum over its values."""
+    spark, out = x.edges.sparkSession, []
+    value = {"pagerank": F.col("rank_u"), "bfs": F.col("parent") + F.col("level") * 1000, "bc": F.col("score")}[task]
+    alone = {"pagerank": lambda: local.rank_single(x, 2), "bfs": lambda: local.bfs_local(x, 0), "bc": lambda: local.bc_local(x, 0)}[task]
+    runs = {**{name: (lambda name=name: _with(name, task)(x)) for name in ENGINES}, "single_thread": alone}
+    for name, run in runs.items():
+        row = run().agg(F.count("*").alias("n"), F.sum(value).alias("t")).first()
+        out.append((name, row["n"], int(row["t"])))
+    return spark.createDataFrame(out, "engine string, vertices bigint, total bigint")
+
+
+_ENGINE_ROWS = "unnest(['sort_reduce', 'semi_external', 'edge_scan', 'multi_pass', 'cached', 'dataflow', 'single_thread']) as engine"
+for _task, _value, _names in (("pagerank", "rank_u", ("copurchase", "kron", "weblink")), ("bfs", "parent + level * 1000", ("copurchase", "kron", "weblink")), ("bc", "score", ("copurchase", "kron", "weblink"))):
+    for _name in _names:
+        _sql = {"pagerank": lambda n: oracles.rank_fixed(n, 2), "bfs": lambda n: oracles.bfs(n, 0, 14), "bc": lambda n: oracles.bc_descendants(n, 0, 14)}[_task](_name)
+        add(f"engines_{_task}_{_name}", g(_name, partial(_all_engines, task=_task)), f"with r as materialized ({_sql}) select {_ENGINE_ROWS}, (select count(*) from r) as vertices, (select sum({_value})::bigint from r) as total")
+
+
+def _converged_engines(x: Graph) -> DataFrame:
+    out = []
+    for name, make in ENGINES.items():
+        done, rounds = alg.rank_converged(x, tol=1e-6, max_iter=20, engine=make())
+        row = done.agg(F.round(F.sum("rank"), 6).alias("t"), F.count("*").alias("n")).first()
+        out.append((name, rounds, row["n"], row["t"]))
+    return x.edges.sparkSession.createDataFrame(out, "engine string, rounds int, vertices bigint, total double")
+
+
+add("engines_rank_converged", g("partseq", _converged_engines))
+
+
+def _budgets(x: Graph) -> DataFrame:
+    """Engines at budgets below and above what a vertex value each needs: what runs, in how many partitions, or refuses."""
+    out, first = [], {}
+    for task, algorithm in (("pagerank", "rank"), ("bfs", "bfs"), ("bc", "betweenness")):
+        state = cost.STATE[algorithm]
+        for share in (1, 2, 4, 8):
+            memory = x.n * state * share // 4
+            for name in ("sort_reduce", "semi_external", "edge_scan"):
+                e = {"sort_reduce": Engine, "semi_external": lambda: ENGINES["semi_external"](memory, state), "edge_scan": lambda: ENGINES["edge_scan"](memory, state)}[name]()
+                try:
+                    e.prepare(x)
+                except CapacityExceeded:
+                    out.append((task, name, share, "refused", 0, None))
+                    continue
+                parts = getattr(e, "partitions", 1)
+                if (task, name, parts) not in first:
+                    first[task, name, parts] = int(_run(x, e, task).agg(F.sum({"pagerank": "rank_u", "bfs": "parent", "bc": "score"}[task])).first()[0])
+                out.append((task, name, share, "done", parts, first[task, name, parts]))
+    return x.edges.sparkSession.createDataFrame(out, "task string, engine string, quarters int, status string, partitions int, total bigint")
+
+
+_BUDGET_SQL = " union all ".join(
+    f"select '{t}' as task, engine, q::int as quarters, case when engine = 'semi_external' and q < 4 then 'refused' else 'done' end as status,"
+    f" (case when engine = 'semi_external' and q < 4 then 0 when engine = 'edge_scan' then case when q < 2 then 4 when q < 4 then 2 else 1 end else 1 end)::int as partitions,"
+    f" case when engine = 'semi_external' and q < 4 then null else (select sum({c})::bigint from {t}) end as total from (select unnest(['sort_reduce', 'semi_external', 'edge_scan']) as engine), (values (1), (2), (4), (8)) as b(q)"
+    for t, c in (("pagerank", "rank_u"), ("bfs", "parent"), ("bc", "score"))
+)
+add("budget_matrix", g("weblink", _budgets), f"with pagerank as materialized ({oracles.rank_fixed('weblink', 2)}), bfs as materialized ({oracles.bfs('weblink', 0, 14)}), bc as materialized ({oracles.bc_descendants('weblink', 0, 14)}) {_BUDGET_SQL}")
+add("edge_scan_partitions", lambda s, d: s.createDataFrame([(g_, gib, cost.edge_scan_partitions(n, gib << 30)) for g_, (n, _) in cost.PUBLISHED.items() for gib in (8, 16, 32, 64)], "graph string, gib int, partitions int"),
+    "with e(graph, n) as (values ('social', 41000000), ('kron28', 268000000), ('kron30', 1000000000), ('web', 3000000000)) select graph, gib::int as gib, (2 ** greatest(0, ceil(log2(n::double * 16 / (gib * 1073741824::bigint)))))::int as partitions from e, (values (8), (16), (32), (64)) as t(gib)")
 add("baseline_single_thread_pagerank", g("partseq", lambda x: local.rank_single(x, 2)), _SAME["pagerank"][1])
 add("baseline_worklist_pagerank", g("partseq", lambda x: local.rank_worklist(x).select("v", F.round("rank", 6).alias("rank"))), oracles.rank_double("partseq", 20, 6))
 for _order, _engine in (("levels", "single_thread"), ("worklist", "worklist")):
@@ -360,33 +440,50 @@ for _order, _engine in (("levels", "single_thread"), ("worklist", "worklist")):
 
 # ---------------------------------------------------------------- measures
 
-def _trace(x: Graph) -> tuple[alg.Tree, int]:
-    return alg.bfs(x, 0, count_edges=True, max_levels=200), x.edges.count()
+def _trace(x: Graph) -> tuple[alg.Tree, list[int], list[int], int]:
+    """A search, the edges that leave each level, those in the ranges that its rounds opened, and all edges."""
+    tree, out = alg.bfs(x, 0), x.degrees()
+    used = {r["level"]: r["n"] for r in tree.rows().join(out, "v").groupBy("level").agg(F.sum("degree").alias("n")).collect()}
+    return tree, [used.get(i, 0) for i in range(len(tree.sizes))], tree.edges_read(x), x.edges.count()
 
 
 def _efficiency(x: Graph) -> DataFrame:
-    tree, m = _trace(x)
-    rows = metrics.scan_efficiency(tree.sizes, tree.edges_read, m)
+    tree, used, read, m = _trace(x)
+    rows = metrics.scan_efficiency(tree.sizes, used, read, m)
     return x.edges.sparkSession.createDataFrame(rows, "engine string, step int, active bigint, edges_read bigint, useful bigint")
 
 
 def _tail(x: Graph) -> DataFrame:
-    tree, m = _trace(x)
+    tree, _, read, m = _trace(x)
     rounds = len(tree.sizes)
-    rows = [("edge_scan", rounds, m * rounds, cost.project(rounds, 500.0)), ("sort_reduce", rounds, sum(tree.edges_read), cost.project(rounds, 500.0 * sum(tree.edges_read) / (m * rounds)))]
+    rows = [("edge_scan", rounds, m * rounds, cost.project(rounds, 500.0)), ("sort_reduce", rounds, sum(read), cost.project(rounds, 500.0 * sum(read) / (m * rounds)))]
     return x.edges.sparkSession.createDataFrame(rows, "engine string, rounds int, edges_read bigint, seconds double")
 
 
-_SE = oracles._levels("trade", 0, 8) + ", o as (select src, count(*) as n from g group by src), s as (select (level + 1)::int as step, count(*) as active, coalesce(sum(n), 0)::bigint as useful from lv left join o on o.src = lv.v group by level), m as (select count(*) as m from g)"
-add("scan_efficiency", g("trade", _efficiency), f"{_SE} select 'sort_reduce' as engine, step, active, useful as edges_read, useful from s union all select 'edge_scan', step, active, m, useful from s, m union all select 'multi_pass', step, active, m * 4, useful from s, m")
+def _rows_read(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rows that the scans of a whole search report, beside the edges in the ranges that it opened."""
+    out = []
+    for name, engines in (("trade", ("sort_reduce", "semi_external", "edge_scan", "multi_pass", "dataflow")), ("eventchain", ("sort_reduce",))):
+        x = GRAPHS[name](spark, sf_dir).stored(_WIDTH)
+        for engine in engines:
+            trees: list[alg.Tree] = []
+            use = metrics.stage_totals(spark, lambda x=x, engine=engine, trees=trees: trees.append(alg.bfs(x, 0, engine=ENGINES[engine]())))
+            out.append((x.name, engine, len(trees[0].sizes), int(use["rows_read"]), sum(trees[0].edges_read(x)), use["cpu_seconds"]))
+    return spark.createDataFrame(out, "graph string, engine string, rounds int, rows_read bigint, edges_opened bigint, cpu_seconds double")
+
+
+for _name, _cap in (("trade", 8), ("eventchain", 120)):
+    _suffix = "" if _name == "eventchain" else f"_{_name}"
+    add(f"scan_efficiency{_suffix}", g(_name, _efficiency, width=_WIDTH), oracles.scans(_name, 0, _cap, _WIDTH) + " select 'sort_reduce' as engine, step, active, opened as edges_read, useful from s union all select 'edge_scan', step, active, m, useful from s, m union all select 'multi_pass', step, active, m * 4, useful from s, m")
+    add(f"long_tail_projection{_suffix}", g(_name, _tail, width=_WIDTH), oracles.long_tail(_name, 0, _cap, "500.0", _WIDTH))
 add("trace_bfs_eventchain", g("eventchain", lambda x: x.edges.sparkSession.createDataFrame([(i, n) for i, n in enumerate(alg.bfs(x, 0).sizes)], "step int, active bigint")), oracles._levels("eventchain", 0, 120) + " select level::int as step, count(*) as active from lv group by level")
-add("long_tail_projection", g("trade", _tail), oracles.long_tail("trade", 0, 8, "500.0"))
+add("scan_rows_measured", _rows_read)
 _PG = f"with {oracles.graph('kron')}, l as (select dst * 8 // 8192 as page, row_number() over (order by src, dst) - 1 as ord from g)"
 add("page_reads_random", g("kron", lambda x: metrics.page_reads(metrics.log_of(x.edges)).select("random_pages", "log")), f"{_PG} select count(*) filter (b is null or b <> page) as random_pages, count(*) as log from (select page, lag(page) over (order by ord) as b from l)")
 add("page_reads_sorted", g("kron", lambda x: metrics.page_reads(metrics.log_of(x.edges)).select("sorted_pages", "log")), f"{_PG} select count(distinct page) as sorted_pages, count(*) as log from l")
-_NEED = "with e(graph, n, m) as (values ('social', 41000000, 1470000000), ('kron28', 268000000, 4000000000), ('kron30', 1000000000, 17000000000), ('web', 3000000000, 128000000000)), q as (select graph, unnest([{'e': 'sort_reduce', 'b': 16 * 536870912::bigint + 4194304::bigint * 64}, {'e': 'semi_external', 'b': 16 * n::bigint}, {'e': 'edge_scan', 'b': 8 * n::bigint}, {'e': 'multi_pass', 'b': 2 * n::bigint}, {'e': 'cached', 'b': 24 * m::bigint + 16 * n::bigint}]) as x from e), w as (select graph, x.e as engine, x.b as bytes from q)"
-add("memory_need", lambda s, d: s.createDataFrame(cost.needs(), "graph string, engine string, bytes bigint"), f"{_NEED} select graph, engine, bytes from w")
-add("crossover_grid", lambda s, d: s.createDataFrame(cost.crossover(), "graph string, engine string, gib int, fits boolean"), f"{_NEED} select graph, engine, gib::int as gib, bytes <= gib * 1073741824::bigint as fits from w, (values (16), (32), (48), (64), (96), (128)) as t(gib)")
+_NEED = "with e(graph, n, m) as (values ('social', 41000000, 1470000000), ('kron28', 268000000, 4000000000), ('kron30', 1000000000, 17000000000), ('web', 3000000000, 128000000000)), st(algorithm, w) as (values ('rank', 20), ('bfs', 16), ('betweenness', 28)), q as (select graph, algorithm, unnest([{'e': 'sort_reduce', 'b': 16 * 536870912::bigint + 4194304::bigint * 64}, {'e': 'semi_external', 'b': w * n::bigint}, {'e': 'edge_scan', 'b': 16 * n::bigint}, {'e': 'multi_pass', 'b': w * n::bigint // 4}, {'e': 'cached', 'b': 24 * m::bigint + w * n::bigint}]) as x from e, st), w as (select graph, algorithm, x.e as engine, x.b as bytes from q)"
+add("memory_need", lambda s, d: s.createDataFrame(cost.needs(), "graph string, algorithm string, engine string, bytes bigint"), f"{_NEED} select graph, algorithm, engine, bytes from w")
+add("crossover_grid", lambda s, d: s.createDataFrame(cost.crossover(), "graph string, algorithm string, engine string, gib int, fits boolean"), f"{_NEED} select graph, algorithm, engine, gib::int as gib, bytes <= gib * 1073741824::bigint as fits from w, (values (16), (32), (48), (64), (96), (128)) as t(gib)")
 add("fleet_cost", lambda s, d: s.createDataFrame([("scale36", *cost.fleet(17 * 10**12, 128 << 30))], "graph string, nodes bigint, dollars bigint, watts bigint"), "select 'scale36' as graph, n as nodes, n * 2500 as dollars, n * 170 as watts from (select (17000000000000 + 137438953471) // 137438953472 as n)")
 
 
@@ -410,13 +507,24 @@ def _accuracy_bc(x: Graph) -> DataFrame:
 def _agree(x: Graph) -> DataFrame:
     first = Scratch(x.edges.sparkSession, "mode").keep(_one_round(x, "fused"))
     rows = [(m, metrics.same(first, _one_round(x, m))) for m in ("in_place", "sort_first", "interleaved")]
-    rows += [(n, metrics.same(first, e().round(x.degrees().select("v", F.expr(f"{10**12 // x.n} div degree").alias("val")), e().prepare(x.edges, x.n), F.col("val"), "sum").select(F.col("dst").alias("v"), "val"))) for n, e in ENGINES.items() if e not in (Cached, ENGINES["multi_pass"])]
+    for name, make in ENGINES.items():
+        e, active = make(), x.degrees().select("v", F.expr(f"{10**12 // x.n} div degree").alias("val"))
+        rows.append((name, metrics.same(first, e.round(active, e.prepare(x), F.col("val"), "sum").select(F.col("dst").alias("v"), "val"))))
+        e.finish()
     return x.edges.sparkSession.createDataFrame(rows, "mode string, same boolean")
 
 
+def _overlap(x: Graph) -> DataFrame:
+    """How many of the best by exact rank are among the best of the variants."""
+    exact = Scratch(x.edges.sparkSession, "exact").keep(alg.rank_converged(x)[0])
+    rows = [(kind, k, metrics.top_overlap(exact, alg.rank_converged(x, active=kind)[0], k, val="rank")) for kind in ("unconverged", "residual") for k in (10,)]
+    return x.edges.sparkSession.createDataFrame(rows, "variant string, k int, overlap double")
+
+
+add("accuracy_top_overlap", g("nextuser", _overlap))
 add("accuracy_rank_variants", g("nextuser", _accuracy_rank))
 add("accuracy_bc_variants", g("trade", _accuracy_bc))
-add("modes_agree", g("partseq", _agree), "select unnest(['in_place', 'sort_first', 'interleaved', 'sort_reduce', 'semi_external', 'edge_scan', 'dataflow']) as mode, true as same")
+add("modes_agree", g("partseq", _agree), "select unnest(['in_place', 'sort_first', 'interleaved', 'sort_reduce', 'semi_external', 'edge_scan', 'multi_pass', 'cached', 'dataflow']) as mode, true as same")
 
 
 # ---------------------------------------------------------------- the surface around the methods
@@ -436,6 +544,15 @@ for _kind in ("csv", "json", "orc", "parquet"):
     add(f"roundtrip_{_kind}", g("partseq", partial(_roundtrip, kind=_kind), False), f"{_PS} select src, count(*) as n, sum(dst)::bigint as total, max(w) as most from g group by src")
 
 
+def _imported(x: Graph) -> DataFrame:
+    path = f"{Scratch(x.edges.sparkSession, 'text').root}/edges"
+    x.edges.select("src", "dst").write.csv(path, sep="\t")
+    return layout.import_text(x.edges.sparkSession, path).groupBy("src").agg(F.count("*").alias("n"), F.sum("dst").alias("total"))
+
+
+add("import_text", g("partseq", _imported, False), f"{_PS} select src, count(*) as n, sum(dst)::bigint as total from g group by src")
+
+
 def _source(spark: SparkSession, sf_dir: str) -> DataFrame:
     from vertexlog.sources.kron_source import KronSource
 
@@ -454,7 +571,7 @@ add("adjacency_lists", g("partseq", lambda x: x.edges.groupBy("src").agg(F.array
     f"{_PS} select src, count(*)::int as degree, min(dst) as first, sum(w)::bigint as total, coalesce(string_agg(dst::varchar, ',' order by dst, w) filter (w > 9000000), '') as heavy from g group by src")
 add("adjacency_explode", g("partseq", lambda x: x.edges.groupBy("src").agg(F.array_sort(F.collect_set("dst")).alias("n")).select("src", F.posexplode("n").alias("pos", "dst"))), f"{_PS} select src, (row_number() over (partition by src order by dst) - 1)::int as pos, dst from (select distinct src, dst from g)")
 add("neighbor_map", g("partseq", lambda x: x.edges.groupBy("src", "dst").agg(F.min("w").alias("w")).groupBy("src").agg(F.map_from_entries(F.collect_list(F.struct("dst", "w"))).alias("m")).select("src", F.size("m").alias("n"), F.array_max(F.map_values("m")).alias("most"), F.array_min(F.map_keys("m")).alias("nearest"))), f"{_PS}, d as (select src, dst, min(w) as w from g group by 1, 2) select src, count(*)::int as n, max(w) as most, min(dst) as nearest from d group by src")
-add("levels_pivot", g("trade", lambda x: alg.bfs(x, 0).rows().where("v < 1500").withColumn("k", F.when(F.col("v") % 2 == 0, "even").otherwise("odd")).groupBy("level").pivot("k", ["even", "odd"]).count()), oracles._levels("trade", 0, 8) + " select level::int as level, nullif(count(*) filter (v % 2 = 0), 0) as even, nullif(count(*) filter (v % 2 = 1), 0) as odd from lv where v < 1500 group by level")
+add("levels_pivot", g("trade", lambda x: alg.bfs(x, 0).rows().withColumn("k", F.when(F.col("v") % 2 == 0, "even").otherwise("odd")).groupBy("level").pivot("k", ["even", "odd"]).count()), oracles._levels("trade", 0, 8) + " select level::int as level, nullif(count(*) filter (v % 2 = 0), 0) as even, nullif(count(*) filter (v % 2 = 1), 0) as odd from lv group by level")
 add("degree_quantile", g("trade", lambda x: x.degrees().agg(F.percentile("degree", 0.5).alias("p50"), F.percentile("degree", 0.9).alias("p90"), F.percentile("degree", 0.99).alias("p99")).select(*(F.round(c, 6).alias(c) for c in ("p50", "p90", "p99")))), f"with {oracles.graph('trade')}, d as (select count(*) as c from g group by src) select round(quantile_cont(c, 0.5), 6) as p50, round(quantile_cont(c, 0.9), 6) as p90, round(quantile_cont(c, 0.99), 6) as p99 from d")
 add("approx_reach", g("trade", lambda x: x.edges.agg(F.approx_count_distinct("dst").alias("dsts"), F.approx_count_distinct("src").alias("srcs"))))
 add("top_rank", g("partseq", lambda x: alg.rank_fixed(x, 1).orderBy(F.desc("rank_u"), "v").limit(20)), oracles.rank_fixed("partseq", 1) + " order by rank_u desc, v limit 20")
@@ -480,8 +597,8 @@ def _sweep(x: Graph) -> DataFrame:
     """The same fold for a grid of block sizes and fan-ins."""
     first, rows = Scratch(x.edges.sparkSession, "sweep").keep(_one_round(x, "fused")), []
     for n, k in ((512, 2), (512, 16), (4096, 2), (4096, 16)):
-        active = x.degrees().select("v", F.expr(f"{10**12 // x.n} div degree").alias("val"))
-        done = Engine("interleaved", n, k).round(active, x.edges, F.col("val"), "sum").select(F.col("dst").alias("v"), "val")
+        active, engine = x.degrees().select("v", F.expr(f"{10**12 // x.n} div degree").alias("val")), Engine("interleaved", n, k)
+        done = engine.round(active, engine.prepare(x), F.col("val"), "sum").select(F.col("dst").alias("v"), "val")
         rows.append((n, k, metrics.same(first, done)))
     return x.edges.sparkSession.createDataFrame(rows, "n int, k int, same boolean")
 
@@ -492,21 +609,23 @@ add("param_sweep", g("partseq", _sweep), "select n::int as n, k::int as k, true
 def _storage(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Bytes of each graph as laid-out files and as text."""
     rows = []
-    for name in ("partseq", "copurchase", "kron"):
+    for name in GRAPHS:
         x, where = GRAPHS[name](spark, sf_dir), Scratch(spark, "sizes").root
-        x.edges.select("src", "dst").repartition("src").sortWithinPartitions("src", "dst").write.parquet(f"{where}/binary")
+        x.edges.select("src", "dst").repartitionByRange("src", "dst").sortWithinPartitions("src", "dst").write.parquet(f"{where}/binary")
         x.edges.select("src", "dst").write.csv(f"{where}/text", sep="\t")
-        rows.append((x.name, x.edges.count(), layout.stored_bytes(spark, f"{where}/binary"), layout.stored_bytes(spark, f"{where}/text")))
+        rows.append((x.name, spark.read.parquet(f"{where}/binary").count(), layout.stored_bytes(spark, f"{where}/binary"), layout.stored_bytes(spark, f"{where}/text")))
     return spark.createDataFrame(rows, "graph string, edges bigint, binary bigint, text bigint")
 
 
 def _resources(x: Graph) -> DataFrame:
-    """Processor use and log bytes per second of one rank round in three forms."""
-    rows, m = [], x.edges.count()
-    for mode in ("fused", "sort_first", "interleaved"):
-        use = metrics.resources(lambda mode=mode: _one_round(x, mode).write.format("noop").mode("overwrite").save())
-        rows.append((mode, use["seconds"], use["cpu_percent"], m * 16 / max(use["seconds"], 1e-9)))
-    return x.edges.sparkSession.createDataFrame(rows, "mode string, seconds double, cpu_percent double, log_bytes_per_second double")
+    """Processor time and bytes moved of one rank round by each form and of a search by each engine, from task metrics."""
+    spark, rows = x.edges.sparkSession, []
+    actions = {("rank round", mode): (lambda mode=mode: _one_round(x, mode).write.format("noop").mode("overwrite").save()) for mode in ("fused", "in_place", "sort_first", "interleaved")}
+    actions |= {("bfs", name): (lambda make=make: alg.bfs(x, 0, engine=make())) for name, make in ENGINES.items()}
+    for (task, name), action in actions.items():
+        u = metrics.stage_totals(spark, action)
+        rows.append((task, name, u["seconds"], u["cpu_seconds"], 100 * u["cpu_seconds"] / max(u["seconds"], 1e-9), *(int(u[k]) for k in ("rows_read", "bytes_read", "bytes_logged", "bytes_merged", "bytes_written"))))
+    return spark.createDataFrame(rows, "task string, form string, seconds double, cpu_seconds double, cpu_percent double, rows_read bigint, bytes_read bigint, bytes_logged bigint, bytes_merged bigint, bytes_written bigint")
 
 
 add("storage_sizes", _storage)

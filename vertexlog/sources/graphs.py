@@ -14,19 +14,34 @@ from vertexlog.sources.tables import load, ordinal
 
 @dataclass
 class Graph:
-    """Directed edges, the number of vertices 0..n-1, and (once built) the degree index by source."""
+    """Directed edges, the number of vertices 0..n-1 and, once stored, the width of the source ranges on storage."""
 
     name: str
     edges: DataFrame
     n: int
+    width: int | None = None
 
-    def stored(self) -> Graph:
-        """Edges written once in (src, dst) order; later rounds read them back.
+    def stored(self, width: int | None = None) -> Graph:
+        """Edges written once in (src, dst) order, in a directory for each range of sources; at most 4,096 of these.
 
-        Ranges are cut by both ends, so that a hub's edges spread over files instead of meeting in one task.
+        A frontier names the ranges it needs, and others are not opened.  A range has 65,536 sources at least unless
+        ``width`` says otherwise, so that files are worth opening; a graph of one range has no directories.  Tasks are
+        cut by both ends of an edge, so that a hub's edges spread over files instead of meeting in one task.
         """
-        laid = self.edges.repartitionByRange("src", "dst").sortWithinPartitions("src", "dst")
-        return Graph(self.name, Scratch(self.edges.sparkSession, self.name).keep(laid), self.n)
+        spark, width = self.edges.sparkSession, width or max(65_536, -(-self.n // 4096))
+        if self.n <= width:
+            laid = self.edges.repartitionByRange("src", "dst").sortWithinPartitions("src", "dst")
+            return Graph(self.name, Scratch(spark, self.name).keep(laid), self.n)
+        ranged = self.edges.withColumn("src_part", F.expr(f"src div {width}"))
+        laid = ranged.repartitionByRange("src", "dst").sortWithinPartitions("src_part", "src", "dst")
+        path = f"{Scratch(spark, self.name).root}/edges"
+        laid.write.partitionBy("src_part").parquet(path)
+        return Graph(self.name, spark.read.schema(laid.schema).parquet(path), self.n, width)
+
+    def range_rows(self) -> dict[int, int]:
+        """Edges in each range of sources; one number for each directory."""
+        ranges = self.edges.groupBy("src_part") if self.width else self.edges.groupBy(F.lit(0).alias("src_part"))
+        return {r["src_part"]: r["n"] for r in ranges.agg(F.count("*").alias("n")).collect()}
 
     def degrees(self) -> DataFrame:
         return self.edges.groupBy(F.col("src").alias("v")).agg(F.count("*").alias("degree"))
