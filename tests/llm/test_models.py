@@ -221,12 +221,57 @@ def test_language_model_scores(spark, tiny, awkward):
 
 def test_model_is_a_distribution():
     r = np.random.default_rng(0)
-    shape = language_model.Shape(top=2, hashed=4, buckets=16)
+    shape = language_model.Shape(top=2, groups=3, hashed=4, buckets=16)
     bias, weights = r.normal(size=shape.classes).astype(np.float32), r.normal(size=(3, 16, shape.classes)).astype(np.float32)
     p = np.exp(language_model.log_softmax(bias, weights, r.integers(0, 16, (3, 9))))
     assert np.allclose(p.sum(axis=1), 1, atol=1e-5)
 
 
+def test_score_equals_brute_force_and_sums_to_one(spark, make):
+    r = np.random.default_rng(8)
+    texts = [" ".join(r.choice([f"{'ab'[i % 2]}{k}" for k in range(30)], 25)) for i in range(60)]
+    docs = make([(i, t) for i, t in enumerate(texts)])
+    learn = docs.where(~language_model.in_fold(F.col("doc_id"), 5, 1)).select("doc_id", F.col("text").alias("__text"))
+    counts = learn.select("__text").mapInArrow(language_model.tally, "h bigint, n bigint").groupBy("h").agg(F.sum("n").alias("n")).cache()
+    model = language_model.fit(learn, counts, text_col="__text", turn=F.pmod(F.xxhash64("doc_id", F.lit(11)), F.lit(2)), shape=language_model.Shape(), rounds=2, rate=0.1, anchors=48, grouped=1000, most_buckets=1 << 15)
+    table = {x["h"]: x["n"] for x in counts.collect()}
+    counts.unpersist()
+    kinds = np.array(sorted(table), np.int64)
+    own = dict(zip(kinds.tolist(), model.classes.of(kinds).tolist(), strict=True))
+    last = model.shape.classes - 1
+
+    def step(one, two, classes_before):
+        """Probabilities of all known words, and of an unknown one, after a context."""
+        import pyarrow as pa  # noqa: F401
+
+        at = language_model.contexts(np.array([two, one, 77], np.int64), np.array([3]), np.array([*classes_before, 0]), model.shape)[:, 2]
+        z = model.bias.astype(float) + sum(model.weights[k, at[k]].astype(float) for k in range(3))
+        p = np.exp(z - z.max())
+        p /= p.sum()
+        return {w: p[own[w]] * (c + 0.5) / model.totals[own[w]] for w, c in table.items()}, p[last]
+
+    words = kinds.tolist()
+    known, rest = step(words[3], words[9], (own[words[9]], own[words[3]]))
+    used = {own[w] for w in words}
+    empty = 1 - sum(known.values()) - rest
+    assert 0 <= empty < 0.2 and all(abs(sum((c + 0.5) for w, c in table.items() if own[w] == k) - model.totals[k]) < 1e-6 for k in used)
+    import pyarrow as pa
+
+    h, n = language_model.encode(pa.array(texts[:3]))
+    c = np.array([table.get(x, 0) for x in h.tolist()], float)
+    got, at, kind = model.score(h, n, c)[2], 0, model.classes.of(h)
+    for i, size in enumerate(n.tolist()):
+        total = 0.0
+        for k in range(size):
+            before = [(int(h[at + k - d]), int(kind[at + k - d])) if k >= d else (language_model.BEGIN, model.shape.classes) for d in (1, 2)]
+            probabilities, unknown = step(before[0][0], before[1][0], (before[1][1], before[0][1]))
+            total += math.log10(probabilities[int(h[at + k])] if c[at + k] else unknown)
+        assert abs(total - got[i]) < 1e-3, i
+        at += size
+    groups = {t[0]: {own[x] for x in words if own[x] >= 15 and x in set(language_model.encode(pa.array(texts[j::2]))[0].tolist())} for j, t in enumerate(("a", "b"))}
+    assert groups["a"] and groups["b"] and len(groups["a"] & groups["b"]) <= 1
+
+
 PAGE = """<html><head><title>T</title><style>x</style></head><body><header>Site</header><nav><ul><li><a href="/a">Home</a><li>News</ul></nav>
 <div class="cookie-notice">We use cookies</div><article><header><h1>A &amp; B</h1></header><p>First<br>line &lt;b&gt;<p>Second <b>bold</b> text
 <div class="ad">Buy</div><script>if (a < b) {}</script><form><input></form></article><aside>More</aside><section id="comments"><article class="comment">Nice!</article></section>

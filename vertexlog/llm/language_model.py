@@ -1,17 +1,23 @@
 """Scoring by a hashed maximum-entropy model of words with a class-factored softmax.
 
-P(word | context) = P(class | context) * P(word | class).  The most frequent words are classes of their own, the
-others fall into classes by hash, and one class stands for all words that training never saw.  The class factor
-is a softmax over hashed features of the context: previous word, previous two words, and the word before the
-previous one (skip); the word factor is the word's smoothed share of its class.
-
-Training: word counts over all training texts come from one pass and one aggregate.  The class weights are
-trained in ``rounds`` passes, each over another part of the training texts, all of them in the end: every task
-takes gradient steps from the common weights and the changes are averaged by tokens.  Weights have a fixed
-size.  Scoring is one pass of sparse numpy batches.
-
-Counts reach the documents by broadcast while there are at most ``broadcast_types`` distinct words, else by a
-join on the words of each document; both give the same scores.
+P(word | context) = P(class | context) * P(word | class).  The most frequent words are classes of their own; words that
+occur in the same documents form further classes; the rest falls into classes by hash, and one class stands for all
+words that training never saw.  The class factor is a softmax over hashed features of the context: the previous word,
+the classes of the previous two words, and the word before the previous one (skip).  The word factor is the word's
+smoothed share of its class, so context moves it by moving between the classes of one vocabulary and another's.
+
+Training: word counts over all training texts come from one pass and one aggregate.  How often the ``anchors`` most
+frequent words share a document sorts these into groups; every document then belongs to the group it has most of, and
+every word that occurs often enough to the group where it occurs most, both over all training texts.  The class weights
+are trained in ``rounds`` passes, each over another part of the training texts, all of them in the end: every task
+takes gradient steps from the common weights and the changes are averaged by tokens.  Scoring is one pass of sparse
+numpy batches.
+
+Sizes: counts grow with the input, as do the words with a class of their own choice (up to ``grouped`` of them, those of
+the highest counts) and the buckets of features (a 256th of the distinct words, 4,096 to ``most_buckets``).  Counts
+reach the documents by broadcast while there are at most ``broadcast_types`` distinct words, which is 16 bytes each at
+the driver, 128 MB at most by default; beyond that they are joined to the words of each document, all but the most
+frequent, which travel with the model, so that no join key has more than a few rows in a million.  Scores are equal.
 
 Defined results: a null text is the end token alone; without training texts all words are unknown; repeated
 rows count as often as they occur; a null id is trained on and not held out.
@@ -20,7 +26,7 @@ rows count as often as they occur; a null id is trained on and not held out.
 from __future__ import annotations
 
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
@@ -42,13 +48,14 @@ _LOG10 = np.log(10.0)
 @dataclass(frozen=True)
 class Shape:
     top: int = 15
-    hashed: int = 16
+    groups: int = 12
+    hashed: int = 4
     buckets: int = 4096
     features: int = 3
 
     @property
     def classes(self) -> int:
-        return self.top + self.hashed + 1
+        return self.top + self.groups + self.hashed + 1
 
 
 def encode(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -112,34 +119,147 @@ def tally(batches: Iterator[pa.RecordBatch], most: int = 1_500_000) -> Iterator[
 
 
 class Classes:
-    """Class of each word hash."""
+    """Class of each word hash: its own, that of its group, or one by hash."""
 
-    def __init__(self, top: np.ndarray, shape: Shape) -> None:
-        self.shape, order = shape, np.argsort(top)
-        self.sorted, self.number = top[order], order
+    def __init__(self, words: np.ndarray, numbers: np.ndarray, shape: Shape) -> None:
+        order = np.argsort(words)
+        self.shape, self.sorted, self.number = shape, words[order], numbers[order].astype(np.int8)
 
     def of(self, h: np.ndarray) -> np.ndarray:
-        out = self.shape.top + ((h >> 3) & np.int64(self.shape.hashed - 1))
+        kinds, at = np.unique(h, return_inverse=True)
+        out = self.shape.top + self.shape.groups + ((kinds >> 3) & np.int64(self.shape.hashed - 1))
         if len(self.sorted):
-            at = np.minimum(np.searchsorted(self.sorted, h), len(self.sorted) - 1)
-            out = np.where(self.sorted[at] == h, self.number[at], out)
-        return out
-
-
-def contexts(h: np.ndarray, n: np.ndarray, buckets: int) -> np.ndarray:
-    """(features x tokens) buckets of previous word, previous two words, and skipped word."""
-    ends = np.cumsum(n)
-    one, two = np.empty_like(h), np.empty_like(h)
-    one[1:], two[2:] = h[:-1], h[:-2]
-    first = ends - n
-    one[first] = BEGIN
-    two[first] = BEGIN
+            place = np.minimum(np.searchsorted(self.sorted, kinds), len(self.sorted) - 1)
+            out = np.where(self.sorted[place] == kinds, self.number[place], out)
+        return out[at]
+
+
+def contexts(h: np.ndarray, n: np.ndarray, group: np.ndarray, shape: Shape) -> np.ndarray:
+    """(features x tokens) buckets of previous word, classes of the previous two, and skipped word."""
+
+    def before(x: np.ndarray, start: int) -> tuple[np.ndarray, np.ndarray]:
+        one, two = np.empty_like(x), np.empty_like(x)
+        one[1:], two[2:] = x[:-1], x[:-2]
+        one[first] = two[first] = two[second] = start
+        return one, two
+
+    first = np.cumsum(n) - n
     second = (first + 1)[n > 1]
-    two[second] = BEGIN
-    a, b = one.view(np.uint64), two.view(np.uint64)
-    mix = lambda x, m: ((x * np.uint64(m)) >> np.uint64(64 - int(buckets).bit_length() + 1)).astype(np.int64)
-    both = (a * np.uint64(0x9E3779B97F4A7C15)) ^ (b + np.uint64(0x632BE59BD9B4E019))
-    return np.stack([mix(a, 0xD6E8FEB86659FD93), mix(both, 0xA0761D6478BD642F), mix(b, 0xE7037ED1A0B428DB)])
+    one, two = before(h, BEGIN)
+    a, b = before(group, shape.classes)
+    mix = lambda x, m: ((x.view(np.uint64) * np.uint64(m)) >> np.uint64(65 - int(shape.buckets).bit_length())).astype(np.int64)
+    return np.stack([mix(one, 0xD6E8FEB86659FD93), (a * (shape.classes + 1) + b) % shape.buckets, mix(two, 0xE7037ED1A0B428DB)])
+
+
+def together(docs: DataFrame, anchors: np.ndarray) -> np.ndarray:
+    """In how many texts each two anchors occur together; on the diagonal, in how many each occurs."""
+    k = len(anchors)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        met = np.zeros((k, k))
+        for batch in batches:
+            for part in parts(batch, 0):
+                has = times_of(part.column(0), anchors) > 0
+                met += has.T.astype(float) @ has.astype(float)
+        i, j = np.indices((k, k)).reshape(2, -1)
+        yield pa.RecordBatch.from_arrays([pa.array(i), pa.array(j), pa.array(met.ravel())], names=["i", "j", "n"])
+
+    out = np.zeros((k, k))
+    for r in docs.mapInArrow(run, "i bigint, j bigint, n double").groupBy("i", "j").agg(F.sum("n").alias("n")).collect():
+        out[r["i"], r["j"]] = r["n"]
+    return out
+
+
+def times_of(texts: pa.Array, anchors: np.ndarray) -> np.ndarray:
+    """(texts x anchors) counts."""
+    h, n = encode(texts)
+    order = np.argsort(anchors)
+    place = np.minimum(np.searchsorted(anchors[order], h), len(anchors) - 1)
+    hit = anchors[order][place] == h
+    owner = np.repeat(np.arange(len(n)), n)[hit]
+    flat = np.bincount(owner * len(anchors) + order[place[hit]], minlength=len(n) * len(anchors))
+    return flat.reshape(len(n), len(anchors))
+
+
+def grouped_anchors(met: np.ndarray, groups: int) -> np.ndarray:
+    """Group of each anchor: those merge that occur together more often than by chance, on average of all pairs."""
+    k = len(met)
+    if not k:
+        return np.zeros(0, int)
+    share = np.diag(met) + 0.5
+    near = np.log((met + 0.1) * max(met.max(), 1.0) / np.outer(share, share))
+    members = [[i] for i in range(k)]
+    while len(members) > 1:
+        close = np.array([[near[np.ix_(a, b)].mean() if a is not b else -np.inf for b in members] for a in members])
+        i, j = divmod(int(close.argmax()), len(members))
+        if len(members) <= groups and close[i, j] <= 0:
+            break
+        members[min(i, j)] += members[max(i, j)]
+        del members[max(i, j)]
+    out = np.zeros(k, int)
+    for g, own in enumerate(members):
+        out[own] = g
+    return out
+
+
+def words_by_group(docs: DataFrame, anchors: np.ndarray, of: np.ndarray, total: np.ndarray) -> DataFrame:
+    """(h, g, n): how often each word occurs in texts of each group, a text's group being the one it has most of."""
+    groups = int(of.max()) + 1
+    member = np.zeros((len(anchors), groups))
+    member[np.arange(len(anchors)), of] = 1
+    usual = total @ member
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in parts(batch, 0):
+                group = ((times_of(part.column(0), anchors) @ member) / usual).argmax(axis=1)
+                h, n = encode(part.column(0))
+                kinds, at = np.unique(h, return_inverse=True)
+                key, times = np.unique(at * groups + np.repeat(group, n), return_counts=True)
+                yield pa.RecordBatch.from_arrays([pa.array(kinds[key // groups]), pa.array(key % groups), pa.array(times)], names=["h", "g", "n"])
+
+    return docs.mapInArrow(run, "h bigint, g bigint, n bigint").groupBy("h", "g").agg(F.sum("n").alias("n"))
+
+
+def choose_classes(docs: DataFrame, counts: DataFrame, *, shape: Shape, anchors: int, grouped: int) -> Classes:
+    """Classes from training texts (one column) and their word counts."""
+    best = counts.where(F.col("h") != END).orderBy(F.desc("n"), "h").limit(max(anchors, shape.top)).collect()
+    h, n = np.array([r["h"] for r in best], np.int64), np.array([r["n"] for r in best], float)
+    words, numbers = h[: shape.top], np.arange(min(shape.top, len(h)))
+    h, n = h[:anchors], n[:anchors]
+    if not len(h):
+        return Classes(words, numbers, shape)
+    of = grouped_anchors(together(docs, h), shape.groups)
+    sizes = counts.groupBy("n").agg(F.count("*").alias("types")).where("n > 1").orderBy(F.desc("n")).toLocalIterator()
+    least, held = None, 0
+    for r in sizes:  # words of the highest counts, as many as may have a group
+        held += r["types"]
+        if held > grouped:
+            break
+        least = r["n"]
+    if least is None:
+        return Classes(words, numbers, shape)
+    frequent = counts.where((F.col("n") >= least) & ~F.col("h").isin([END, *map(int, words)])).select("h")
+    shares = words_by_group(docs, h, of, n).join(frequent, "h", "left_semi")
+    table = shares.groupBy("h").agg(F.max_by("g", F.struct("n", -F.col("g"))).alias("g")).toArrow()
+    number = table["g"].to_numpy() + shape.top
+    return Classes(np.concatenate([words, table["h"].to_numpy()]), np.concatenate([numbers, number]), shape)
+
+
+def class_totals(counts: DataFrame, classes: Classes) -> np.ndarray:
+    """Smoothed tokens of each class."""
+    shared, size = counts.sparkSession.sparkContext.broadcast(classes), classes.shape.classes
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(size)
+        for batch in batches:
+            total += np.bincount(shared.value.of(batch.column(0).to_numpy()), batch.column(1).to_numpy() + 0.5, size)
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(size)), pa.array(total)], names=["k", "t"])
+
+    out = np.full(size, 0.5)
+    for r in counts.select("h", "n").mapInArrow(run, "k bigint, t double").groupBy("k").agg(F.sum("t").alias("t")).collect():
+        out[r["k"]] = max(r["t"], 0.5)
+    return out
 
 
 def log_softmax(bias: np.ndarray, weights: np.ndarray, at: np.ndarray) -> np.ndarray:
@@ -165,20 +285,21 @@ def descend(bias: np.ndarray, weights: np.ndarray, squares: np.ndarray, at: np.n
         weights[k, b] -= rate * total / np.sqrt(squares[k, b] + 1.0)
 
 
-def train(docs: DataFrame, text_col: str, bias: np.ndarray, top: np.ndarray, shape: Shape, turn: Column, rounds: int, rate: float, batch_tokens: int = 32_768) -> np.ndarray:
+def train(docs: DataFrame, text_col: str, bias: np.ndarray, classes: Classes, shape: Shape, turn: Column, rounds: int, rate: float, batch_tokens: int = 32_768) -> np.ndarray:
     """Weights (features x buckets x classes) after averaging each round's gradient steps."""
     weights = np.zeros((shape.features, shape.buckets, shape.classes), np.float32)
     columns = ["place int", "tokens bigint", *(f"w{c} float" for c in range(shape.classes))]
     for r in range(rounds):
-        shared = docs.sparkSession.sparkContext.broadcast((bias, weights, top))
+        shared = docs.sparkSession.sparkContext.broadcast((bias, weights, classes))
 
         def run(batches: Iterator[pa.RecordBatch], shared: object = shared) -> Iterator[pa.RecordBatch]:
-            bias, start, top = shared.value
-            own, squares, seen, classes = start.copy(), np.zeros_like(start), 0, Classes(top, shape)
+            bias, start, classes = shared.value
+            own, squares, seen = start.copy(), np.zeros_like(start), 0
             for batch in batches:
                 for part in parts(batch, 0):
                     h, n = encode(part.column(0))
-                    at, target = contexts(h, n, shape.buckets), classes.of(h)
+                    target = classes.of(h)
+                    at = contexts(h, n, target, shape)
                     for i in range(0, len(h), batch_tokens):
                         descend(bias, own, squares, at[:, i : i + batch_tokens], target[i : i + batch_tokens], rate)
                     seen += len(h)
@@ -200,11 +321,11 @@ def train(docs: DataFrame, text_col: str, bias: np.ndarray, top: np.ndarray, sha
 
 @dataclass
 class Model:
-    """What scoring needs besides the word counts: everything here has a fixed size."""
+    """What scoring needs besides the counts of rarer words."""
 
     bias: np.ndarray
     weights: np.ndarray
-    top: np.ndarray
+    classes: Classes
     totals: np.ndarray
     tokens: int
     types: int
@@ -213,9 +334,9 @@ class Model:
     def base(self, c: np.ndarray) -> np.ndarray:
         return np.log10((c + 0.5) / (self.tokens + 0.5 * (self.types + 1)))
 
-    def class_part(self, h: np.ndarray, n: np.ndarray, group: np.ndarray) -> np.ndarray:
+    def class_part(self, h: np.ndarray, n: np.ndarray, known: np.ndarray, group: np.ndarray) -> np.ndarray:
         """log10 P(class | context) summed for each text."""
-        at, out = contexts(h, n, self.shape.buckets), np.empty(len(h))
+        at, out = contexts(h, n, known, self.shape), np.empty(len(h))
         for i in range(0, len(h), 32_768):
             p = log_softmax(self.bias, self.weights, at[:, i : i + 32_768])
             g = group[i : i + 32_768]
@@ -224,29 +345,26 @@ class Model:
 
     def score(self, h: np.ndarray, n: np.ndarray, c: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Known tokens, base score and score of each text, from the count of every token."""
-        group = np.where(c > 0, Classes(self.top, self.shape).of(h), self.shape.classes - 1)
+        own = self.classes.of(h)
+        group = np.where(c > 0, own, self.shape.classes - 1)
         word = np.where(c > 0, np.log10((c + 0.5) / self.totals[group]), 0.0)
         first = np.cumsum(n) - n
         total = lambda x: np.add.reduceat(x, first)
-        return total((c > 0).astype(np.int64)), total(self.base(c)), total(word) + self.class_part(h, n, group)
+        return total((c > 0).astype(np.int64)), total(self.base(c)), total(word) + self.class_part(h, n, own, group)
 
 
-def fit(docs: DataFrame, counts: DataFrame, *, text_col: str, turn: Column, shape: Shape, rounds: int, rate: float) -> Model:
+def fit(docs: DataFrame, counts: DataFrame, *, text_col: str, turn: Column, shape: Shape, rounds: int, rate: float, anchors: int, grouped: int, most_buckets: int) -> Model:
     """Model from training texts and their word counts (h, n)."""
     whole = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
-    top = np.array([r["h"] for r in counts.orderBy(F.desc("n"), "h").limit(shape.top).collect()], np.int64)
-    single = F.col("h").isin([int(x) for x in top])
-    hashed = F.shiftright("h", 3).bitwiseAND(F.lit(shape.hashed - 1)) + shape.top
-    number = F.coalesce(*[F.when(F.col("h") == int(x), F.lit(i)) for i, x in enumerate(top)], hashed) if len(top) else hashed
-    totals = np.full(shape.classes, 0.5)
-    for r in counts.groupBy(F.when(single, number).otherwise(hashed).alias("k")).agg(F.sum(F.col("n") + 0.5).alias("t")).collect():
-        totals[r["k"]] = r["t"]
+    shape = replace(shape, buckets=min(most_buckets, max(shape.buckets, 1 << max(0, whole[1] // 256).bit_length())))
+    classes = choose_classes(docs.select(text_col), counts, shape=shape, anchors=anchors, grouped=grouped)
+    totals = class_totals(counts, classes)
     bias = np.log(totals / totals.sum()).astype(np.float32)
-    weights = train(docs, text_col, bias, top, shape, turn, rounds, rate) if whole[0] else np.zeros((shape.features, shape.buckets, shape.classes), np.float32)
-    return Model(bias, weights, top, totals, whole[0], whole[1], shape)
+    weights = train(docs, text_col, bias, classes, shape, turn, rounds, rate) if whole[0] else np.zeros((shape.features, shape.buckets, shape.classes), np.float32)
+    return Model(bias, weights, classes, totals, whole[0], whole[1], shape)
 
 
-def score_texts(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", folds: int = 5, fold: int = 1, rounds: int = 2, rate: float = 0.1, shape: Shape = Shape(), broadcast_types: int = 8_000_000) -> DataFrame:  # noqa: B008
+def score_texts(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", folds: int = 5, fold: int = 1, rounds: int = 2, rate: float = 0.1, shape: Shape = Shape(), anchors: int = 48, grouped: int = 2_000_000, most_buckets: int = 1 << 15, broadcast_types: int = 8_000_000, frequent: int = 4096) -> DataFrame:  # noqa: B008
     """(id, held_out, n_tokens, n_known, train_tokens, base_score, score) for every row."""
     spark = docs.sparkSession
     scratch = Scratch(spark, "words")
@@ -254,11 +372,11 @@ def score_texts(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "tex
     learn = source.where("not held_out")
     counts = scratch.keep(learn.select("__text").mapInArrow(tally, "h bigint, n bigint").groupBy("h").agg(F.sum("n").alias("n")))
     turn = F.pmod(F.xxhash64(F.col(id_col), F.lit(11)), F.lit(rounds))
-    model = fit(learn, counts, text_col="__text", turn=turn, shape=shape, rounds=rounds, rate=rate)
+    model = fit(learn, counts, text_col="__text", turn=turn, shape=shape, rounds=rounds, rate=rate, anchors=anchors, grouped=grouped, most_buckets=most_buckets)
     schema = T.StructType([docs.schema[id_col], *T._parse_datatype_string(RESULT).fields])
     if model.types <= broadcast_types:
         return _by_broadcast(source, counts, model, schema)
-    return _by_join(scratch.keep(source.withColumn("__row", F.monotonically_increasing_id())), counts, model, schema)
+    return _by_join(scratch.keep(source.withColumn("__row", F.monotonically_increasing_id())), counts, model, schema, frequent)
 
 
 def _rows(batch: pa.RecordBatch, n: np.ndarray, model: Model, found: tuple[np.ndarray, ...], names: list[str]) -> pa.RecordBatch:
@@ -289,34 +407,44 @@ def _by_broadcast(source: DataFrame, counts: DataFrame, model: Model, schema: T.
     return source.mapInArrow(run, schema)
 
 
-def _by_join(source: DataFrame, counts: DataFrame, model: Model, schema: T.StructType) -> DataFrame:
-    """Counts are joined to the distinct words of each document and come back as a list beside its text."""
+def _by_join(source: DataFrame, counts: DataFrame, model: Model, schema: T.StructType, frequent: int) -> DataFrame:
+    """Counts are joined to the distinct words of each document and come back as a list beside its text.
+
+    The ``frequent`` commonest words stay out of the join: theirs would be its hot keys, and they come with the model.
+    """
+    best = counts.orderBy(F.desc("n"), "h").limit(frequent).toArrow()
+    order = np.argsort(best["h"].to_numpy())
+    common_h, common_n = best["h"].to_numpy()[order], best["n"].to_numpy()[order]
+    shared = source.sparkSession.sparkContext.broadcast((model, common_h, common_n))
 
     def words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in parts(batch, 1):
                 h, n = encode(part.column(1))
-                owner = np.repeat(np.arange(len(n)), n)
-                pair = np.unique(np.stack([owner, h]), axis=1)
+                rare = ~np.isin(h, shared.value[1])
+                pair = np.unique(np.stack([np.repeat(np.arange(len(n)), n)[rare], h[rare]]), axis=1)
                 yield pa.RecordBatch.from_arrays([part.column(0).take(pa.array(pair[0])), pa.array(pair[1])], names=["__row", "h"])
 
     used = source.select("__row", "__text").mapInArrow(words, "__row bigint, h bigint").join(counts, "h")
     lists = used.groupBy("__row").agg(F.sort_array(F.collect_list(F.struct("h", "n"))).alias("c"))
     joined = source.join(lists, "__row", "left").select(*(c for c in source.columns if c != "__row"), F.col("c.h").alias("__h"), F.col("c.n").alias("__n"))
-    shared = source.sparkSession.sparkContext.broadcast(model)
+
+    def look(known: np.ndarray, times: np.ndarray, h: np.ndarray) -> np.ndarray:
+        if not len(known):
+            return np.zeros(len(h))
+        place = np.minimum(np.searchsorted(known, h), len(known) - 1)
+        return np.where(known[place] == h, times[place], 0).astype(float)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        model = shared.value
+        model, common_h, common_n = shared.value
         for batch in batches:
             for part in parts(batch, 2):
                 h, n = encode(part.column(2))
-                c, ends = np.zeros(len(h)), np.cumsum(n)
+                c, ends = look(common_h, common_n, h), np.cumsum(n)
                 for i, end in enumerate(ends.tolist()):
                     known = np.array(part.column(3)[i].as_py() or [], np.int64)
                     if len(known):
-                        own = h[end - n[i] : end]
-                        place = np.minimum(np.searchsorted(known, own), len(known) - 1)
-                        c[end - n[i] : end] = np.where(known[place] == own, np.array(part.column(4)[i].as_py(), float)[place], 0)
+                        c[end - n[i] : end] += look(known, np.array(part.column(4)[i].as_py(), float), h[end - n[i] : end])
                 yield _rows(part, n, model, model.score(h, n, c), schema.names)
 
     return joined.mapInArrow(run, schema)
