@@ -182,6 +182,30 @@ def test_shards_differ_by_one_row_and_slots_have_no_gaps(spark, tiny, awkward):
     assert sharding.shard_rows(awkward.limit(0)).count() == 0
 
 
+def test_sharding_equals_brute_force(spark, awkward, make):
+    """A walk along the ring, row by row: rows in order of slice, then id, size and checksum."""
+    import xxhash
+
+    r = np.random.default_rng(5)
+    docs = make([(int(i), "x" * int(r.integers(0, 50))) for i in r.integers(0, 400, 300)] + [(7, "same")] * 200).unionByName(awkward)
+    sliced = docs.select("doc_id", "text", F.shiftrightunsigned(F.xxhash64("doc_id"), 50).alias("s")).collect()
+    rows = sorted((x["s"], x["doc_id"] is not None, x["doc_id"] or 0, len((x["text"] or "").encode()) + 16, zlib.crc32((x["text"] or "").encode())) for x in sliced)
+    shards, n = 7, len(rows)
+    points = sorted((xxhash.xxh64_intdigest(f"{s}/{k}", 42) >> 50, s) for s in range(shards) for k in range(128))
+    room, want = [n // shards + (s < n % shards) for s in range(shards)], []
+    used = [0] * shards
+    for place, known, page, size, crc in rows:
+        at = next((k for k, p in enumerate(points) if p[0] >= place), 0)
+        while not room[points[at][1]]:
+            at = (at + 1) % len(points)
+        shard = points[at][1]
+        want.append((page if known else None, size, crc, shard, used[shard]))
+        room[shard], used[shard] = room[shard] - 1, used[shard] + 1
+    for parts, run in ((1, 10_000), (6, 3)):
+        got = sharding.shard_rows(docs.repartition(parts), shards=shards, run=run).collect()
+        assert sorted(map(str, map(tuple, got))) == sorted(map(str, want))
+
+
 def test_ring_moves_few_rows_when_there_is_slack():
     r = np.random.default_rng(1)
     counts = dict(enumerate(r.multinomial(100_000, np.ones(1 << 10) / (1 << 10)).tolist()))
