@@ -63,6 +63,12 @@ def test_a_repeated_line_keeps_one_passage_and_short_runs_stay(make):
     assert got == {1: "\n".join([line] * 10), 2: "x y\nz", 3: other, 4: "another start\n" + other}
 
 
+def test_originals_are_found_by_both_joins(make):
+    docs = make([(i, "\n".join([long(i % 3), long(i), "short", long(i % 2 + 50)])) for i in range(12)] + [(None, long(0))])
+    few, many = (sorted(map(str, line_dedup.repeated_chunks(docs, broadcast_originals=n).selectExpr("__vl_id", "sort_array(__vl_again) a").collect())) for n in (100, 0))
+    assert few == many and few
+
+
 def test_line_dedup_of_awkward_rows(awkward, make):
     got = line_dedup.deduplicate_lines(awkward)
     assert got.count() == 9 and got.where("doc_id = 1").first()["kept_text"] is None

@@ -70,8 +70,12 @@ def chunks_of(text: Column, long_words: int = 20, modulus: int = 4) -> Column:
     return F.when(text.isNotNull(), let(lines, cut))
 
 
-def repeated_chunks(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", long_words: int = 20, modulus: int = 4) -> DataFrame:
-    """(id, __vl_again): for each id the chunks that repeat an earlier one, as array of (no, original body)."""
+def repeated_chunks(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", long_words: int = 20, modulus: int = 4, broadcast_originals: int = 500_000) -> DataFrame:
+    """(id, __vl_again): for each id the chunks that repeat an earlier one, as array of (no, original body).
+
+    Documents that hold originals are found by a broadcast of their ids, up to ``broadcast_originals`` of these (about
+    a hundred bytes each), and by a join that shuffles all texts beyond; the result is the same.
+    """
     cut = docs.select(F.col(id_col).alias("__vl_id"), F.explode(chunks_of(F.col(text_col), long_words, modulus)).alias("c"))
     wanted = cut.where((F.col("c.words") > 0) & ((F.col("c.lines") > 1) | (F.col("c.words") >= long_words)))
     keys = materialise(wanted.select("__vl_id", F.col("c.no").alias("no"), F.xxhash64("c.body").alias("h")), "chunks")
@@ -79,8 +83,10 @@ def repeated_chunks(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     others = keys.join(groups.select("h", "first"), "h").where(~same(F.struct("__vl_id", "no"), F.col("first")))
     # the documents that hold originals are found by id first, so no other chunk's bytes travel
     origin = groups.groupBy(F.col("first.__vl_id").alias("__vl_id")).agg(F.collect_set(F.struct(F.col("first.no").alias("no"), F.col("h").alias("h"))).alias("__vl_first"))
+    origin = materialise(origin, "originals")
+    few = origin.limit(broadcast_originals + 1).count() <= broadcast_originals
     texts = docs.select(F.col(id_col).alias("id_"), F.col(text_col).alias("text_"))
-    held = texts.join(origin, same(F.col("id_"), F.col("__vl_id"))).select("__vl_first", F.explode(chunks_of(F.col("text_"), long_words, modulus)).alias("c"))
+    held = texts.join(F.broadcast(origin) if few else origin, same(F.col("id_"), F.col("__vl_id"))).select("__vl_first", F.explode(chunks_of(F.col("text_"), long_words, modulus)).alias("c"))
     named = held.withColumn("h", F.xxhash64("c.body")).where(F.array_contains("__vl_first", F.struct(F.col("c.no").alias("no"), F.col("h").alias("h"))))
     originals = named.groupBy("h").agg(F.min("c.body").alias("body"))
     again = others.select("__vl_id", "no", "h").join(originals, "h")
