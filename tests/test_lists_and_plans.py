@@ -137,3 +137,14 @@ def test_ranges_of_a_partitioned_log_need_no_second_exchange(spark, tiny):
     x = partseq(spark, tiny)
     text = plan(partition_log(x.edges.select("dst", "w"), 50, 4))
     assert text.count("Exchange") >= 1
+
+
+def test_bucketed_edges_fold_and_join_without_exchange(spark, tmp_path):
+    edges = spark.range(4000).selectExpr("id % 97 as src", "id % 89 as dst", "id as w")
+    a, b = (layout.write_bucketed(edges, str(tmp_path / name), "dst", 8) for name in ("a", "b"))
+    folded = a.groupBy("dst").agg(F.sum("w").alias("t"))
+    joined = folded.join(b.hint("merge"), "dst").groupBy("dst").agg(F.count("*").alias("n"))
+    plan = joined._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange" not in plan and "SortMergeJoin" in plan
+    assert sorted(map(tuple, joined.collect())) == sorted(map(tuple, edges.groupBy("dst").count().collect()))
+    assert not [t for t in spark.catalog.listTables() if t.name.startswith("bucketed_")]

@@ -35,6 +35,17 @@ def test_rows_behind_the_watermark_are_dropped(spark, tmp_path):
     assert seen.count(1) >= 1 and 2 not in seen
 
 
+def test_rows_behind_the_watermark_are_counted(spark, tmp_path):
+    schema = "event_id bigint, ts timestamp, user_id bigint, event_type string, value double, props string"
+    make = lambda users, day: spark.createDataFrame([(u, dt.datetime(2024, 1, day), u, "view", 1.0, "{}") for u in users], schema).coalesce(1)
+    source, lost = str(tmp_path / "in"), []
+    for users, day in (([0], 1), ([0], 20), ([0, 1, 2], 1), ([0], 28)):
+        make(users, day).write.mode("append").parquet(source)
+        fold = streams.windowed_fold(streams.source(spark, source, make([0], 1)), "1 day", late="2 days")
+        lost.append(streams.drain(fold, lambda d, n: d.count(), checkpoint=str(tmp_path / "check")))
+    assert lost == [0, 0, 3, 0]
+
+
 def test_as_of_picks_the_last_purchase_before(spark):
     t = lambda d, h: dt.datetime(2024, 1, d, h)
     rows = [(0, t(1, 1), "view"), (1, t(1, 2), "purchase"), (2, t(1, 3), "view"), (3, t(2, 1), "view"), (4, t(2, 2), "purchase"), (5, t(2, 3), "view")]

@@ -553,6 +553,15 @@ def _imported(x: Graph) -> DataFrame:
 add("import_text", g("partseq", _imported, False), f"{_PS} select src, count(*) as n, sum(dst)::bigint as total from g group by src")
 
 
+def _bucketed(x: Graph) -> DataFrame:
+    """Edges stored in buckets by destination, folded without an exchange."""
+    table = layout.write_bucketed(x.edges, f"{Scratch(x.edges.sparkSession, 'buckets').root}/edges", "dst", 16)
+    return table.groupBy("dst").agg(F.count("*").alias("n"), F.sum("w").alias("total"))
+
+
+add("sink_bucketed", g("partseq", _bucketed, False), f"{_PS} select dst, count(*) as n, sum(w)::bigint as total from g group by dst")
+
+
 def _source(spark: SparkSession, sf_dir: str) -> DataFrame:
     from vertexlog.sources.kron_source import KronSource
 
@@ -574,6 +583,8 @@ add("neighbor_map", g("partseq", lambda x: x.edges.groupBy("src", "dst").agg(F.m
 add("levels_pivot", g("trade", lambda x: alg.bfs(x, 0).rows().withColumn("k", F.when(F.col("v") % 2 == 0, "even").otherwise("odd")).groupBy("level").pivot("k", ["even", "odd"]).count()), oracles._levels("trade", 0, 8) + " select level::int as level, nullif(count(*) filter (v % 2 = 0), 0) as even, nullif(count(*) filter (v % 2 = 1), 0) as odd from lv group by level")
 add("degree_quantile", g("trade", lambda x: x.degrees().agg(F.percentile("degree", 0.5).alias("p50"), F.percentile("degree", 0.9).alias("p90"), F.percentile("degree", 0.99).alias("p99")).select(*(F.round(c, 6).alias(c) for c in ("p50", "p90", "p99")))), f"with {oracles.graph('trade')}, d as (select count(*) as c from g group by src) select round(quantile_cont(c, 0.5), 6) as p50, round(quantile_cont(c, 0.9), 6) as p90, round(quantile_cont(c, 0.99), 6) as p99 from d")
 add("approx_reach", g("trade", lambda x: x.edges.agg(F.approx_count_distinct("dst").alias("dsts"), F.approx_count_distinct("src").alias("srcs"))))
+add("approx_reach_within", g("trade", lambda x: x.edges.agg(F.count_distinct("dst").alias("dsts"), F.count_distinct("src").alias("srcs"), F.approx_count_distinct("dst").alias("d"), F.approx_count_distinct("src").alias("s")).select("dsts", "srcs", F.expr("abs(d - dsts) <= 0.15 * dsts and abs(s - srcs) <= 0.15 * srcs").alias("within"))),
+    f"with {oracles.graph('trade')} select count(distinct dst) as dsts, count(distinct src) as srcs, true as within from g")
 add("top_rank", g("partseq", lambda x: alg.rank_fixed(x, 1).orderBy(F.desc("rank_u"), "v").limit(20)), oracles.rank_fixed("partseq", 1) + " order by rank_u desc, v limit 20")
 add("sorted_log", g("partseq", lambda x: x.edges.groupBy("dst").agg(F.count("*").alias("n")).orderBy("dst")), f"{_PS} select dst, count(*) as n from g group by dst order by dst")
 add("rank_within_orders", g("partseq", lambda x: x.edges.withColumn("place", F.dense_rank().over(Window.partitionBy("src").orderBy("w"))).groupBy("src").agg(F.max("place").alias("prices"))), f"{_PS} select src, count(distinct w)::int as prices from g group by src")
@@ -630,7 +641,8 @@ def _resources(x: Graph) -> DataFrame:
 
 add("storage_sizes", _storage)
 add("resource_use", g("copurchase", _resources))
-add("tuning_grid", lambda s, d: s.createDataFrame([(gib, cores, *(t := cost.tune(gib << 30, cores, 6e9)).__dict__.values()) for gib in (8, 16, 32) for cores in (8, 32)], "gib int, cores int, n bigint, k int, threads int, mergers int"))
+add("tuning_grid", lambda s, d: s.createDataFrame([(gib, cores, *(t := cost.tune(gib << 30, cores, 6e9)).__dict__.values()) for gib in (8, 16, 32) for cores in (8, 32)], "gib int, cores int, n bigint, k int, threads int, mergers int"),
+    "with c as (select gib, cores, greatest(1, least(16, cores // 2)) as threads, greatest(1, least(cores // 4, 6)) as mergers from (values (8), (16), (32)) as a(gib), (values (8), (32)) as b(cores)) select gib::int as gib, cores::int as cores, greatest(1048576, least(536870912, gib * 1073741824::bigint // (2 * threads))) // 16 as n, greatest(2, least(64, gib * 1073741824::bigint // (4 * mergers * 4194304::bigint)))::int as k, threads::int as threads, mergers::int as mergers from c")
 
 for _name, (_query, _sql) in streams.QUERIES.items():
     add(_name, _query, _sql)

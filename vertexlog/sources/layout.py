@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -29,6 +31,19 @@ def build_edges(edges: DataFrame, path: str, width: int = 1 << 20) -> None:
     edge_index(spark.read.parquet(f"{path}/edges")).write.parquet(f"{path}/index")
 
 
+def write_bucketed(rows: DataFrame, path: str, key: str, buckets: int) -> DataFrame:
+    """Rows in bucket files by a key, sorted inside, and a table over them whose joins and folds by that key need no exchange.
+
+    The name in the catalog is one of its own and goes again; the returned table keeps its bucket layout.
+    """
+    spark, name = rows.sparkSession, f"bucketed_{uuid.uuid4().hex}"
+    placed = rows.repartition(buckets, key)  # one file a bucket, where each task would write one into every bucket
+    placed.write.bucketBy(buckets, key).sortBy(key).format("parquet").option("path", path).saveAsTable(name)
+    table = spark.table(name)
+    spark.sql(f"drop table {name}")
+    return table
+
+
 def read_edges(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.parquet(f"{path}/edges")
 

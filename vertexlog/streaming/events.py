@@ -6,12 +6,14 @@ it can be held against the same aggregate in batch.
 
 from __future__ import annotations
 
+import threading
 import uuid
 from collections.abc import Callable, Iterator
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import StreamingQueryListener
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 from pyspark.sql.window import Window
 
@@ -25,12 +27,51 @@ def source(spark: SparkSession, path: str, like: DataFrame, files_per_trigger: i
     return spark.readStream.schema(like.schema).option("maxFilesPerTrigger", files_per_trigger).parquet(path)
 
 
-def drain(stream: DataFrame, sink: Callable[[DataFrame, int], None], mode: str = "append") -> None:
-    """Run a streaming query over all that is there now; the sink gets each micro-batch and its number."""
-    spark = stream.sparkSession
-    where = f"{shared_dir(spark)}/vertexlog/stream-{uuid.uuid4().hex}"
-    query = stream.writeStream.outputMode(mode).foreachBatch(sink).option("checkpointLocation", where).trigger(availableNow=True).start()
-    query.awaitTermination()
+class _LateRows(StreamingQueryListener):
+    """Adds up what the watermark drops, over all batches of every query it hears of."""
+
+    def __init__(self) -> None:
+        self.dropped: dict[str, int] = {}
+        self.ended: set[str] = set()
+        self.told = threading.Condition()
+
+    def onQueryStarted(self, event: object) -> None: ...
+
+    def onQueryIdle(self, event: object) -> None: ...
+
+    def onQueryProgress(self, event: object) -> None:
+        run = str(event.progress.runId)
+        self.dropped[run] = self.dropped.get(run, 0) + sum(s.numRowsDroppedByWatermark for s in event.progress.stateOperators)
+
+    def onQueryTerminated(self, event: object) -> None:
+        with self.told:
+            self.ended.add(str(event.runId))
+            self.told.notify_all()
+
+    def count(self, run: str, seconds: float = 60) -> int:
+        """What a run that has ended dropped; events come in order, some time after the query itself has ended."""
+        with self.told:
+            if not self.told.wait_for(lambda: run in self.ended, seconds):
+                raise TimeoutError("the end of the query was not reported, so its count of late rows is not known")
+        return self.dropped.get(run, 0)
+
+
+def drain(stream: DataFrame, sink: Callable[[DataFrame, int], None], mode: str = "append", checkpoint: str | None = None) -> int:
+    """Run a streaming query over all that is there now; the sink gets each micro-batch and its number.
+
+    Returns how many rows came behind the watermark and were dropped.  Spark counts them as they reach the state, so
+    late rows of one window and key that a map task has folded count once.  ``checkpoint`` names the folder from which
+    a later call goes on; otherwise each call reads everything.
+    """
+    spark, late = stream.sparkSession, _LateRows()
+    where = checkpoint or f"{shared_dir(spark)}/vertexlog/stream-{uuid.uuid4().hex}"
+    spark.streams.addListener(late)
+    try:
+        query = stream.writeStream.outputMode(mode).foreachBatch(sink).option("checkpointLocation", where).trigger(availableNow=True).start()
+        query.awaitTermination()
+        return late.count(str(query.runId))
+    finally:
+        spark.streams.removeListener(late)
 
 
 def collected(stream: DataFrame, mode: str = "append") -> DataFrame:
