@@ -8,7 +8,7 @@ import pytest
 
 import __spark_entry__ as entry
 
-SAMPLE = ["pagerank_step", "bfs_copurchase", "bc_descendants_trade", "vs_union", "degree_hist", "superstep_interleaved", "baseline_edge_scan_bfs", "asof_edges", "stream_chain_edges", "pagerank_unconverged_active", "long_tail_projection", "scan_efficiency", "expand_seek", "log_resolve_some", "superstep_in_place", "superstep_sort_first", "reduce_custom_ordered", "vs_dense", "levels_pivot", "encoding_choice", "import_text", "crossover_grid", "edge_scan_partitions", "sssp_trade"]
+SAMPLE = ["pagerank_step", "bfs_copurchase", "bc_descendants_trade", "vs_union", "degree_hist", "superstep_interleaved", "baseline_edge_scan_bfs", "asof_edges", "stream_chain_edges", "pagerank_unconverged_active", "long_tail_projection", "scan_efficiency", "expand_seek", "log_resolve_some", "superstep_in_place", "superstep_sort_first", "reduce_custom_ordered", "vs_dense", "levels_pivot", "encoding_choice", "import_text", "crossover_grid", "edge_scan_partitions", "sssp_trade", "sink_bucketed", "approx_reach_within", "tuning_grid", "merge_schedule"]
 
 
 def test_flagship_has_rows(spark):

@@ -127,7 +127,7 @@ def rank_fixed(name: str, rounds: int, untouched: str = "base", dangling: str =
     return sql + " " + final.format(rounds)
 
 
-def rank_double(name: str, rounds: int, digits: int = 9) -> str:
+def _rank_steps(name: str, rounds: int) -> str:
     sql = (
         f"with {graph(name)}, d as materialized (select src, count(*) as c from g group by src), z as materialized (select {SIZES[name]}::bigint as n),"
         " p0 as materialized (select unnest(range(n)) as v, (1.0::double / n) as val from z)"
@@ -137,7 +137,19 @@ def rank_double(name: str, rounds: int, digits: int = 9) -> str:
             f", p{k} as materialized (select p.v, (0.15::double / (select n from z) + 0.85::double * coalesce(t.total, 0)) as val from p{k - 1} p left join"
             f" (select g.dst, sum(q.val / d.c) as total from g join p{k - 1} q on q.v = g.src join d on d.src = g.src group by g.dst) t on t.dst = p.v)"
         )
-    return sql + f" select v, round(val, {digits}) as rank from p{rounds}"
+    return sql
+
+
+def rank_double(name: str, rounds: int, digits: int = 9) -> str:
+    return _rank_steps(name, rounds) + f" select v, round(val, {digits}) as rank from p{rounds}"
+
+
+def rank_rounds(name: str, rounds: int, tol: str, digits: int = 6) -> str:
+    """(rounds, vertices, total): the first round in which no vertex moved by ``tol``, and its values summed."""
+    steps = " union all ".join(
+        f"select {k} as k, max(abs(b.val - a.val)) < {tol} or {k} = {rounds} as done, count(*) as n, sum(b.val) as t from p{k - 1} a join p{k} b using (v)" for k in range(1, rounds + 1)
+    )
+    return _rank_steps(name, rounds) + f", c as ({steps}) select k::int as rounds, n as vertices, round(t, {digits}) as total from c where done order by k limit 1"
 
 
 def rank_unconverged(name: str, rounds: int, digits: int = 6, tol: str = "1e-9") -> str:

@@ -163,7 +163,12 @@ def _schedule(x: Graph) -> DataFrame:
     return x.edges.sparkSession.createDataFrame(merge_schedule(sizes, 16, 2), "merge int, files int, written bigint")
 
 
-add("merge_schedule", g("copurchase", _schedule, False))
+add("merge_schedule", g("copurchase", _schedule, False),
+    f"with recursive {oracles.graph('copurchase')}, l as materialized (select dst, row_number() over (order by src, dst) - 1 as ord from g), b as materialized (select ord // 4096 as block, count(distinct dst) as n from l group by 1),"
+    " s(step, merge, files, written, waiting, running) as (select 0, 0, 0, 0::hugeint, (select list(n::hugeint order by block) from b), []::hugeint[] union all"
+    " select step + 1, merge + starts::int, case when starts then least(16, len(waiting))::int end, case when starts then list_sum(waiting[1:16]) end, case when starts then waiting[17:] else list_append(waiting, running[1]) end, case when starts then list_append(running, list_sum(waiting[1:16])) else running[2:] end"
+    " from (select *, len(waiting) > 1 and len(running) < 2 as starts from s) where len(waiting) + len(running) > 1)"
+    " select merge::int as merge, files::int as files, written::bigint as written from s where step > 0 and files is not null")
 add("merge_phases", g("copurchase", lambda x: x.edges.sparkSession.createDataFrame([(n, k, metrics.merge_phases(x.edges.count(), n, k)) for n in (512, 4096) for k in (2, 16)], "n int, k int, phases int")),
     f"with {oracles.graph('copurchase')}, m as (select count(*) as m from g) select n::int as n, k::int as k, ceil(ln(ceil(m / n)) / ln(k) - 1e-9)::int as phases from m, (values (512), (4096)) as a(n), (values (2), (16)) as b(k)")
 
@@ -398,7 +403,7 @@ def _converged_engines(x: Graph) -> DataFrame:
     return x.edges.sparkSession.createDataFrame(out, "engine string, rounds int, vertices bigint, total double")
 
 
-add("engines_rank_converged", g("partseq", _converged_engines))
+add("engines_rank_converged", g("partseq", _converged_engines), f"select engine, rounds, vertices, total from ({oracles.rank_rounds('partseq', 20, '1e-6')}) r, (select {_ENGINE_ROWS}) e where engine <> 'single_thread'")
 
 
 def _budgets(x: Graph) -> DataFrame:
