@@ -35,8 +35,9 @@ def test_query_equals_sql(spark, tiny, duck, name):
     answer = duck.execute(entry.oracle_sql()[name])
     names = [d[0] for d in answer.description]
     assert sorted(names) == columns
-    expected = sorted(tuple(r[names.index(c)] for c in columns) for r in answer.fetchall())
-    assert sorted(tuple(r) for r in got.select(columns).collect()) == expected
+    nulls_last = lambda row: [(x is None, x) for x in row]
+    expected = sorted((tuple(r[names.index(c)] for c in columns) for r in answer.fetchall()), key=nulls_last)
+    assert sorted((tuple(r) for r in got.select(columns).collect()), key=nulls_last) == expected
 
 
 def test_calls_in_sql_become_views(spark, tiny):
