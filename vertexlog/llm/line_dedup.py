@@ -177,10 +177,10 @@ def _kept_text(text: Column, cut: Column, gone: Column) -> Column:
     return F.when(F.col("__vl_runs").isNull(), by_chunk).otherwise(F.array_join(_kept_lines(text, cut, gone), "\n"))
 
 
-def deduplicate_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", long_words: int = 20, modulus: int = 4, passage_words: int | None = None) -> DataFrame:
+def deduplicate_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", long_words: int = 20, modulus: int = 4, passage_words: int | None = 50) -> DataFrame:
     """One row per document: id, lines, chunks, removed chunks, lines and words, and the text that stays.
 
-    Without ``passage_words`` these are the rows of the operator's SQL, which knows the rule of chunks alone.
+    Without ``passage_words`` the rule of chunks alone counts.
     """
     flagged = _flagged(docs.select(id_col, text_col), id_col, text_col, long_words, modulus, passage_words)
     by_run, source = F.col("__vl_runs").isNotNull(), F.col(text_col)

@@ -28,11 +28,11 @@ LINE_DEDUP = rf"""
 with l as (
   select doc_id, unnest(string_split(text, chr(10))) as line, generate_subscripts(string_split(text, chr(10)), 1) as i
   from documents where text is not null),
-m as (
+m as materialized (
   select doc_id, i, line, len(regexp_extract_all(line, '{WORD}+')) as n, ('0x' || substr(md5(line), 1, 8))::bigint as h from l),
 p as (
   select *, lag(n) over d as n1, lag(h) over d as h1, lag(h, 2) over d as h2 from m window d as (partition by doc_id order by i)),
-c as (
+c as materialized (
   select doc_id, i, line, n,
     sum(case when i = 1 or n >= 20 or n1 >= 20 or (h1 * 31 + coalesce(h2, 0)) % 2147483647 % 4 = 0 then 1 else 0 end)
       over (partition by doc_id order by i) as no
@@ -41,17 +41,35 @@ k as (
   select doc_id, no, count(*) as lines, sum(n) as words, string_agg(line, chr(10) order by i) as body from c group by doc_id, no),
 r as (
   select *, words > 0 and (lines > 1 or words >= 20) as able from k),
-g as (
+g as materialized (
   select *, able and row_number() over (partition by body, able order by doc_id, no) > 1 as gone from r),
+w as materialized (
+  select doc_id, i, n, sum(n) over d - n as low, sum(n) over d as high, sum((n between 1 and 19)::int) over d as short
+  from m window d as (partition by doc_id order by i)),
+e as (
+  select a.doc_id, a.i as first, b.i as last, b.short - a.short + (a.n between 1 and 19)::int as short
+  from w a join w b on a.doc_id = b.doc_id and a.i < b.i and a.n > 0 and b.n > 0
+    and (a.low + 49 >= b.low and a.low + 49 < b.high or b.high - 50 >= a.low and b.high - 50 < a.high)),
+t as (
+  select e.doc_id, first, last, array_to_string(string_split(text, chr(10))[first:last], chr(10)) as body
+  from e join documents d on e.doc_id = d.doc_id where short > 0),
+o as (
+  select doc_id, first, last, min({{'d': doc_id, 'f': first, 'l': last}}) over (partition by body) as origin from t),
+x as (
+  select distinct doc_id, unnest(range(first, last + 1)) as i from o where doc_id <> origin.d or first > origin.l),
+z as (
+  select c.doc_id, c.i, c.line, c.n, g.gone or x.i is not null as gone
+  from c join g on c.doc_id = g.doc_id and c.no = g.no left join x on c.doc_id = x.doc_id and c.i = x.i),
+y as (
+  select doc_id, count(*) as n_lines, count(*) filter (gone) as removed_lines, coalesce(sum(n) filter (gone), 0) as removed_words,
+    coalesce(string_agg(line, chr(10) order by i) filter (not gone), '') as kept
+  from z group by doc_id),
 s as (
-  select doc_id, sum(lines) as n_lines, count(*) as n_chunks, count(*) filter (gone) as removed_chunks,
-    coalesce(sum(lines) filter (gone), 0) as removed_lines, coalesce(sum(words) filter (gone), 0) as removed_words,
-    coalesce(string_agg(body, chr(10) order by no) filter (not gone), '') as kept
-  from g group by doc_id)
+  select doc_id, count(*) as n_chunks, count(*) filter (gone) as removed_chunks from g group by doc_id)
 select d.doc_id, coalesce(n_lines, 0)::bigint as n_lines, coalesce(n_chunks, 0)::bigint as n_chunks,
   coalesce(removed_chunks, 0)::bigint as removed_chunks, coalesce(removed_lines, 0)::bigint as removed_lines,
-  coalesce(removed_words, 0)::bigint as removed_words, case when removed_chunks > 0 then kept else d.text end as kept_text
-from documents d left join s on d.doc_id = s.doc_id
+  coalesce(removed_words, 0)::bigint as removed_words, case when removed_lines > 0 then kept else d.text end as kept_text
+from documents d left join s on d.doc_id = s.doc_id left join y on d.doc_id = y.doc_id
 """
 
 QUALITY = rf"""
