@@ -1,5 +1,6 @@
 """Queries whose rows once parted from their SQL at another size than that of the tests."""
 
+import datetime
 import glob
 import os
 
@@ -7,6 +8,7 @@ import duckdb
 import pytest
 
 import __spark_entry__ as entry
+from vertexlog.streaming.events import as_of
 
 
 def by_sql(folder, name):
@@ -27,3 +29,12 @@ def by_spark(spark, folder, name):
 @pytest.mark.parametrize("name", ["edges_kron", "kron_source", "kron_udtf", "limit_offset", "pagerank_step_kron"])
 def test_kronecker_scale_is_that_of_the_sql(spark, tiny, name):
     assert by_spark(spark, tiny, name) == by_sql(tiny, name)
+
+
+def test_a_purchase_at_the_time_of_a_view_is_not_before_it(spark, tmp_path):
+    at = lambda *t: datetime.datetime(2024, 1, *t)
+    events = [(1, at(1, 8), "purchase"), (2, at(1, 9), "purchase"), (3, at(1, 9), "view"), (4, at(2, 9), "view"), (0, at(2, 9), "purchase"), (5, None, "purchase"), (6, None, "view"), (7, at(2, 10), "view"), (8, at(1, 7), "view")]
+    spark.createDataFrame(events, "event_id bigint, ts timestamp, event_type string").coalesce(1).write.parquet(str(tmp_path / "events.parquet"))
+    assert by_spark(spark, tmp_path, "asof_edges") == by_sql(tmp_path, "asof_edges")
+    tied = [(1, at(1, 8), "purchase"), (3, at(1, 8), "purchase"), (2, at(1, 8), "purchase"), (4, at(1, 9), "view")]
+    assert [tuple(r) for r in as_of(spark.createDataFrame(tied, "event_id bigint, ts timestamp, event_type string")).collect()] == [(3, 4)]
