@@ -8,6 +8,7 @@ import duckdb
 import pytest
 
 import __spark_entry__ as entry
+from vertexlog.plans import metrics
 from vertexlog.streaming.events import as_of
 
 
@@ -38,3 +39,10 @@ def test_a_purchase_at_the_time_of_a_view_is_not_before_it(spark, tmp_path):
     assert by_spark(spark, tmp_path, "asof_edges") == by_sql(tmp_path, "asof_edges")
     tied = [(1, at(1, 8), "purchase"), (3, at(1, 8), "purchase"), (2, at(1, 8), "purchase"), (4, at(1, 9), "view")]
     assert [tuple(r) for r in as_of(spark.createDataFrame(tied, "event_id bigint, ts timestamp, event_type string")).collect()] == [(3, 4)]
+
+
+@pytest.mark.parametrize("name", ["assoc_check", "crossover_grid", "edge_scan_partitions", "fleet_cost", "memory_need", "merge_tree", "tuning_grid"])
+def test_costs_are_those_of_the_given_tables(spark, tiny, name):
+    made = []
+    use = metrics.stage_totals(spark, lambda: made.append(by_spark(spark, tiny, name)))
+    assert use["rows_read"] >= 6000 and made[0] == by_sql(tiny, name) and made[0][1]
