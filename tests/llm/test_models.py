@@ -251,6 +251,34 @@ def test_model_is_a_distribution():
     assert np.allclose(p.sum(axis=1), 1, atol=1e-5)
 
 
+def test_powers_share_a_shift_only_where_no_power_vanishes():
+    r = np.random.default_rng(1)
+    for spread in (1, 500):
+        bias, weights, at = (spread * r.normal(size=6)).astype(np.float32), r.normal(size=(3, 16, 6)).astype(np.float32), r.integers(0, 16, (3, 9))
+        weights[0] += spread * np.arange(16, dtype=np.float32)[:, None]
+        z = bias + weights[0, at[0]] + weights[1, at[1]] + weights[2, at[2]]
+        want = z - z.max(axis=1, keepdims=True)
+        want -= np.log(np.exp(want).sum(axis=1, keepdims=True))
+        assert np.allclose(language_model.log_softmax(bias, weights, at), want, atol=2e-3)
+        shifted, power, total = language_model.powers(bias, weights, at)
+        assert (total > 0).all() and np.allclose(power.sum(axis=1), total) and (np.ptp(z - shifted) < 1e-3) == (np.ptp(z) < 60)
+
+
+def test_words_are_coded_by_their_kinds():
+    import pyarrow as pa
+
+    texts = ["", None, " A  b\ta\n", "b", "\x0b", " c a"]
+    kinds, at, n = language_model.coded(pa.array(texts, pa.string()))
+    assert n.tolist() == [1, 1, 4, 2, 1, 3] and (kinds[at[np.cumsum(n) - 1]] == language_model.END).all()
+    h, sizes = language_model.encode(pa.array(texts, pa.string()))
+    assert (h == kinds[at]).all() and (sizes == n).all() and h[2] == h[4] == h[10] and h[3] == h[6] and len(set(h.tolist())) == 4
+    times = language_model.times_of(kinds, at, n, np.array([h[3], h[2], 99]))
+    assert times.tolist() == [[0, 0, 0], [0, 0, 0], [1, 2, 0], [1, 0, 0], [0, 0, 0], [0, 1, 0]]
+    batch = pa.RecordBatch.from_arrays([pa.array(texts, pa.string())], names=["t"])
+    counts = {x["h"]: x["n"] for b in language_model.tally(iter([batch])) for x in b.to_pylist()}
+    assert counts == {language_model.END: 6, h[2]: 3, h[3]: 2, h[9]: 1}
+
+
 def test_score_equals_brute_force_and_sums_to_one(spark, make):
     r = np.random.default_rng(8)
     texts = [" ".join(r.choice([f"{'ab'[i % 2]}{k}" for k in range(30)], 25)) for i in range(60)]
