@@ -46,3 +46,11 @@ def test_costs_are_those_of_the_given_tables(spark, tiny, name):
     made = []
     use = metrics.stage_totals(spark, lambda: made.append(by_spark(spark, tiny, name)))
     assert use["rows_read"] >= 6000 and made[0] == by_sql(tiny, name) and made[0][1]
+
+
+def test_betweenness_rounds_halves_as_the_sql(spark, tmp_path):
+    """The first page below the root scores 1 + 1/640 = 1.0015625: once for a target of its own, once for a share of another."""
+    link = lambda *targets: "".join(f'<a href="/{t}">' for t in targets)
+    pages = [(0, link("top")), (1, link("top", "shared", "own")), *((i, link("top", "shared")) for i in range(2, 641))]
+    spark.createDataFrame(pages, "page_id bigint, html string").coalesce(1).write.parquet(str(tmp_path / "pages.parquet"))
+    assert by_spark(spark, tmp_path, "bc_exact_weblink") == by_sql(tmp_path, "bc_exact_weblink")
